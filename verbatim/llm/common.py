@@ -68,16 +68,16 @@ def global_index(df: DataFrame, keys: list[Column], name: str) -> DataFrame:
     """
     spark = df.sparkSession
     spread = F.monotonically_increasing_id()
-    placed = df.withColumn("_s", spread).repartitionByRange(partitions(spark), *keys, F.col("_s"))
-    placed = placed.sortWithinPartitions(*keys, F.col("_s")).drop("_s")
-    placed = placed.withColumn("_p", F.spark_partition_id()).withColumn("_i", F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)))
+    placed = df.withColumn("__index_s", spread).repartitionByRange(partitions(spark), *keys, F.col("__index_s"))
+    placed = placed.sortWithinPartitions(*keys, F.col("__index_s")).drop("__index_s")
+    placed = placed.withColumn("__index_p", F.spark_partition_id()).withColumn("__index_i", F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)))
     placed = cut(placed)
     total, offsets = 0, []
-    for p, n in sorted((r["_p"], r["n"]) for r in placed.groupBy("_p").agg(F.count(F.lit(1)).alias("n")).collect()):
+    for p, n in sorted((r["__index_p"], r["n"]) for r in placed.groupBy("__index_p").agg(F.count(F.lit(1)).alias("n")).collect()):
         offsets.append((p, total))
         total += n
-    starts = spark.createDataFrame(offsets or [(0, 0)], "_p int, _o long")
-    return placed.join(F.broadcast(starts), "_p").withColumn(name, F.col("_o") + F.col("_i")).drop("_p", "_i", "_o")
+    starts = spark.createDataFrame(offsets or [(0, 0)], "__index_p int, __index_o long")
+    return placed.join(F.broadcast(starts), "__index_p").withColumn(name, F.col("__index_o") + F.col("__index_i")).drop("__index_p", "__index_i", "__index_o")
 
 
 def drop_ids(docs: DataFrame, gone: DataFrame, key: str = "doc_id") -> DataFrame:

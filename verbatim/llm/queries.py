@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import bpe, mixing, sharding, simhash, urls, vectors, warc
+from . import bpe, linededup, mixing, sharding, simhash, urls, vectors, warc
 
 QUERIES = {
     "op1_simhash": simhash.op1_simhash,
     "op2_sharding": sharding.op2_sharding,
     "op3_urls": urls.op3_urls,
     "op4_mixing": mixing.op4_mixing,
+    "op5_linededup": linededup.op5_linededup,
     "op6_vectors": vectors.op6_vectors,
     "op7_warc": warc.op7_warc,
     "op8_bpe": bpe.op8_bpe,
@@ -16,6 +17,7 @@ QUERIES = {
 
 ORACLES = {
     "op4_mixing": mixing.oracle(),
+    "op5_linededup": linededup.oracle(),
     "op6_vectors": vectors.oracle(),
     "op7_warc": warc.oracle(),
 }
