@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, linededup, mixing, sharding, simhash, urls, vectors, warc
+from . import bpe, linededup, mixing, sharding, simhash, spotsigs, urls, vectors, warc
 
 QUERIES = {
     "op1_simhash": simhash.op1_simhash,
@@ -13,6 +13,7 @@ QUERIES = {
     "op6_vectors": vectors.op6_vectors,
     "op7_warc": warc.op7_warc,
     "op8_bpe": bpe.op8_bpe,
+    "op9_spotsigs": spotsigs.op9_spotsigs,
 }
 
 ORACLES = {
