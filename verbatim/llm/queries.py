@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, linededup, mixing, sharding, simhash, spotsigs, urls, vectors, warc
+from . import bpe, linededup, mixing, sharding, simhash, spotsigs, toxicity, urls, vectors, warc
 
 QUERIES = {
     "op1_simhash": simhash.op1_simhash,
@@ -14,6 +14,7 @@ QUERIES = {
     "op7_warc": warc.op7_warc,
     "op8_bpe": bpe.op8_bpe,
     "op9_spotsigs": spotsigs.op9_spotsigs,
+    "op10_toxicity": toxicity.op10_toxicity,
 }
 
 ORACLES = {
