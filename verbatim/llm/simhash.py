@@ -32,6 +32,8 @@ from pyspark.sql import functions as F
 from . import common as C
 
 WORDS, SEED, RADIUS, MAX_RUN = 4, 42, 4, 64
+#: Links that a task holds before it contracts them.
+HELD = 1 << 20
 
 _BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").astype(np.int64)
 _LANES = (np.arange(8) * 256).astype(np.int64)
@@ -80,7 +82,45 @@ def _parts_of(fps: np.ndarray, radius: int) -> list[tuple[int, int]]:
         root = new
 
 
-def _runs(batches: Iterator[pd.DataFrame], radius: int, most: int) -> Iterator[pd.DataFrame]:
+def _contract(links: np.ndarray) -> np.ndarray:
+    """(node, smallest node of its part) for the parts that a task's links make: fewer rows, the same components."""
+    nodes, at = np.unique(links, return_inverse=True)
+    i, j = at.reshape(links.shape).T
+    root = np.arange(len(nodes))
+    while True:
+        new = root.copy()
+        np.minimum.at(new, i, root[j])
+        np.minimum.at(new, j, root[i])
+        new = np.minimum(new, new[new])
+        if (new == root).all():
+            return np.stack([nodes, nodes[root]], axis=1)[root != np.arange(len(nodes))]
+        root = new
+
+
+def _contracted(frames: Iterator[np.ndarray]) -> Iterator[pd.DataFrame]:
+    """Links (a, b) of a whole task contracted, at most 2 * HELD of them in memory; marks (a, a) once each."""
+    links, marks, rows = [], [], 0
+
+    def out() -> pd.DataFrame:
+        both = np.concatenate([_contract(np.concatenate(links)), np.unique(np.concatenate(marks), axis=0)])
+        return pd.DataFrame({"a": both[:, 0].astype(np.int64), "b": both[:, 1].astype(np.int64)})
+
+    for f in frames:
+        same = f[:, 0] == f[:, 1]
+        links.append(f[~same])
+        marks.append(f[same])
+        rows += len(f)
+        if rows > HELD:
+            links, marks = [_contract(np.concatenate(links))], [np.unique(np.concatenate(marks), axis=0)]
+            rows = len(links[0]) + len(marks[0])
+            if rows > HELD // 2:
+                yield out()
+                links, marks, rows = [], [], 0
+    if links:
+        yield out()
+
+
+def _runs(batches: Iterator[pd.DataFrame], radius: int, most: int) -> Iterator[np.ndarray]:
     """Links (a, b) of the runs of equal keys; (a, a) marks a member of a run longer than `most`."""
     keys, fps, hot = np.empty(0, dtype=np.int64), np.empty(0, dtype=np.uint64), None
 
@@ -98,15 +138,12 @@ def _runs(batches: Iterator[pd.DataFrame], radius: int, most: int) -> Iterator[p
                 out.append(np.array(found, dtype=np.uint64))
         return np.unique(np.concatenate(out), axis=0)
 
-    def frame(links: np.ndarray) -> pd.DataFrame:
-        return pd.DataFrame({"a": links[:, 0].astype(np.int64), "b": links[:, 1].astype(np.int64)})
-
     for b in batches:
         k, f = b["key"].to_numpy(), b["fp"].to_numpy().astype(np.uint64)
         if hot is not None and len(k):
             same = np.searchsorted(k, hot, side="right") if k[0] == hot else 0
             if same:
-                yield frame(np.stack([f[:same], f[:same]], axis=1))
+                yield np.stack([f[:same], f[:same]], axis=1)
             k, f = k[same:], f[same:]
             hot = hot if not len(k) else None
         keys, fps = np.r_[keys, k], np.r_[fps, f]
@@ -114,28 +151,27 @@ def _runs(batches: Iterator[pd.DataFrame], radius: int, most: int) -> Iterator[p
             continue
         last = np.searchsorted(keys, keys[-1], side="left")
         if last:
-            yield frame(settle(keys[:last], fps[:last]))
+            yield settle(keys[:last], fps[:last])
         keys, fps = keys[last:], fps[last:]
         if len(keys) > most:  # the open run is long already
-            yield frame(np.stack([fps, fps], axis=1))
+            yield np.stack([fps, fps], axis=1)
             hot, keys, fps = keys[0], keys[:0], fps[:0]
     if len(keys):
-        yield frame(settle(keys, fps))
+        yield settle(keys, fps)
 
 
-def _stars(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+def _stars(batches: Iterator[pd.DataFrame]) -> Iterator[np.ndarray]:
     """(member, first of its run) for sorted keys whose runs are near throughout."""
     key = first = None
     for b in batches:
         if not len(b):
             continue
-        k, f = b["key"].to_numpy(), b["fp"].to_numpy()
+        k, f = b["key"].to_numpy(), b["fp"].to_numpy().astype(np.uint64)
         start = np.r_[key is None or k[0] != key, k[1:] != k[:-1]]
         at = np.maximum.accumulate(np.where(start, np.arange(len(k)), -1))
-        head = np.where(at >= 0, f[np.maximum(at, 0)], first if first is not None else 0)
+        head = np.where(at >= 0, f[np.maximum(at, 0)], first if first is not None else np.uint64(0))
         key, first = k[-1], head[-1]
-        links = np.unique(np.stack([f, head], axis=1)[f != head], axis=0)
-        yield pd.DataFrame({"a": links[:, 0], "b": links[:, 1]})
+        yield np.unique(np.stack([f, head], axis=1)[f != head], axis=0)
 
 
 def links(fps: DataFrame, radius: int = RADIUS, most: int = MAX_RUN) -> DataFrame:
@@ -147,7 +183,7 @@ def links(fps: DataFrame, radius: int = RADIUS, most: int = MAX_RUN) -> DataFram
     each = fps.select("fp", F.explode(masks).alias("_v"))
     half = F.when(F.col("_v.p") == 0, F.col("fp").bitwiseAND(F.lit(low))).otherwise(F.shiftrightunsigned("fp", 32).bitwiseOR(F.lit(1 << 32)))
     keyed = each.select(half.bitwiseXOR(F.col("_v.m")).alias("key"), "fp").repartition(n, "key").sortWithinPartitions("key", "fp")
-    found = C.cut(keyed.mapInPandas(lambda it: _runs(it, radius, most), "a long, b long").distinct())
+    found = C.cut(keyed.mapInPandas(lambda it: _contracted(_runs(it, radius, most)), "a long, b long").distinct())
 
     def ball(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
@@ -158,7 +194,7 @@ def links(fps: DataFrame, radius: int = RADIUS, most: int = MAX_RUN) -> DataFram
 
     hot = found.where("a = b").select(F.col("a").alias("fp")).repartition(n, "fp")
     wide = hot.mapInPandas(ball, "key long, fp long").repartition(n, "key").sortWithinPartitions("key", "fp")
-    return found.where("a <> b").union(wide.mapInPandas(_stars, "a long, b long").distinct())
+    return found.where("a <> b").union(wide.mapInPandas(lambda it: _contracted(_stars(it)), "a long, b long").distinct())
 
 
 def components(fps: DataFrame, radius: int = RADIUS, most: int = MAX_RUN) -> DataFrame:
