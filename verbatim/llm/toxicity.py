@@ -6,8 +6,8 @@
    each repeat may shrink to one or two letters or stay, each gap may close or stay. Viterbi
    finds the reading that is likeliest under the language model and the channel's costs. A
    token with one reading only needs no search.
-3. Words of restored labelled texts get smoothed log-odds for toxicity from their own counts
-   and those of their character n-grams. A text is scored from its strongest words alone, by
+3. Words of restored labelled texts get smoothed log-odds for toxicity from the counts of
+   rows that hold them or a word that begins alike. A text is scored from its strongest words alone, by
    logistic regression, so neither its length nor its language matters much.
 
 Labels are read only for the fit: at most MAX_LABELLED rows of each kind, those whose ids have
@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from . import common as C
 
 THRESHOLD = 0.7
-#: Labelled rows of each kind for the fit at most; strongest words that count; rows a word or n-gram needs.
+#: Labelled rows of each kind for the fit at most; strongest words that count; toxic rows that a word needs.
 MAX_LABELLED, TOP, LEAST_ROWS = 3_000, 4, 3
 
 # Letters that a sign is used for.
@@ -153,12 +153,13 @@ def restorer(lm: LanguageModel):
 
 
 def _grams(word: str) -> set[str]:
-    w = f"^{word[:40]}$"
-    return {w} | {w[k : k + n] for n in (4, 5, 6) for k in range(len(w) - n + 1)}
+    """The word, and its beginnings of four to eight characters (the edge included)."""
+    w = f"^{word}$"
+    return {w, *(w[:k] for k in range(5, min(9, len(w)) + 1))}
 
 
 class Model:
-    """Log-odds of words and n-grams, and weights of a text's strongest words."""
+    """Log-odds of words and beginnings, and weights of a text's strongest words."""
 
     def __init__(self, texts: list[tuple[set[str], int]], share: float):
         self.share, self.weights, self.odds = share, None, {}
@@ -197,8 +198,14 @@ class Model:
 
     @staticmethod
     def _strongest(words, odds: dict[str, float]) -> list[float]:
-        best = sorted((Model._word(w, odds) for w in words), reverse=True)[:TOP]
-        return best + [0.0] * (TOP - len(best))
+        return Model._features([Model._word(w, odds) for w in words])
+
+    @staticmethod
+    def _features(odds: list[float]) -> list[float]:
+        """The largest log-odds, and what the first has above 2 and 4: few words of clean texts come there."""
+        best = sorted(odds, reverse=True)[:TOP]
+        best += [0.0] * (TOP - len(best))
+        return [*best, max(0.0, best[0] - 2), max(0.0, best[0] - 4)]
 
     @staticmethod
     def _word(word: str, odds: dict[str, float]) -> float:
@@ -210,13 +217,17 @@ class Model:
         def score(text: str) -> float:
             if self.weights is None:
                 return self.share
-            best = sorted(map(word, words_of(text)), reverse=True)[:TOP]
-            best += [0.0] * (TOP - len(best))
-            return float(1 / (1 + np.exp(-np.clip(np.dot(self.weights[:-1], best) + self.weights[-1], -30, 30))))
+            x = self._features(list(map(word, words_of(text))))
+            return float(1 / (1 + np.exp(-np.clip(np.dot(self.weights[:-1], x) + self.weights[-1], -30, 30))))
 
         return score
 
 
+def keep_clean(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """The rows of `docs` that score below the threshold."""
+    return score(docs, labels, out="_toxicity").where(F.col("_toxicity") < THRESHOLD).drop("_toxicity")
+
+
 def held_out(doc_id="doc_id"):
     return F.crc32(F.coalesce(F.col(doc_id).cast("string"), F.lit("")).cast("binary")) % 3 == 1
 
@@ -240,8 +251,8 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> tuple[L
     return lm, Model([(set(w.split()), t) for w, t in texts], n.get(1, 0) / total if total else 0.0)
 
 
-def score(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> DataFrame:
-    """`docs` with score double."""
+def score(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED, out: str = "score") -> DataFrame:
+    """`docs` with its score, double, as the column `out`."""
     lm, model = fit(docs, labels, most)
     sent = docs.sparkSession.sparkContext.broadcast((lm, model))
 
@@ -252,7 +263,7 @@ def score(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> DataF
         for b in batches:
             yield b.map(one)
 
-    return docs.withColumn("score", scored(C.text_or_empty("text")))
+    return docs.withColumn(out, scored(C.text_or_empty("text")))
 
 
 def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
