@@ -51,39 +51,54 @@ def targets(sizes: DataFrame) -> DataFrame:
     return t.withColumn("target", F.round(F.least(F.col("_cap"), F.coalesce(F.col("_lv") * F.col("_w"), F.col("_cap"))), 6)).select("source", "source_size", "target")
 
 
-def mix(docs: DataFrame, quality: DataFrame | None = None, seed: int = 17) -> DataFrame:
-    """docs(doc_id, text, source) -> doc_id, _h (text hash), size, source, source_size, target, copies long.
+def keyed(docs: DataFrame, quality: DataFrame | None, seed: int) -> DataFrame:
+    """`docs` with _h (text hash), _size, _k (exponential key) and _b (the key's bin).
 
     quality: (doc_id, weight double > 0), one row an id; documents without one weigh 1.
     """
-    text = C.text_or_empty("text")
-    d = docs.select("doc_id", "source", F.xxhash64("text").alias("_h"), F.regexp_count(text, F.lit(C.WORD)).cast("long").alias("size"))
+    d = docs.withColumn("_h", F.xxhash64("text")).withColumn("_size", F.regexp_count(C.text_or_empty("text"), F.lit(C.WORD)).cast("long"))
     if quality is not None:
-        d = d.join(quality.select("doc_id", F.col("weight").alias("_q")), "doc_id", "left")
+        d = d.join(C.maybe_broadcast(quality.select(F.col("doc_id").alias("_qid"), F.col("weight").alias("_q"))), F.col("doc_id") == F.col("_qid"), "left").drop("_qid")
     else:
         d = d.withColumn("_q", F.lit(1.0))
-    d = d.withColumn("_k", -F.log(uniform(F.col("doc_id"), seed)) / F.coalesce("_q", F.lit(1.0)))
-    d = C.cut(d.withColumn("_b", F.least(F.floor((1 - F.exp(-F.col("_k"))) * BINS), F.lit(BINS - 1)).cast("int")).drop("_q"))
+    d = d.withColumn("_k", -F.log(uniform(F.col("doc_id"), seed)) / F.coalesce("_q", F.lit(1.0))).drop("_q")
+    return d.withColumn("_b", F.least(F.floor((1 - F.exp(-F.col("_k"))) * BINS), F.lit(BINS - 1)).cast("int"))
+
 
-    bins = C.cut(d.groupBy("source", "_b").agg(F.sum("size").alias("_n")))
+def plan(rows: DataFrame) -> DataFrame:
+    """From keyed rows, for each source (_src): source_size, target, _e (epochs) and what the fraction takes: bins before _eb, and in it keys up to _last."""
+    d = C.cut(rows.select("source", "_size", "_k", "_b", "doc_id", "_h"))
+    bins = C.cut(d.groupBy("source", "_b").agg(F.sum("_size").alias("_n")))
     t = targets(bins.groupBy("source").agg(F.sum("_n").alias("source_size")))
     whole = F.when(F.col("source_size") > 0, F.least(F.floor(F.col("target") / F.col("source_size")), F.lit(MOST))).otherwise(0)
-    t = t.withColumn("_e", whole.cast("long")).withColumn("_left", F.col("target") - F.col("_e") * F.col("source_size"))
+    t = t.withColumn("_e", whole.cast("long")).withColumn("_left", F.col("target") - F.col("_e") * F.col("source_size")).withColumnRenamed("source", "_src")
     at = Window.partitionBy("source").orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
     at_bin = bins.withColumn("_pre", F.coalesce(F.sum("_n").over(at), F.lit(0)))
-    same = at_bin.source.eqNullSafe(t.source)
-    edge = at_bin.join(t, same).where("_pre <= _left").groupBy(at_bin.source).agg(F.max(F.struct("_b", "_pre")).alias("_x"))
+    edge = at_bin.join(t, F.col("source").eqNullSafe(F.col("_src"))).where(f"_pre <= _left and _e < {MOST}").groupBy("source").agg(F.max(F.struct("_b", "_pre")).alias("_x"))
     edge = edge.select(F.col("source").alias("_es"), F.col("_x._b").alias("_eb"), F.col("_x._pre").alias("_ep"))
-    plan = C.cut(t.join(edge, t.source.eqNullSafe(edge._es), "left").drop("_es"))
+    t = C.cut(t.join(edge, F.col("_src").eqNullSafe(F.col("_es")), "left").drop("_es"))
+    order = Window.partitionBy("source").orderBy("_k", "doc_id", "_h").rowsBetween(Window.unboundedPreceding, -1)
+    inside = d.join(C.maybe_broadcast(t.select("_src", "_eb", "_ep", "_left")), F.col("source").eqNullSafe(F.col("_src")) & (F.col("_b") == F.col("_eb")))
+    inside = inside.withColumn("_at", F.col("_ep") + F.coalesce(F.sum("_size").over(order), F.lit(0))).where(F.col("_at") + F.col("_size") / 2 <= F.col("_left"))
+    last = inside.groupBy(F.col("source").alias("_ls")).agg(F.max(F.struct("_k", "doc_id", "_h")).alias("_last"))
+    return C.cut(t.join(last, F.col("_src").eqNullSafe(F.col("_ls")), "left").select("_src", "source_size", "target", "_e", "_eb", "_last"))
+
+
+def mix(docs: DataFrame, quality: DataFrame | None = None, seed: int = 17) -> DataFrame:
+    """`docs` with _size, source_size, target and _copies (long): how often the mix takes each row.
+
+    Only the plan, a row for each source, travels to the documents.
+    """
+    rows = keyed(docs, quality, seed)
+    j = rows.join(C.maybe_broadcast(plan(rows)), F.col("source").eqNullSafe(F.col("_src")))
+    taken = (F.col("_b") < F.col("_eb")) | ((F.col("_b") == F.col("_eb")) & (F.struct("_k", "doc_id", "_h") <= F.col("_last")))
+    return j.withColumn("_copies", F.col("_e") + F.coalesce(taken, F.lit(False)).cast("long")).drop("_h", "_k", "_b", "_src", "_e", "_eb", "_last")
+
 
-    side = C.maybe_broadcast(plan.withColumnRenamed("source", "_src"))
-    d = d.join(side, F.col("source").eqNullSafe(F.col("_src"))).drop("_src")
-    last = Window.partitionBy("source").orderBy("_k", "doc_id", "_h").rowsBetween(Window.unboundedPreceding, -1)
-    inside = d.where("_b = _eb").withColumn("_at", F.col("_ep") + F.coalesce(F.sum("size").over(last), F.lit(0)))
-    inside = inside.withColumn("_take", (F.col("_at") + F.col("size") / 2 <= F.col("_left")) & (F.col("_e") < MOST))
-    others = d.where("not (_b <=> _eb)").withColumn("_take", F.coalesce((F.col("_b") < F.col("_eb")) & (F.col("_e") < MOST), F.lit(False)))
-    out = inside.drop("_at").unionByName(others)
-    return out.withColumn("copies", F.col("_e") + F.col("_take").cast("long")).select("doc_id", "_h", "size", "source", "source_size", "target", "copies")
+def mixed(docs: DataFrame, quality: DataFrame | None = None, seed: int = 17) -> DataFrame:
+    """The mix itself: each row of `docs` as often as it is taken."""
+    d = mix(docs, quality, seed)
+    return d.withColumn("_x", F.explode(F.array_repeat(F.lit(1), F.col("_copies").cast("int")))).select(*docs.columns)
 
 
 def quality_weights(labels: DataFrame) -> DataFrame:
@@ -93,8 +108,9 @@ def quality_weights(labels: DataFrame) -> DataFrame:
 
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All documents with the words that the mix takes of each."""
-    out = mix(C.table(spark, sf_dir, "documents"), quality_weights(C.table(spark, sf_dir, "labels")))
-    return out.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"))
+    docs = C.table(spark, sf_dir, "documents").select("doc_id", "text", "source")
+    out = mix(docs, quality_weights(C.table(spark, sf_dir, "labels")))
+    return out.select("doc_id", F.col("_size").alias("size"), "source_size", "target", (F.col("_copies") * F.col("_size")).alias("taken"))
 
 
 def oracle() -> str:
