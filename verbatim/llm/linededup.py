@@ -135,14 +135,27 @@ def removed_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 def deduplicate(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """`docs` without the lines of later copies, with n_lines and n_removed."""
     gone = C.cut(removed_lines(docs, min_words).select(F.col("doc_id").alias("_id"), F.col("_h").alias("_hh"), "gone"))
-    text = C.text_or_empty("text")
     j = docs.withColumn("_h", F.xxhash64("text")).join(C.maybe_broadcast(gone, BROADCAST_DOCS), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_h") == F.col("_hh")), "left")
-    kept = lines_of(text)
-    out = F.transform(F.col("gone"), lambda k: F.get(kept, k)["at"])
-    left = F.array_join(F.filter(F.split(text, "\n", -1), lambda x, i: ~F.array_contains(F.col("_out"), i)), "\n")
-    j = j.withColumn("_out", out).withColumn("n_removed", F.coalesce(F.size("gone"), F.lit(0)))
-    j = j.withColumn("n_removed", F.greatest("n_removed", F.lit(0)))
-    return j.withColumn("text", F.when(F.col("gone").isNotNull(), left).otherwise(F.col("text"))).drop("_id", "_hh", "_h", "_out", "gone")
+
+    @F.pandas_udf("string")
+    def without(text: pd.Series, gone: pd.Series) -> pd.Series:
+        return pd.Series([None if t is None else _without(t, g) for t, g in zip(text, gone)], dtype=object)
+
+    # only texts that lose lines are sent to Python
+    lost = F.col("gone").isNotNull()
+    j = j.withColumn("_new", without(F.when(lost, F.col("text")), "gone"))
+    j = j.withColumn("n_removed", F.when(lost, F.size("gone")).otherwise(0)).withColumn("text", F.when(lost, F.col("_new")).otherwise(F.col("text")))
+    return j.drop("_id", "_hh", "_h", "_new", "gone")
+
+
+def _without(text: str, gone) -> str:
+    out, gone, n = [], set(gone), 0
+    for line in text.split("\n"):
+        full = line.strip(" \t\r\x0b\x0c") != ""
+        if not (full and n in gone):
+            out.append(line)
+        n += full
+    return "\n".join(out)
 
 
 def op5_linededup(spark: SparkSession, sf_dir: str) -> DataFrame:
