@@ -21,7 +21,6 @@ of toxic labels (0 without labels); an empty table gives an empty result.
 from __future__ import annotations
 
 import re
-from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -34,7 +33,7 @@ from . import common as C
 
 THRESHOLD = 0.7
 #: Labelled rows of each kind for the fit at most; strongest words that count; toxic rows that a word needs.
-MAX_LABELLED, TOP, LEAST_ROWS = 3_000, 4, 3
+MAX_LABELLED, TOP, LEAST_ROWS = 2_000, 4, 3
 
 # Letters that a sign is used for.
 SIGNS = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "€": "e", "(": "c", "2": "z", "6": "g"}
@@ -46,10 +45,6 @@ N = OTHER + 1
 AS_LETTER, AS_SIGN, SHRINK, STAY, CLOSE, KEEP = 1.0, 7.0, 0.7, 7.0, 0.7, 1.5
 
 _WORD = re.compile(r"[^\W\d_]+")
-_sign = "".join(map(re.escape, SIGNS))
-#: A token that mixes letters and signs, one with a letter three times or more, or three or more single characters in a row.
-_SUSPECT = re.compile(rf"(?<![^\W_])(?:(?:[^\W\d_]|[{_sign}])(?:[ .\-_*]|(?=\s|$))){{3,}}(?![^\W_])|[^\s]*?([^\W\d_])\1\1[^\s]*|[^\W\d_]+[{_sign}]+[^\W\d_][^\s]*|[{_sign}]+[^\W\d_][^\s]*|[^\W\d_]+[$@0-9][^\s]*")
-
 _code = np.zeros(0x250, dtype=np.uint8)
 for _k, _c in enumerate(LETTERS):
     _code[ord(_c)] = _k + 1
@@ -64,6 +59,50 @@ def codes(text: str) -> np.ndarray:
     return np.where(u < 0x250, _code[np.minimum(u, 0x24F)], np.uint8(EDGE))
 
 
+_is_sign = np.zeros(0x250, dtype=bool)
+_is_word = np.array([chr(o).isalnum() or o == 95 for o in range(0x250)])
+for _c in SIGNS:
+    if ord(_c) < 0x250:
+        _is_sign[ord(_c)] = True
+_is_gap = np.zeros(0x250, dtype=bool)
+_is_gap[[ord(c) for c in " .-_*"]] = True
+
+
+def suspects(low: str) -> set[str]:
+    """Tokens of a lower-case text with more than one reading: a sign next to a letter (not a long tail of signs), a letter three times, or three or more single letters with one gap character between."""
+    u = np.frombuffer(low.encode("utf-32-le", "surrogatepass"), dtype="<u4")
+    if len(u) < 3:
+        return set()
+    u = np.r_[u, np.full(4, 32, dtype="<u4")]
+    k = np.minimum(u, 0x24F)
+    letter, sign, word, gap = _code[k] > 0, _is_sign[k], _is_word[k], _is_gap[k]
+    n = len(low)
+    mixed = (sign[:n] & letter[1 : n + 1]) | (letter[:n] & sign[1 : n + 1] & ~(sign[2 : n + 2] & sign[3 : n + 3]))
+    again = letter[:n] & (u[:n] == u[1 : n + 1]) & (u[:n] == u[2 : n + 2])
+    out = set()
+    for at in np.flatnonzero(mixed | again).tolist():
+        left = at
+        while left > 0 and not low[left - 1].isspace() and at - left < 64:
+            left -= 1
+        right = at + 1
+        while right < n and not low[right].isspace() and right - at < 64:
+            right += 1
+        out.add(low[left:right].rstrip("!|+(.,;:?"))
+    alone = (letter | sign)[:n] & ~np.r_[False, word[: n - 1]] & ~word[1 : n + 1]
+    step = np.r_[alone, np.zeros(4, dtype=bool)]
+    start = np.flatnonzero(alone & gap[1 : n + 1] & step[2 : n + 2] & gap[3 : n + 3] & step[4 : n + 4])
+    done = -1
+    for at in start.tolist():
+        if at <= done:
+            continue
+        end = at
+        while end + 2 < n and gap[end + 1] and alone[end + 2] and end - at < 64:
+            end += 2
+        out.add(low[at : end + 1])
+        done = end
+    return out
+
+
 def trigram_counts(docs: DataFrame) -> np.ndarray:
     """Counts [a, b, c] of letters c after a, b over all docs(text); N cubed numbers at most reach the driver."""
 
@@ -138,15 +177,13 @@ def restore(token: str, lm: LanguageModel) -> str:
 
 def restorer(lm: LanguageModel):
     """text -> set of words of the restored text."""
-    cached = lru_cache(maxsize=200_000)(lambda t: tuple(_WORD.findall(restore(t, lm))))
+    cached = lru_cache(maxsize=100_000)(lambda t: tuple(_WORD.findall(restore(t, lm))))
 
     def words(text: str) -> set[str]:
         low = text.lower()
         found = set(_WORD.findall(low))
-        for m in _SUSPECT.finditer(low):
-            t = m.group(0)
-            for piece in [t] if len(t) <= 256 else (t[k : k + 256] for k in range(0, len(t), 256)):
-                found.update(cached(piece))
+        for t in suspects(low):
+            found.update(cached(t))
         return found
 
     return words
@@ -161,27 +198,32 @@ def _grams(word: str) -> set[str]:
 class Model:
     """Log-odds of words and beginnings, and weights of a text's strongest words."""
 
-    def __init__(self, texts: list[tuple[set[str], int]], share: float):
+    def __init__(self, texts: list[tuple[str, int]], share: float):
+        """texts: (words joined by spaces, label)."""
         self.share, self.weights, self.odds = share, None, {}
         y = np.array([t[1] for t in texts], dtype=float)
         if not len(y) or y.min() == y.max():
             return
-        both: list[Counter] = [Counter(), Counter()]
-        features = [set().union(*map(_grams, words)) if words else set() for words, _ in texts]
-        for f, (_, label) in zip(features, texts):
-            both[label].update(f)
+        # words and features get numbers, so that a row is a small array
+        features: dict[str, int] = {}
+        of_word: dict[str, np.ndarray] = {}
+        rows = []
+        for words, _ in texts:
+            mine = [of_word[w] if w in of_word else of_word.setdefault(w, np.array([features.setdefault(g, len(features)) for g in _grams(w)], dtype=np.int32)) for w in words.split()]
+            rows.append(np.unique(np.concatenate(mine)) if mine else np.zeros(0, dtype=np.int32))
+        toxic, clean = np.zeros(len(features)), np.zeros(len(features))
+        for r, label in zip(rows, y):
+            (toxic if label else clean)[r] += 1
         n1, n0 = y.sum(), len(y) - y.sum()
 
-        def odds(g: str, own: int | None = None) -> float:
-            a, b = both[1][g] - (own == 1), both[0][g] - (own == 0)
-            return float(np.log((a + 0.1) / (n1 + 0.2)) - np.log((b + 0.5 * n0 / n1) / (n0 + n0 / n1))) if a >= LEAST_ROWS else 0.0
+        def odds(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+            return np.where(a >= LEAST_ROWS, np.log((np.maximum(a, 0) + 0.1) / (n1 + 0.2)) - np.log((np.maximum(b, 0) + 0.5 * n0 / n1) / (n0 + n0 / n1)), 0.0)
 
-        self.odds = {g: s for g in both[1] if (s := odds(g)) > 0.7}
+        every = odds(toxic, clean)
+        self.odds = {g: float(every[k]) for g, k in features.items() if every[k] > 0.7}
         # each labelled text is scored without what it says itself, else the fit would trust words too much
-        x = []
-        for f, (words, label) in zip(features, texts):
-            known = {g: odds(g, label) for g in f if both[1][g] >= LEAST_ROWS}
-            x.append(self._strongest(words, known))
+        rid = [(odds(toxic - 1, clean), odds(toxic, clean - 1))[label] for label in (0, 1)]
+        x = [self._features([float(rid[int(1 - label)][of_word[w]].max()) for w in words.split()]) for words, label in texts]
         x = np.array(x)
         a = np.c_[x, np.ones(len(x))]
         w = np.zeros(a.shape[1])
@@ -196,10 +238,6 @@ class Model:
                 break
         self.weights = w
 
-    @staticmethod
-    def _strongest(words, odds: dict[str, float]) -> list[float]:
-        return Model._features([Model._word(w, odds) for w in words])
-
     @staticmethod
     def _features(odds: list[float]) -> list[float]:
         """The largest log-odds, and what the first has above 2 and 4: few words of clean texts come there."""
@@ -212,7 +250,7 @@ class Model:
         return max((odds.get(g, 0.0) for g in _grams(word)), default=0.0)
 
     def scorer(self, words_of):
-        word = lru_cache(maxsize=500_000)(lambda w: Model._word(w, self.odds))
+        word = lru_cache(maxsize=200_000)(lambda w: Model._word(w, self.odds))
 
         def score(text: str) -> float:
             if self.weights is None:
@@ -248,7 +286,7 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> tuple[L
 
     rows = docs.select("doc_id", C.text_or_empty("text").alias("text")).join(picked, "doc_id").select("toxic", "text").mapInPandas(restored, "toxic int, words string").collect()
     texts = sorted((r["words"], r["toxic"]) for r in rows)
-    return lm, Model([(set(w.split()), t) for w, t in texts], n.get(1, 0) / total if total else 0.0)
+    return lm, Model(texts, n.get(1, 0) / total if total else 0.0)
 
 
 def score(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED, out: str = "score") -> DataFrame:
