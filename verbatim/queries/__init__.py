@@ -1,6 +1,6 @@
 """All queries of the library but those of the corpus operators."""
 
-from . import paper
+from . import paper, relational
 
-QUERIES = dict(paper.QUERIES)
-ORACLES = dict(paper.ORACLES)
+QUERIES = paper.QUERIES | relational.QUERIES
+ORACLES = paper.ORACLES | relational.ORACLES
