@@ -51,12 +51,18 @@ def targets(sizes: DataFrame) -> DataFrame:
     return t.withColumn("target", F.round(F.least(F.col("_cap"), F.coalesce(F.col("_lv") * F.col("_w"), F.col("_cap"))), 6)).select("source", "source_size", "target")
 
 
+def n_words(text: Column) -> Column:
+    """Words of a text, each replaced by one letter and counted so: no array of words is made."""
+    blank = " \t\n\x0b\x0c\r"
+    return F.length(F.regexp_replace(F.btrim(text, F.lit(blank)), r"[^\x20\x09-\x0D]+[\x20\x09-\x0D]*", "x")).cast("long")
+
+
 def keyed(docs: DataFrame, quality: DataFrame | None, seed: int) -> DataFrame:
     """`docs` with _h (text hash), _size, _k (exponential key) and _b (the key's bin).
 
     quality: (doc_id, weight double > 0), one row an id; documents without one weigh 1.
     """
-    d = docs.withColumn("_h", F.xxhash64("text")).withColumn("_size", F.regexp_count(C.text_or_empty("text"), F.lit(C.WORD)).cast("long"))
+    d = docs.withColumn("_h", F.xxhash64("text")).withColumn("_size", n_words(C.text_or_empty("text")))
     if quality is not None:
         d = d.join(C.maybe_broadcast(quality.select(F.col("doc_id").alias("_qid"), F.col("weight").alias("_q"))), F.col("doc_id") == F.col("_qid"), "left").drop("_qid")
     else:
@@ -84,12 +90,14 @@ def plan(rows: DataFrame) -> DataFrame:
     return C.cut(t.join(last, F.col("_src").eqNullSafe(F.col("_ls")), "left").select("_src", "source_size", "target", "_e", "_eb", "_last"))
 
 
-def mix(docs: DataFrame, quality: DataFrame | None = None, seed: int = 17) -> DataFrame:
+def mix(docs: DataFrame, quality: DataFrame | None = None, seed: int = 17, with_text: bool = True) -> DataFrame:
     """`docs` with _size, source_size, target and _copies (long): how often the mix takes each row.
 
-    Only the plan, a row for each source, travels to the documents.
+    Only the plan, a row for each source, travels to the documents. Without texts, their rows
+    are read once and cut off.
     """
     rows = keyed(docs, quality, seed)
+    rows = rows if with_text else C.cut(rows.drop("text"))
     j = rows.join(C.maybe_broadcast(plan(rows)), F.col("source").eqNullSafe(F.col("_src")))
     taken = (F.col("_b") < F.col("_eb")) | ((F.col("_b") == F.col("_eb")) & (F.struct("_k", "doc_id", "_h") <= F.col("_last")))
     return j.withColumn("_copies", F.col("_e") + F.coalesce(taken, F.lit(False)).cast("long")).drop("_h", "_k", "_b", "_src", "_e", "_eb", "_last")
@@ -109,7 +117,7 @@ def quality_weights(labels: DataFrame) -> DataFrame:
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All documents with the words that the mix takes of each."""
     docs = C.table(spark, sf_dir, "documents").select("doc_id", "text", "source")
-    out = mix(docs, quality_weights(C.table(spark, sf_dir, "labels")))
+    out = mix(docs, quality_weights(C.table(spark, sf_dir, "labels")), with_text=False)
     return out.select("doc_id", F.col("_size").alias("size"), "source_size", "target", (F.col("_copies") * F.col("_size")).alias("taken"))
 
 
