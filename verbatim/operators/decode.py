@@ -54,11 +54,12 @@ def _walk_all(df: DataFrame, known: dict, steps: int, orders: int, seed: str | N
 def _walk_frontier(df: DataFrame, table: DataFrame, steps: int, orders: int, seed: str | None, every: int = 8) -> DataFrame:
     """table: (ctx, say); contexts of different orders differ, as an order is a number of tokens."""
     state = df.select("id", F.when(F.size("given") > 0, F.slice("given", F.greatest(F.size("given") - (orders - 2), F.lit(1)), F.lit(orders - 1))).otherwise(F.array().cast("array<string>")).alias("tail"), F.array().cast("array<string>").alias("generated"))
+    few = fits(df)  # then the frontier travels and the table stays
     for step in range(steps):
         n = F.size("tail")
         asked = F.transform(F.sequence(F.lit(0), n), lambda k: F.struct(k.alias("k"), F.array_join(F.slice("tail", F.size("tail") - k + 1, k), " ").alias("ctx")))
         each = state.withColumn("_a", F.explode(asked)).select("id", "tail", "generated", F.col("_a.k").alias("_k"), F.col("_a.ctx").alias("ctx"))
-        met = each.join(table, "ctx").groupBy("id").agg(F.max_by("say", "_k").alias("_s"), F.first("tail").alias("tail"), F.first("generated").alias("generated"))
+        met = (F.broadcast(each) if few else each).join(table, "ctx").groupBy("id").agg(F.max_by("say", "_k").alias("_s"), F.first("tail").alias("tail"), F.first("generated").alias("generated"))
         if seed is None:
             tok = F.col("_s")
         else:
@@ -160,12 +161,15 @@ def tuned(df: DataFrame, counts: DataFrame, theta, steps: int, directive: str =
     def choose(tail: pd.Series, found: pd.Series) -> pd.Series:
         return pd.Series([pick([(x["ord"], x["n_next"], x["toks"], x["ps"], x["p0s"]) for x in f], list(t)) for t, f in zip(tail, found)])
 
-    table = cut(table)
+    # the empty context is every row's, so that none is lost where no other is known
+    none = df.sparkSession.createDataFrame([("", 0, 0, [], [], [])], "ctx string, ord int, n_next long, toks array<string>, ps array<double>, p0s array<double>")
+    table = cut(table.unionByName(none)).persist()
+    few = fits(df)
     state = df.select("id", F.when(F.size("given") > 0, F.slice("given", F.greatest(F.size("given") - (orders - 2), F.lit(1)), F.lit(orders - 1))).otherwise(F.array().cast("array<string>")).alias("tail"), F.array().cast("array<string>").alias("generated"))
     for step in range(steps):
-        asked = F.transform(F.sequence(F.lit(1), F.greatest(F.size("tail"), F.lit(1))), lambda k: F.array_join(F.slice("tail", F.greatest(F.size("tail") - k + 1, F.lit(1)), k), " "))
+        asked = F.transform(F.sequence(F.lit(0), F.size("tail")), lambda k: F.array_join(F.slice("tail", F.size("tail") - k + 1, k), " "))
         each = state.select("id", "tail", "generated", F.explode(asked).alias("ctx"))
-        met = each.join(table, "ctx", "left").groupBy("id").agg(F.collect_list(F.when(F.col("ord").isNotNull(), F.struct("ord", "n_next", "toks", "ps", "p0s"))).alias("_f"), F.first("tail").alias("tail"), F.first("generated").alias("generated"))
+        met = (F.broadcast(each) if few else each).join(table, "ctx").groupBy("id").agg(F.collect_list(F.struct("ord", "n_next", "toks", "ps", "p0s")).alias("_f"), F.first("tail").alias("tail"), F.first("generated").alias("generated"))
         longer = F.concat("tail", F.array("_t"))
         met = met.withColumn("_t", choose("tail", "_f"))
         state = met.select("id", F.slice(longer, F.greatest(F.size(longer) - (orders - 2), F.lit(1)), F.lit(orders - 1)).alias("tail"), F.concat("generated", F.array("_t")).alias("generated"))
