@@ -32,7 +32,7 @@ def choice_accuracy(options: DataFrame, counts: DataFrame) -> DataFrame:
 
 def last_number(text: str) -> Column:
     """The last number of a text, exact."""
-    return F.element_at(F.regexp_extract_all(F.regexp_replace(text, ",", ""), F.lit(r"-?[0-9]+(?:\.[0-9]+)?"), F.lit(0)), -1).cast("decimal(18,2)")
+    return F.try_element_at(F.regexp_extract_all(F.regexp_replace(text, ",", ""), F.lit(r"-?[0-9]+(?:\.[0-9]+)?"), F.lit(0)), F.lit(-1)).cast("decimal(18,2)")
 
 
 def normal(text: str) -> Column:
