@@ -16,7 +16,8 @@ those windows is exactly the maximal repeated runs of at least `min_words` words
 Defined results: lines are compared without white space at their ends; blank lines count for
 nothing and stay; null text is the empty text; a document never loses its row, only lines;
 documents that share an id are told apart by a text hash, and rows that share both lose the
-same lines; overlapping repeats inside a document keep the first lines; an empty table gives
+same lines; a repeat that overlaps itself (one line many times over) leaves only the lines
+before its second start; an empty table gives
 an empty result; other columns are carried along.
 """
 
