@@ -32,6 +32,8 @@ from pyspark.sql import functions as F
 from . import common as C
 
 WORDS, SEED, RADIUS, MAX_RUN = 4, 42, 4, 64
+#: Of the near-copy stage: independent fingerprints a text, likeness, words a shingle, hashes of a sketch.
+KINDS, LIKENESS, SHINGLE, SKETCH = 6, 0.8, 5, 256
 #: Links that a task holds before it contracts them.
 HELD = 1 << 20
 
@@ -175,14 +177,15 @@ def _stars(batches: Iterator[pd.DataFrame]) -> Iterator[np.ndarray]:
 
 
 def links(fps: DataFrame, radius: int = RADIUS, most: int = MAX_RUN) -> DataFrame:
-    """Edges (a, b) between the distinct fingerprints fps(fp) that have the components of all pairs within `radius` bits."""
+    """Edges (a, b) between the distinct fingerprints fps(fp, and k int where there are several kinds) that have the components of all pairs of a kind within `radius` bits."""
     assert radius == 4, "one half may then differ in 2 bits, and the whole ball has radius 2"
     n = C.partitions(fps.sparkSession)
     low = (1 << 32) - 1
     masks = F.array(*[F.struct(F.lit(p).alias("p"), F.lit(m).cast("long").alias("m")) for p in (0, 1) for m in (0, *[1 << b for b in range(32)])])
-    each = fps.select("fp", F.explode(masks).alias("_v"))
+    kind = F.col("k") * 2 if "k" in fps.columns else F.lit(0)
+    each = fps.select("fp", (kind.cast("long") * (1 << 32)).alias("_k"), F.explode(masks).alias("_v"))
     half = F.when(F.col("_v.p") == 0, F.col("fp").bitwiseAND(F.lit(low))).otherwise(F.shiftrightunsigned("fp", 32).bitwiseOR(F.lit(1 << 32)))
-    keyed = each.select(half.bitwiseXOR(F.col("_v.m")).alias("key"), "fp").repartition(n, "key").sortWithinPartitions("key", "fp")
+    keyed = each.select((half.bitwiseXOR(F.col("_v.m")) + F.col("_k")).alias("key"), "fp").repartition(n, "key").sortWithinPartitions("key", "fp")
     found = C.cut(keyed.mapInPandas(lambda it: _contracted(_runs(it, radius, most)), "a long, b long").distinct())
 
     def ball(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -207,11 +210,95 @@ def components(fps: DataFrame, radius: int = RADIUS, most: int = MAX_RUN) -> Dat
     return fps.join(named, "fp").select("doc_id", "fp", "component_id")
 
 
+def word_fingerprints(text: str, kinds: int) -> list[int]:
+    """Signed SimHashes of a text's set of words, as many as asked for, from one hash a word."""
+    words = set(text.encode().lower().split())
+    if not words:
+        return [0] * kinds
+    h = np.fromiter((xxhash.xxh64_intdigest(w, SEED) for w in words), dtype=np.uint64, count=len(words))
+    out = []
+    for k in range(kinds):
+        with np.errstate(over="ignore"):
+            x = (h ^ np.uint64(k * 0x51ED270B)) * np.uint64(0x9E3779B97F4A7C15)
+            x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
+            x ^= x >> np.uint64(29)
+        count = np.bincount((x.view(np.uint8).reshape(-1, 8) + _LANES).ravel(), minlength=2048)
+        ones = (count.reshape(8, 256)[:, :, None] * _BITS).sum(axis=1).ravel()
+        out.append(int.from_bytes(np.packbits(2 * ones > len(h), bitorder="little").tobytes(), "little", signed=True))
+    return out
+
+
+def sketch(text: str, size: int, words: int) -> list[int]:
+    """The `size` smallest hashes of a text's set of word shingles, in order."""
+    w = text.encode().lower().split()
+    runs = zip(*[w[k:] for k in range(words)]) if len(w) >= words else [w]
+    h = np.fromiter((xxhash.xxh64_intdigest(b" ".join(r), SEED) for r in runs), dtype=np.uint64, count=max(1, len(w) - words + 1))
+    return np.unique(h)[:size].astype(np.int64).tolist()
+
+
+def alike(a, b, size: int) -> float:
+    """Jaccard likeness of two shingle sets from their sketches: exact for sets that fit, else estimated."""
+    a, b = np.asarray(a, dtype=np.int64).astype(np.uint64), np.asarray(b, dtype=np.int64).astype(np.uint64)
+    u = np.union1d(a, b)[:size]
+    return float((np.isin(u, a) & np.isin(u, b)).sum() / max(1, len(u)))
+
+
+def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, words: int = SHINGLE, size: int = SKETCH) -> DataFrame:
+    """(doc_id): documents that are copies or near copies (likeness `least` of `words`-word shingles) of one with a smaller id.
+
+    The SimHash of shingles at 4 bits finds likeness above 0.95 or so. Two texts that are 0.8
+    alike in five-word shingles are 0.95 alike in words, so SimHashes of word sets are within
+    4 bits more often than not, and one of several independent ones nearly always is.
+    Equal texts go first. Of the others in a component, those go whose own shingles are like
+    the smallest one's: by 1 - 2 * (1 - least), what two links of `least` guarantee.
+    """
+
+    def prints(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            yield pd.DataFrame({"doc_id": b["doc_id"].array, "h1": b["h1"], "h2": b["h2"], "f": [word_fingerprints(t, kinds) for t in b["text"]]})
+
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    text = C.text_or_empty("text")
+    known = docs.where("doc_id is not null").select("doc_id", text.alias("text"), F.xxhash64(text).alias("h1"), F.xxhash64(F.lit(5), text).alias("h2"))
+    f = C.cut(known.mapInPandas(prints, f"doc_id {kind}, h1 long, h2 long, f array<long>"))
+    texts = C.cut(f.groupBy("h1", "h2").agg(F.min("doc_id").alias("rep"), F.first("f").alias("f")))
+    equal = f.join(texts.select("h1", "h2", "rep"), ["h1", "h2"]).where("doc_id <> rep").select("doc_id")
+
+    each = texts.select(F.posexplode("f").alias("k", "fp")).distinct()
+    edges = C.cut(links(each))
+    ends = edges.select(F.col("a").alias("fp")).union(edges.select(F.col("b").alias("fp"))).distinct()
+    held = texts.select(F.get("f", F.lit(0)).alias("a"), F.explode(F.slice("f", 2, max(1, kinds - 1))).alias("fp")).distinct().join(ends, "fp", "left_semi")
+    label = connected_labels(edges, held)
+    mine = texts.select("rep", F.get("f", F.lit(0)).alias("_f0"))
+    mine = C.cut(mine.join(label, F.col("_f0") == F.col("node"), "left").select("rep", F.coalesce("component", "_f0").alias("_c")))
+    first = mine.groupBy("_c").agg(F.min("rep").alias("_first"), F.count(F.lit(1)).alias("_n")).where("_n > 1").drop("_n")
+    asked = C.cut(mine.join(first, "_c").select(F.col("rep").alias("doc_id"), "_first"))
+
+    def sketches(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            yield pd.DataFrame({"doc_id": b["doc_id"].array, "s": [sketch(t, size, words) for t in b["text"]]})
+
+    told = docs.select("doc_id", text.alias("text")).join(C.maybe_broadcast(asked.select("doc_id")), "doc_id", "left_semi")
+    told = C.cut(told.mapInPandas(sketches, f"doc_id {kind}, s array<long>"))
+    pair = asked.where("doc_id <> _first").join(told, "doc_id").join(told.select(F.col("doc_id").alias("_first"), F.col("s").alias("_s")), "_first")
+
+    @F.pandas_udf("double")
+    def likeness(a: pd.Series, b: pd.Series) -> pd.Series:
+        return pd.Series([alike(x, y, size) for x, y in zip(a, b)], dtype=float)
+
+    near = pair.where(likeness("s", "_s") >= 1 - 2 * (1 - least)).select("doc_id")
+    return equal.unionByName(near).distinct()
+
+
+def connected_labels(edges: DataFrame, held: DataFrame) -> DataFrame:
+    """Components over links of all kinds, a text's kinds being held together by its first."""
+    return C.connected(edges.union(held.select("a", F.col("fp").alias("b"))))
+
+
 def deduplicate(docs: DataFrame) -> DataFrame:
-    """One document of each component stays: the one with the smallest id, once; rows without an id stay."""
-    found = C.cut(components(fingerprints(docs)))
-    left = C.drop_ids(docs, found.where("doc_id <> component_id"))
-    twice = C.cut(found.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").select("doc_id"))
+    """One document of each group of near copies stays: the one with the smallest id, once; rows without an id stay."""
+    left = C.drop_ids(docs, C.cut(near_copies(docs)))
+    twice = C.cut(docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select("doc_id"))
     if twice.limit(1).count() == 0:
         return left
     again = left.join(C.maybe_broadcast(twice), "doc_id", "left_semi")
