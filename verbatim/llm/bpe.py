@@ -80,8 +80,8 @@ def encode(docs: DataFrame, keep: list[str], vocabulary: str = VOCABULARY, patte
     def whole(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         enc, texts = encoding(lines.value, pattern)
         for b in batches:
-            for at in range(0, len(b), 256):
-                part = b.iloc[at : at + 256]
+            for at in range(0, len(b), 64):  # ids of few texts at once are in memory
+                part = b.iloc[at : at + 64]
                 yield finish({n: part[n].array for n in names}, [enc.encode_ordinary(t) for t in part["_text"]], enc, texts)
 
     def pieces(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

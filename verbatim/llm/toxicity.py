@@ -106,16 +106,24 @@ def suspects(low: str) -> set[str]:
 def trigram_counts(docs: DataFrame) -> np.ndarray:
     """Counts [a, b, c] of letters c after a, b over all docs(text); N cubed numbers at most reach the driver."""
 
+    def count(total: np.ndarray, parts: list[np.ndarray]) -> None:
+        # two edges before and one after each word; runs of edges count like one
+        x = np.concatenate(parts).astype(np.int64)
+        x = np.r_[EDGE, EDGE, x[(x > 0) | (np.r_[1, x[:-1]] > 0)], EDGE]
+        y = np.where((x[:-1] == EDGE), EDGE, np.r_[EDGE, x[:-2]])
+        total += np.bincount((y[:-1] * N + x[:-2]) * N + x[1:-1], minlength=N**3)
+
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        total = np.zeros(N**3, dtype=np.int64)
+        total, parts, size = np.zeros(N**3, dtype=np.int64), [], 0
         for b in batches:
             for t in b["text"]:
-                # two edges before and one after each word; runs of edges count like one
-                x = codes(t.lower()).astype(np.int64)
-                x = np.r_[EDGE, EDGE, x[(x > 0) | (np.r_[1, x[:-1]] > 0)], EDGE]
-                y = np.where((x[:-1] == EDGE), EDGE, np.r_[EDGE, x[:-2]])
-                k = (y[:-1] * N + x[:-2]) * N + x[1:-1]
-                total += np.bincount(k, minlength=N**3)
+                parts += [codes(t.lower()), np.zeros(1, dtype=np.uint8)]
+                size += len(t)
+                if size > 1 << 18:  # a bin count costs N cubed: many texts share one
+                    count(total, parts)
+                    parts, size = [], 0
+        if parts:
+            count(total, parts)
         at = np.flatnonzero(total)
         yield pd.DataFrame({"k": at, "n": total[at]})
 
@@ -177,7 +185,7 @@ def restore(token: str, lm: LanguageModel) -> str:
 
 def restorer(lm: LanguageModel):
     """text -> set of words of the restored text."""
-    cached = lru_cache(maxsize=100_000)(lambda t: tuple(_WORD.findall(restore(t, lm))))
+    cached = lru_cache(maxsize=20_000)(lambda t: tuple(_WORD.findall(restore(t, lm))))
 
     def words(text: str) -> set[str]:
         low = text.lower()
@@ -250,7 +258,7 @@ class Model:
         return max((odds.get(g, 0.0) for g in _grams(word)), default=0.0)
 
     def scorer(self, words_of):
-        word = lru_cache(maxsize=200_000)(lambda w: Model._word(w, self.odds))
+        word = lru_cache(maxsize=50_000)(lambda w: Model._word(w, self.odds))
 
         def score(text: str) -> float:
             if self.weights is None:
