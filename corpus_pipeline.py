@@ -16,13 +16,18 @@ def clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def without_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Later copies of repeated line runs go; no row does, and n_chars follows the text."""
-    out = linededup.deduplicate(docs).withColumn("n_chars", F.when(F.col("n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")))
-    return out.select(*docs.columns)
+
+    @C.carrying("doc_id", "text", "n_chars")
+    def cut(d: DataFrame) -> DataFrame:
+        out = linededup.deduplicate(d)
+        return out.withColumn("n_chars", F.when(F.col("n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))).drop("n_removed")
+
+    return cut(docs)
 
 
 def without_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies stays."""
-    return simhash.deduplicate(docs).select(*docs.columns)
+    return simhash.deduplicate(docs)
 
 
 def to_weights(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -48,10 +53,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over `documents`; each is written as Parquet to the shared folder and read again."""
-    docs = C.table(spark, sf_dir, "documents")
+    """All stages over `documents`; each is written as Parquet to the shared folder and read again, and goes when the next one is there."""
+    docs, before = C.table(spark, sf_dir, "documents"), None
     for name, stage in STAGES:
         path = C.new_path(spark, f"pipeline-{name}")
         stage(spark, docs, sf_dir).write.parquet(path)
-        docs = spark.read.parquet(path)
+        if before:
+            C.delete_path(spark, before)
+        docs, before = spark.read.parquet(path), path
     return docs

@@ -38,7 +38,7 @@ def test_line_runs(spark):
         (5, lines(2, 3, 4) + "\nrest"), (6, None), (7, ""), (None, shared), (8, shared), (8, shared), (9, "z\n" * 20_000),
     ]
     df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("gone", F.lit("x"))
-    out = linededup.deduplicate(df.select("doc_id", "text")).collect()
+    out = linededup.deduplicate(df).collect()
     got = {r.doc_id: r.text for r in out if r.doc_id != 9}
     # the row without an id comes first in order; ten words a line, forty for a run
     assert got == {None: shared, 1: "start one\n\nend one", 2: "start two\nend two", 3: rows[2][1], 4: rows[3][1], 5: rows[4][1], 6: None, 7: "", 8: ""}
@@ -128,6 +128,18 @@ def test_toxicity_odd_rows(spark):
     assert toxicity.score(docs.limit(0), labels).count() == 0
 
 
+def test_extra_columns_that_clash(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").limit(40)
+    names = ["_h", "_k", "_b", "gone", "_id", "n_removed", "_toxicity", "score", "_copies", "_x", "_r", "__index_p", "with.dot", "shard", "fp", "component_id"]
+    wide = spark.createDataFrame([(*r, *[f"{n}{r.doc_id}" for n in names]) for r in docs.collect()], docs.columns + names)
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, wide, sf)
+        assert out.columns == wide.columns
+        for r in out.collect():
+            assert all(r[n] == f"{n}{r.doc_id}" for n in names)
+    assert corpus_pipeline.to_ids(spark, wide, sf).count() == 40
+
+
 def test_pipeline_against_the_parts(spark, sf):
     """Each stage's decision recomputed plainly from its own input."""
     docs = spark.read.parquet(f"{sf}/documents.parquet")

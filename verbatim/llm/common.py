@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from functools import wraps
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -80,6 +81,30 @@ def global_index(df: DataFrame, keys: list[Column], name: str) -> DataFrame:
     return placed.join(F.broadcast(starts), "__index_p").withColumn(name, F.col("__index_o") + F.col("__index_i")).drop("__index_p", "__index_i", "__index_o")
 
 
+def carrying(*needed: str):
+    """For functions of documents that return their rows: columns that are not `needed` travel
+    packed in one struct, so that no name of theirs can clash with one that the function uses.
+    Columns that the function adds replace carried ones of that name.
+    """
+
+    def wrap(f):
+        @wraps(f)
+        def g(docs: DataFrame, *args, **kwargs) -> DataFrame:
+            extra = [c for c in docs.columns if c not in needed]
+            if not extra:
+                return f(docs, *args, **kwargs)
+            quoted = lambda c: F.col("`" + c.replace("`", "``") + "`")
+            packed = docs.select(*[c for c in docs.columns if c in needed], F.struct(*map(quoted, extra)).alias("__rest"))
+            out = f(packed, *args, **kwargs)
+            new = [c for c in out.columns if c not in packed.columns]
+            own = [F.col(c) if c in needed else F.col("__rest").getField(c).alias(c) for c in docs.columns if c not in new]
+            return out.select(*own, *new)
+
+        return g
+
+    return wrap
+
+
 def drop_ids(docs: DataFrame, gone: DataFrame, key: str = "doc_id") -> DataFrame:
     """Rows whose key is not in `gone`; a short list is broadcast so that texts need no shuffle."""
     return docs.join(maybe_broadcast(gone.select(key).distinct()), key, "left_anti")

@@ -133,6 +133,7 @@ def removed_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     return gone.groupBy("doc_id", "_h").agg(F.sort_array(F.collect_list("i")).alias("gone"))
 
 
+@C.carrying("doc_id", "text")
 def deduplicate(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """`docs` without the lines of later copies, with n_lines and n_removed."""
     gone = C.cut(removed_lines(docs, min_words).select(F.col("doc_id").alias("_id"), F.col("_h").alias("_hh"), "gone"))

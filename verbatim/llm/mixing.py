@@ -90,6 +90,7 @@ def plan(rows: DataFrame) -> DataFrame:
     return C.cut(t.join(last, F.col("_src").eqNullSafe(F.col("_ls")), "left").select("_src", "source_size", "target", "_e", "_eb", "_last"))
 
 
+@C.carrying("doc_id", "text", "source")
 def mix(docs: DataFrame, quality: DataFrame | None = None, seed: int = 17, with_text: bool = True) -> DataFrame:
     """`docs` with _size, source_size, target and _copies (long): how often the mix takes each row.
 
@@ -103,6 +104,7 @@ def mix(docs: DataFrame, quality: DataFrame | None = None, seed: int = 17, with_
     return j.withColumn("_copies", F.col("_e") + F.coalesce(taken, F.lit(False)).cast("long")).drop("_h", "_k", "_b", "_src", "_e", "_eb", "_last")
 
 
+@C.carrying("doc_id", "text", "source")
 def mixed(docs: DataFrame, quality: DataFrame | None = None, seed: int = 17) -> DataFrame:
     """The mix itself: each row of `docs` as often as it is taken."""
     d = mix(docs, quality, seed)

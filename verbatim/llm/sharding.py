@@ -8,7 +8,7 @@ and anyone who knows (row count, seed) computes shard and slot of a row number,
 
 Defined results: null texts count no bytes and have the checksum of the empty text; equal
 rows are interchangeable; null keys come first; an empty table gives an empty result; other
-columns are carried along untouched.
+columns are carried along untouched (names that begin with `__index` are the function's own).
 """
 
 from __future__ import annotations
@@ -62,16 +62,16 @@ def unpermute(places, n: int, seed: int) -> np.ndarray:
 
 def shard(df: DataFrame, keys: list[Column], shards: int = 16, seed: int = 1) -> DataFrame:
     """`df` with shard int and slot long. `keys` fix the global row numbers; all columns travel."""
-    numbered = C.global_index(df, keys, "_row")
-    n = numbered.select(F.max("_row")).first()[0]
+    numbered = C.global_index(df, keys, "__index_row")
+    n = numbered.select(F.max("__index_row")).first()[0]
     n = 0 if n is None else n + 1
 
     @F.pandas_udf("long")
     def place(row: pd.Series) -> pd.Series:
         return pd.Series(permute(row.to_numpy(), n, seed))
 
-    placed = numbered.withColumn("_at", place("_row"))
-    return placed.withColumn("shard", (F.col("_at") % shards).cast("int")).withColumn("slot", F.floor(F.col("_at") / shards).cast("long")).drop("_row", "_at")
+    placed = numbered.withColumn("__index_at", place("__index_row"))
+    return placed.withColumn("shard", (F.col("__index_at") % shards).cast("int")).withColumn("slot", F.floor(F.col("__index_at") / shards).cast("long")).drop("__index_row", "__index_at")
 
 
 def write_shards(sharded: DataFrame, path: str) -> None:
