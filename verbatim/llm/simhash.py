@@ -25,15 +25,16 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common as C
 
-WORDS, SEED, RADIUS, MAX_RUN = 4, 42, 4, 64
+WORDS, SEED, RADIUS, MAX_RUN = 4, 42, 4, 4096
 #: Of the near-copy stage: independent fingerprints a text, likeness, words a shingle, hashes of a sketch.
-KINDS, LIKENESS, SHINGLE, SKETCH = 6, 0.8, 5, 256
+KINDS, LIKENESS, SHINGLE, SKETCH = 4, 0.8, 5, 256
 #: Links that a task holds before it contracts them.
 HELD = 1 << 20
 
@@ -63,25 +64,27 @@ def fingerprint(text: str | None, words: int = WORDS) -> int:
 def fingerprints(docs: DataFrame, words: int = WORDS) -> DataFrame:
     """(doc_id, fp long): signed, kept by a checkpoint because several steps read it."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fp = np.array([fingerprint(t, words) for t in b["text"]], dtype=np.uint64).astype(np.int64)
-            yield pd.DataFrame({"doc_id": b["doc_id"].array, "fp": fp})
+            fp = np.array([fingerprint(t.as_py(), words) for t in b.column("text")], dtype=np.uint64).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(fp)], ["doc_id", "fp"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return C.cut(docs.select("doc_id", C.text_or_empty("text").alias("text")).mapInPandas(run, f"doc_id {kind}, fp long"))
+    return C.cut(docs.select("doc_id", C.text_or_empty("text").alias("text")).mapInArrow(run, f"doc_id {kind}, fp long"))
 
 
 def _parts_of(fps: np.ndarray, radius: int) -> list[tuple[int, int]]:
-    """(member, first member) of the parts that links within `radius` make of a few fingerprints."""
-    near = np.bitwise_count(fps[:, None] ^ fps[None, :]) <= radius
-    root = np.arange(len(fps))
-    while True:
-        new = np.where(near, root[None, :], len(fps)).min(axis=1)
-        new = np.minimum(new, new[new])
-        if (new == root).all():
-            return [(int(fps[i]), int(fps[r])) for i, r in enumerate(root) if r != i]
-        root = new
+    """(member, first member) of the parts that links within `radius` make of a run: each member meets those that no part has yet."""
+    left, out = np.arange(len(fps)), []
+    while len(left):
+        root, left = left[0], left[1:]
+        open_ = [root]
+        while open_ and len(left):
+            near = np.bitwise_count(fps[left] ^ fps[open_.pop()]) <= radius
+            hit, left = left[near], left[~near]
+            open_ += hit.tolist()
+            out += [(int(f), int(fps[root])) for f in fps[hit]]
+    return out
 
 
 def _contract(links: np.ndarray) -> np.ndarray:
@@ -253,14 +256,15 @@ def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, wo
     the smallest one's: by 1 - 2 * (1 - least), what two links of `least` guarantee.
     """
 
-    def prints(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pd.DataFrame({"doc_id": b["doc_id"].array, "h1": b["h1"], "h2": b["h2"], "f": [word_fingerprints(t, kinds) for t in b["text"]]})
+            f = pa.array([word_fingerprints(t.as_py(), kinds) for t in b.column("text")], pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("doc_id", "h1", "h2")), f], ["doc_id", "h1", "h2", "f"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     text = C.text_or_empty("text")
     known = docs.where("doc_id is not null").select("doc_id", text.alias("text"), F.xxhash64(text).alias("h1"), F.xxhash64(F.lit(5), text).alias("h2"))
-    f = C.cut(known.mapInPandas(prints, f"doc_id {kind}, h1 long, h2 long, f array<long>"))
+    f = C.cut(known.mapInArrow(prints, f"doc_id {kind}, h1 long, h2 long, f array<long>"))
     texts = C.cut(f.groupBy("h1", "h2").agg(F.min("doc_id").alias("rep"), F.first("f").alias("f")))
     equal = f.join(texts.select("h1", "h2", "rep"), ["h1", "h2"]).where("doc_id <> rep").select("doc_id")
 
@@ -274,12 +278,15 @@ def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, wo
     first = mine.groupBy("_c").agg(F.min("rep").alias("_first"), F.count(F.lit(1)).alias("_n")).where("_n > 1").drop("_n")
     asked = C.cut(mine.join(first, "_c").select(F.col("rep").alias("doc_id"), "_first"))
 
-    def sketches(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def sketches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pd.DataFrame({"doc_id": b["doc_id"].array, "s": [sketch(t, size, words) for t in b["text"]]})
+            for at in range(0, b.num_rows, 512):
+                part = b.slice(at, 512)
+                s = pa.array([sketch(t.as_py(), size, words) for t in part.column("text")], pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), s], ["doc_id", "s"])
 
     told = docs.select("doc_id", text.alias("text")).join(C.maybe_broadcast(asked.select("doc_id")), "doc_id", "left_semi")
-    told = C.cut(told.mapInPandas(sketches, f"doc_id {kind}, s array<long>"))
+    told = C.cut(told.mapInArrow(sketches, f"doc_id {kind}, s array<long>"))
     pair = asked.where("doc_id <> _first").join(told, "doc_id").join(told.select(F.col("doc_id").alias("_first"), F.col("s").alias("_s")), "_first")
 
     @F.pandas_udf("double")
@@ -295,6 +302,7 @@ def connected_labels(edges: DataFrame, held: DataFrame) -> DataFrame:
     return C.connected(edges.union(held.select("a", F.col("fp").alias("b"))))
 
 
+@C.carrying("doc_id", "text")
 def deduplicate(docs: DataFrame) -> DataFrame:
     """One document of each group of near copies stays: the one with the smallest id, once; rows without an id stay."""
     left = C.drop_ids(docs, C.cut(near_copies(docs)))
