@@ -20,6 +20,7 @@ from collections.abc import Iterator
 
 import pandas as pd
 import public_tokenizers
+import pyarrow as pa
 import regex
 import tiktoken
 from pyspark.sql import DataFrame, SparkSession
@@ -77,12 +78,16 @@ def encode(docs: DataFrame, keep: list[str], vocabulary: str = VOCABULARY, patte
         cols = dict(keys) | {n: [x[k] for x in said] for k, n in enumerate(("n_tokens", "ids_sha256", "decoded_sha256"))}
         return pd.DataFrame(cols | ({"ids": tokens} if with_ids else {}))
 
-    def whole(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc, texts = encoding(lines.value, pattern)
         for b in batches:
-            for at in range(0, len(b), 64):  # ids of few texts at once are in memory
-                part = b.iloc[at : at + 64]
-                yield finish({n: part[n].array for n in names}, [enc.encode_ordinary(t) for t in part["_text"]], enc, texts)
+            for at in range(0, b.num_rows, 64):  # ids of few texts at once are in memory
+                part = b.slice(at, 64)
+                tokens = [enc.encode_ordinary(t.as_py()) for t in part.column("_text")]
+                said = [_digest(t, enc, texts) for t in tokens]
+                made = [pa.array([x[0] for x in said], pa.int64()), pa.array([x[1] for x in said], pa.string()), pa.array([x[2] for x in said], pa.string())]
+                made += [pa.array(tokens, pa.list_(pa.int32()))] * with_ids
+                yield pa.RecordBatch.from_arrays([*(part.column(n) for n in names), *made], [*names, "n_tokens", "ids_sha256", "decoded_sha256", *["ids"] * with_ids])
 
     def pieces(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         enc, _ = encoding(lines.value, pattern)
@@ -96,7 +101,7 @@ def encode(docs: DataFrame, keep: list[str], vocabulary: str = VOCABULARY, patte
         group = group.sort_values("_c")
         return finish({n: group[n].iloc[:1].array for n in names}, [[i for ids in group["_ids"] for i in ids]], enc, texts)
 
-    short = kept.where(F.col("_len") <= chunk).select(*names, "_text").mapInPandas(whole, out)
+    short = kept.where(F.col("_len") <= chunk).select(*names, "_text").mapInArrow(whole, out)
     # rows get their number before chunks are dealt, and both are cut off: a retry can't renumber them
     long = kept.where(F.col("_len") > chunk).withColumn("_row", F.monotonically_increasing_id())
     long = long.withColumn("_n", F.ceil(F.col("_len") / chunk).cast("int")).select(*names, "_row", "_n", "_text", F.explode(F.sequence(F.lit(0), F.col("_n") - 1)).alias("_c"))

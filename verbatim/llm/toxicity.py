@@ -26,8 +26,10 @@ from functools import lru_cache
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import common as C
 
@@ -113,10 +115,11 @@ def trigram_counts(docs: DataFrame) -> np.ndarray:
         y = np.where((x[:-1] == EDGE), EDGE, np.r_[EDGE, x[:-2]])
         total += np.bincount((y[:-1] * N + x[:-2]) * N + x[1:-1], minlength=N**3)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total, parts, size = np.zeros(N**3, dtype=np.int64), [], 0
         for b in batches:
-            for t in b["text"]:
+            for x in b.column("text"):
+                t = x.as_py()
                 parts += [codes(t.lower()), np.zeros(1, dtype=np.uint8)]
                 size += len(t)
                 if size > 1 << 18:  # a bin count costs N cubed: many texts share one
@@ -125,9 +128,9 @@ def trigram_counts(docs: DataFrame) -> np.ndarray:
         if parts:
             count(total, parts)
         at = np.flatnonzero(total)
-        yield pd.DataFrame({"k": at, "n": total[at]})
+        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], ["k", "n"])
 
-    got = docs.select(C.text_or_empty("text").alias("text")).mapInPandas(run, "k int, n long").groupBy("k").agg(F.sum("n").alias("n")).toPandas()
+    got = docs.select(C.text_or_empty("text").alias("text")).mapInArrow(run, "k int, n long").groupBy("k").agg(F.sum("n").alias("n")).toPandas()
     out = np.zeros(N**3)
     out[got["k"].to_numpy()] = got["n"].to_numpy()
     return out.reshape(N, N, N)
@@ -269,6 +272,7 @@ class Model:
         return score
 
 
+@C.carrying("doc_id", "text")
 def keep_clean(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The rows of `docs` that score below the threshold."""
     return score(docs, labels, out="_toxicity").where(F.col("_toxicity") < THRESHOLD).drop("_toxicity")
@@ -297,6 +301,53 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> tuple[L
     return lm, Model(texts, n.get(1, 0) / total if total else 0.0)
 
 
+@C.carrying("doc_id", "text")
+def score(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED, out: str = "score") -> DataFrame:
+    """`docs` with its score, double, as the column `out`."""
+    lm, model = fit(docs, labels, most)
+    sent = docs.sparkSession.sparkContext.broadcast((lm, model))
+
+    def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lm, model = sent.value
+        one = model.scorer(restorer(lm))
+        for b in batches:
+            s = pa.array([one(t.as_py() or "") for t in b.column("text")], pa.float64())
+            yield pa.RecordBatch.from_arrays([*b.columns, s], [*b.schema.names, out])
+
+    # rows pass through as they came, with one more column
+    return docs.mapInArrow(scored, T.StructType([*docs.schema.fields, T.StructField(out, T.DoubleType())]))
+
+
+@C.carrying("doc_id", "text")
+def keep_clean(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """The rows of `docs` that score below the threshold."""
+    return score(docs, labels, out="_toxicity").where(F.col("_toxicity") < THRESHOLD).drop("_toxicity")
+
+
+def held_out(doc_id="doc_id"):
+    return F.crc32(F.coalesce(F.col(doc_id).cast("string"), F.lit("")).cast("binary")) % 3 == 1
+
+
+def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> tuple[LanguageModel, Model]:
+    """The language model of docs(text), and the model of the labels (doc_id, toxic) that may be learnt."""
+    lm = LanguageModel(trigram_counts(docs))
+    known = C.cut(labels.where(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic")).join(docs.select("doc_id"), "doc_id", "left_semi"))
+    n = {r["toxic"]: r["n"] for r in known.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
+    total = sum(n.values())
+    picked = [known.where(F.col("toxic") == t).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most) for t in (0, 1)]
+    picked = F.broadcast(picked[0].unionByName(picked[1]))
+
+    def restored(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        words = restorer(lm)
+        for b in batches:
+            yield pd.DataFrame({"toxic": b["toxic"], "words": [" ".join(sorted(words(t))) for t in b["text"]]})
+
+    rows = docs.select("doc_id", C.text_or_empty("text").alias("text")).join(picked, "doc_id").select("toxic", "text").mapInPandas(restored, "toxic int, words string").collect()
+    texts = sorted((r["words"], r["toxic"]) for r in rows)
+    return lm, Model(texts, n.get(1, 0) / total if total else 0.0)
+
+
+@C.carrying("doc_id", "text")
 def score(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED, out: str = "score") -> DataFrame:
     """`docs` with its score, double, as the column `out`."""
     lm, model = fit(docs, labels, most)
