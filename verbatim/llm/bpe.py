@@ -88,6 +88,7 @@ def encode(docs: DataFrame, keep: list[str], vocabulary: str = VOCABULARY, patte
                 made = [pa.array([x[0] for x in said], pa.int64()), pa.array([x[1] for x in said], pa.string()), pa.array([x[2] for x in said], pa.string())]
                 made += [pa.array(tokens, pa.list_(pa.int32()))] * with_ids
                 yield pa.RecordBatch.from_arrays([*(part.column(n) for n in names), *made], [*names, "n_tokens", "ids_sha256", "decoded_sha256", *["ids"] * with_ids])
+        C.give_back()
 
     def pieces(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         enc, _ = encoding(lines.value, pattern)

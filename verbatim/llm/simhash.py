@@ -68,6 +68,7 @@ def fingerprints(docs: DataFrame, words: int = WORDS) -> DataFrame:
         for b in batches:
             fp = np.array([fingerprint(t.as_py(), words) for t in b.column("text")], dtype=np.uint64).astype(np.int64)
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(fp)], ["doc_id", "fp"])
+        C.give_back()
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     return C.cut(docs.select("doc_id", C.text_or_empty("text").alias("text")).mapInArrow(run, f"doc_id {kind}, fp long"))
@@ -123,6 +124,8 @@ def _contracted(frames: Iterator[np.ndarray]) -> Iterator[pd.DataFrame]:
                 links, marks, rows = [], [], 0
     if links:
         yield out()
+    del links, marks
+    C.give_back()
 
 
 def _runs(batches: Iterator[pd.DataFrame], radius: int, most: int) -> Iterator[np.ndarray]:
@@ -260,6 +263,7 @@ def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, wo
         for b in batches:
             f = pa.array([word_fingerprints(t.as_py(), kinds) for t in b.column("text")], pa.list_(pa.int64()))
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("doc_id", "h1", "h2")), f], ["doc_id", "h1", "h2", "f"])
+        C.give_back()
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     text = C.text_or_empty("text")
@@ -268,11 +272,13 @@ def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, wo
     texts = C.cut(f.groupBy("h1", "h2").agg(F.min("doc_id").alias("rep"), F.first("f").alias("f")))
     equal = f.join(texts.select("h1", "h2", "rep"), ["h1", "h2"]).where("doc_id <> rep").select("doc_id")
 
-    each = texts.select(F.posexplode("f").alias("k", "fp")).distinct()
-    edges = C.cut(links(each))
-    ends = edges.select(F.col("a").alias("fp")).union(edges.select(F.col("b").alias("fp"))).distinct()
-    held = texts.select(F.get("f", F.lit(0)).alias("a"), F.explode(F.slice("f", 2, max(1, kinds - 1))).alias("fp")).distinct().join(ends, "fp", "left_semi")
-    label = connected_labels(edges, held)
+    # a text is known by its first fingerprint, and each fingerprint by the smallest text that has it
+    every = texts.select(F.get("f", F.lit(0)).alias("_f0"), F.posexplode("f").alias("k", "fp"))
+    owner = C.cut(every.groupBy("fp").agg(F.min("_f0").alias("own")))
+    shared = every.join(owner, "fp").where("_f0 <> own").select(F.col("_f0").alias("a"), F.col("own").alias("b"))
+    found = links(every.select("fp", "k").distinct())
+    found = found.join(owner.select(F.col("fp").alias("a"), F.col("own").alias("oa")), "a").join(owner.select(F.col("fp").alias("b"), F.col("own").alias("ob")), "b")
+    label = C.connected(found.select(F.col("oa").alias("a"), F.col("ob").alias("b")).union(shared))
     mine = texts.select("rep", F.get("f", F.lit(0)).alias("_f0"))
     mine = C.cut(mine.join(label, F.col("_f0") == F.col("node"), "left").select("rep", F.coalesce("component", "_f0").alias("_c")))
     first = mine.groupBy("_c").agg(F.min("rep").alias("_first"), F.count(F.lit(1)).alias("_n")).where("_n > 1").drop("_n")
@@ -297,11 +303,6 @@ def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, wo
     return equal.unionByName(near).distinct()
 
 
-def connected_labels(edges: DataFrame, held: DataFrame) -> DataFrame:
-    """Components over links of all kinds, a text's kinds being held together by its first."""
-    return C.connected(edges.union(held.select("a", F.col("fp").alias("b"))))
-
-
 @C.carrying("doc_id", "text")
 def deduplicate(docs: DataFrame) -> DataFrame:
     """One document of each group of near copies stays: the one with the smallest id, once; rows without an id stay."""

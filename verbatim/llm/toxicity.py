@@ -313,6 +313,8 @@ def score(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED, out: str
         for b in batches:
             s = pa.array([one(t.as_py() or "") for t in b.column("text")], pa.float64())
             yield pa.RecordBatch.from_arrays([*b.columns, s], [*b.schema.names, out])
+        del one
+        C.give_back()
 
     # rows pass through as they came, with one more column
     return docs.mapInArrow(scored, T.StructType([*docs.schema.fields, T.StructField(out, T.DoubleType())]))
