@@ -132,8 +132,10 @@ def connected(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """
     d = edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct()
     # a node keeps its smallest neighbour, and that one takes over the others: as connected, and far fewer edges where stars overlap
-    d = d.withColumn("_m", F.min("v").over(Window.partitionBy("u")))
-    e = d.select("u", F.col("_m").alias("v")).union(d.where("v <> _m").select("v", "_m")).distinct()
+    for _ in range(3):
+        d = d.withColumn("_m", F.min("v").over(Window.partitionBy("u")))
+        d = d.select("u", F.col("_m").alias("v")).union(d.where("v <> _m").select(F.col("v").alias("u"), F.col("_m").alias("v"))).distinct()
+    e = d
     e = cut(e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v"))).distinct())
     lab = e.groupBy("u").agg(F.min("v").alias("l")).select(F.col("u").alias("node"), F.least("u", "l").alias("component"))
     lab = cut(lab)
