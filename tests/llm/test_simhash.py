@@ -77,3 +77,21 @@ def test_odd_rows(spark):
     kept = sorted((r.doc_id or -1) for r in simhash.deduplicate(df).collect())
     assert kept == [-1, 3, 7, 9]
     assert simhash.components(simhash.fingerprints(df.limit(0))).count() == 0
+
+
+def spread_edits(words, at, tag):
+    """A copy of `words` with other words at the places `at`; each changes five shingles."""
+    return [f"{tag}{k}" if k in at else w for k, w in enumerate(words)]
+
+
+def plain_like(a, b):
+    x, y = ({tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} for w in (a.lower().split(), b.lower().split()))
+    return len(x & y) / len(x | y)
+
+
+def test_less_than_likeness_stays(spark):
+    base = [f"w{k}" for k in range(400)]
+    rows = [(1, " ".join(base)), (2, " ".join(spread_edits(base, range(20, 380, 24), "x"))), (3, " ".join(spread_edits(base, range(10, 390, 60), "y")))]
+    assert 0.6 < plain_like(rows[0][1], rows[1][1]) < 0.8 <= plain_like(rows[0][1], rows[2][1])
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert sorted(r.doc_id for r in simhash.deduplicate(df).collect()) == [1, 2]

@@ -255,8 +255,8 @@ def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, wo
     The SimHash of shingles at 4 bits finds likeness above 0.95 or so. Two texts that are 0.8
     alike in five-word shingles are 0.95 alike in words, so SimHashes of word sets are within
     4 bits more often than not, and one of several independent ones nearly always is.
-    Equal texts go first. Of the others in a component, those go whose own shingles are like
-    the smallest one's: by 1 - 2 * (1 - least), what two links of `least` guarantee.
+    Equal texts go first. Of the others in a component, those go whose own shingles are
+    `least` like the smallest one's.
     """
 
     def prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -299,7 +299,7 @@ def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, wo
     def likeness(a: pd.Series, b: pd.Series) -> pd.Series:
         return pd.Series([alike(x, y, size) for x, y in zip(a, b)], dtype=float)
 
-    near = pair.where(likeness("s", "_s") >= 1 - 2 * (1 - least)).select("doc_id")
+    near = pair.where(likeness("s", "_s") >= least).select("doc_id")
     return equal.unionByName(near).distinct()
 
 
