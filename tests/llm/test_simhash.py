@@ -95,3 +95,24 @@ def test_less_than_likeness_stays(spark):
     assert 0.6 < plain_like(rows[0][1], rows[1][1]) < 0.8 <= plain_like(rows[0][1], rows[2][1])
     df = spark.createDataFrame(rows, "doc_id long, text string")
     assert sorted(r.doc_id for r in simhash.deduplicate(df).collect()) == [1, 2]
+
+
+def test_every_group_of_a_component_is_deduplicated(spark):
+    """Texts over one vocabulary meet in a component; near copies of each of its groups go, also where the smallest text is unlike them."""
+    rng = np.random.default_rng(5)
+    base = [f"w{k}" for k in range(300)]
+    rows = []
+    for g in range(6):  # the same words in another order: equal word fingerprints, unlike shingles
+        words = base if g == 0 else [base[k] for k in rng.permutation(300)]
+        rows += [(10 * g + c, " ".join(spread_edits(words, range(30 + 7 * c, 290, 120), f"e{g}{c}x") if c else words)) for c in range(4)]
+    # a chain of edits: each text is like the next one, the far end is unlike the first
+    for c in range(24):
+        rows.append((100 + c, " ".join(f"c{k}" if k >= 8 * c else f"d{k}" for k in range(400))))
+    text = dict(rows)
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = sorted(r.doc_id for r in simhash.deduplicate(df).collect())
+    assert [k for k in kept if k < 100] == [0, 10, 20, 30, 40, 50]
+    assert plain_like(text[100], text[123]) < 0.6
+    for k in text:
+        smaller = [plain_like(text[k], text[j]) for j in text if j < k]
+        assert max((plain_like(text[k], text[j]) for j in kept if j < k), default=0) < 0.8 if k in kept else max(smaller) >= 0.8

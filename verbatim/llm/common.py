@@ -118,7 +118,7 @@ def carrying(*needed: str):
     return wrap
 
 
-def drop_ids(docs: DataFrame, gone: DataFrame, key: str = "doc_id") -> DataFrame:
+def drop_ids(docs: DataFrame, gone: DataFrame, key: str | list[str] = "doc_id") -> DataFrame:
     """Rows whose key is not in `gone`; a short list is broadcast so that texts need no shuffle."""
     return docs.join(maybe_broadcast(gone.select(key).distinct()), key, "left_anti")
 

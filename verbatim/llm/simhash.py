@@ -33,8 +33,10 @@ from pyspark.sql import functions as F
 from . import common as C
 
 WORDS, SEED, RADIUS, MAX_RUN = 4, 42, 4, 4096
-#: Of the near-copy stage: independent fingerprints a text, likeness, words a shingle, hashes of a sketch.
-KINDS, LIKENESS, SHINGLE, SKETCH = 4, 0.8, 5, 256
+#: Of the near-copy stage: independent fingerprints a text, likeness, words a shingle; MinHash bands and their rows (of 0.8 likeness, 1 pair in 100,000 shares no band).
+KINDS, LIKENESS, SHINGLE, BANDS, ROWS = 4, 0.8, 5, 16, 3
+#: What tells texts apart: the smallest id that has one, and its hashes.
+TEXT_ID = ["doc_id", "h1", "h2"]
 #: Links that a task holds before it contracts them.
 HELD = 1 << 20
 
@@ -234,43 +236,87 @@ def word_fingerprints(text: str, kinds: int) -> list[int]:
     return out
 
 
-def sketch(text: str, size: int, words: int) -> list[int]:
-    """The `size` smallest hashes of a text's set of word shingles, in order."""
+def shingle_set(text: str, words: int) -> np.ndarray:
+    """A text's set of word shingles as 32-bit hashes, in order."""
     w = text.encode().lower().split()
     runs = zip(*[w[k:] for k in range(words)]) if len(w) >= words else [w]
-    h = np.fromiter((xxhash.xxh64_intdigest(b" ".join(r), SEED) for r in runs), dtype=np.uint64, count=max(1, len(w) - words + 1))
-    return np.unique(h)[:size].astype(np.int64).tolist()
+    return np.unique(np.fromiter((xxhash.xxh32_intdigest(b" ".join(r), SEED) for r in runs), dtype=np.uint32, count=max(1, len(w) - words + 1)).view(np.int32))
 
 
-def alike(a, b, size: int) -> float:
-    """Jaccard likeness of two shingle sets from their sketches: exact for sets that fit, else estimated."""
-    a, b = np.asarray(a, dtype=np.int64).astype(np.uint64), np.asarray(b, dtype=np.int64).astype(np.uint64)
-    u = np.union1d(a, b)[:size]
-    return float((np.isin(u, a) & np.isin(u, b)).sum() / max(1, len(u)))
+def alike(a: np.ndarray, b: np.ndarray, least: float) -> bool:
+    """Whether the Jaccard likeness of two whole sets is `least` or more."""
+    if min(len(a), len(b)) < least * max(len(a), len(b)) - 1e-9:
+        return False
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both / max(1, len(a) + len(b) - both) >= least
 
 
-def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, words: int = SHINGLE, size: int = SKETCH) -> DataFrame:
-    """(doc_id): documents that are copies or near copies (likeness `least` of `words`-word shingles) of one with a smaller id.
+def bands(h: np.ndarray, n: int, rows: int) -> list[int]:
+    """n keys of a set, each from its smallest members in `rows` random orders: sets of likeness j share one with probability j ** rows."""
+    h, out = h.astype(np.int64).view(np.uint64), np.zeros(n, dtype=np.uint64)
+    with np.errstate(over="ignore"):
+        for k in range(n * rows):
+            x = (h + np.uint64(k * 0x51ED270B + 1)) * np.uint64(0x9E3779B97F4A7C15)
+            x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
+            out[k // rows] = out[k // rows] * np.uint64(0x9E3779B97F4A7C15) + (x ^ (x >> np.uint64(29))).min()
+    return out.view(np.int64).tolist()
+
+
+def _sets(column: pa.ListArray) -> Iterator[np.ndarray]:
+    flat, at = column.values.to_numpy(), column.offsets.to_numpy()
+    return (flat[i:j] for i, j in zip(at, at[1:]))
+
+
+def _later(batches: Iterator[pa.RecordBatch], least: float) -> Iterator[pa.RecordBatch]:
+    """Of texts sorted by key and identity, those like an earlier one of their key; a text that is like none is held for those after it."""
+    key, last, heads = None, None, []
+    for b in batches:
+        keys, ids, gone = b.column("key").to_pylist(), list(zip(*[b.column(c).to_pylist() for c in TEXT_ID])), []
+        for i, s in enumerate(_sets(b.column("s"))):
+            if keys[i] != key:
+                key, last, heads = keys[i], None, []
+            if ids[i] == last:  # a row that is there twice
+                continue
+            last = ids[i]
+            if any(alike(s, x, least) for x in heads):
+                gone.append(i)
+            else:
+                heads.append(s.copy())
+        yield b.select(TEXT_ID).take(pa.array(gone, pa.int64()))
+    C.give_back()
+
+
+def with_hashes(docs: DataFrame) -> DataFrame:
+    text = C.text_or_empty("text")
+    return docs.withColumn("h1", F.xxhash64(text)).withColumn("h2", F.xxhash64(F.lit(5), text))
+
+
+def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, words: int = SHINGLE) -> DataFrame:
+    """(doc_id, h1, h2): texts of documents that are equal to, or near copies (likeness `least` of `words`-word shingles) of, one with a smaller id.
 
     The SimHash of shingles at 4 bits finds likeness above 0.95 or so. Two texts that are 0.8
     alike in five-word shingles are 0.95 alike in words, so SimHashes of word sets are within
     4 bits more often than not, and one of several independent ones nearly always is.
-    Equal texts go first. Of the others in a component, those go whose own shingles are
-    `least` like the smallest one's.
+    Equal texts go first. The others' components only say what is compared: a text goes where
+    its whole set of shingles is `least` like that of a smaller text, and of those that stay
+    no two are. The component's smallest text is compared with all of it; the rest fall into
+    blocks by MinHash bands, where each block's smallest text, and then every text that stays,
+    is compared with those after it. Texts gone by then take no further part.
     """
 
     def prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             f = pa.array([word_fingerprints(t.as_py(), kinds) for t in b.column("text")], pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("doc_id", "h1", "h2")), f], ["doc_id", "h1", "h2", "f"])
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in TEXT_ID), f], [*TEXT_ID, "f"])
         C.give_back()
 
-    kind = docs.schema["doc_id"].dataType.simpleString()
-    text = C.text_or_empty("text")
-    known = docs.where("doc_id is not null").select("doc_id", text.alias("text"), F.xxhash64(text).alias("h1"), F.xxhash64(F.lit(5), text).alias("h2"))
-    f = C.cut(known.mapInArrow(prints, f"doc_id {kind}, h1 long, h2 long, f array<long>"))
+    n = C.partitions(docs.sparkSession)
+    ids = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, h1 long, h2 long"
+    itself = F.struct(*TEXT_ID)
+    known = with_hashes(docs.where("doc_id is not null").select("doc_id", C.text_or_empty("text").alias("text")))
+    f = C.cut(known.mapInArrow(prints, f"{ids}, f array<long>"))
     texts = C.cut(f.groupBy("h1", "h2").agg(F.min("doc_id").alias("rep"), F.first("f").alias("f")))
-    equal = f.join(texts.select("h1", "h2", "rep"), ["h1", "h2"]).where("doc_id <> rep").select("doc_id")
+    equal = f.join(texts.select("h1", "h2", "rep"), ["h1", "h2"]).where("doc_id <> rep").select(*TEXT_ID)
 
     # a text is known by its first fingerprint, and each fingerprint by the smallest text that has it
     every = texts.select(F.get("f", F.lit(0)).alias("_f0"), F.posexplode("f").alias("k", "fp"))
@@ -279,28 +325,46 @@ def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, wo
     found = links(every.select("fp", "k").distinct())
     found = found.join(owner.select(F.col("fp").alias("a"), F.col("own").alias("oa")), "a").join(owner.select(F.col("fp").alias("b"), F.col("own").alias("ob")), "b")
     label = C.connected(found.select(F.col("oa").alias("a"), F.col("ob").alias("b")).union(shared))
-    mine = texts.select("rep", F.get("f", F.lit(0)).alias("_f0"))
-    mine = C.cut(mine.join(label, F.col("_f0") == F.col("node"), "left").select("rep", F.coalesce("component", "_f0").alias("_c")))
-    first = mine.groupBy("_c").agg(F.min("rep").alias("_first"), F.count(F.lit(1)).alias("_n")).where("_n > 1").drop("_n")
-    asked = C.cut(mine.join(first, "_c").select(F.col("rep").alias("doc_id"), "_first"))
+    mine = texts.select(F.col("rep").alias("doc_id"), "h1", "h2", F.get("f", F.lit(0)).alias("_f0"))
+    mine = C.cut(mine.join(label, F.col("_f0") == F.col("node"), "left").select(*TEXT_ID, F.coalesce("component", "_f0").alias("_c")))
+    first = mine.groupBy("_c").agg(F.min(itself).alias("_first"), F.count(F.lit(1)).alias("_n")).where("_n > 1").drop("_n")
+    asked = C.cut(mine.join(first, "_c").select(*TEXT_ID, "_first"))
 
-    def sketches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for at in range(0, b.num_rows, 512):
                 part = b.slice(at, 512)
-                s = pa.array([sketch(t.as_py(), size, words) for t in part.column("text")], pa.list_(pa.int64()))
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), s], ["doc_id", "s"])
+                s = pa.array([shingle_set(t.as_py(), words) for t in part.column("text")], pa.list_(pa.int32()))
+                yield pa.RecordBatch.from_arrays([*(part.column(c) for c in TEXT_ID), s], [*TEXT_ID, "s"])
+        C.give_back()
+
+    told = known.join(C.maybe_broadcast(asked.select(*TEXT_ID)), TEXT_ID, "left_semi")
+    told = C.cut(told.mapInArrow(sets, f"{ids}, s array<int>"))
 
-    told = docs.select("doc_id", text.alias("text")).join(C.maybe_broadcast(asked.select("doc_id")), "doc_id", "left_semi")
-    told = C.cut(told.mapInArrow(sketches, f"doc_id {kind}, s array<long>"))
-    pair = asked.where("doc_id <> _first").join(told, "doc_id").join(told.select(F.col("doc_id").alias("_first"), F.col("s").alias("_s")), "_first")
+    def compared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            near = [alike(x, y, least) for x, y in zip(_sets(b.column("s")), _sets(b.column("_s")))]
+            yield b.select(TEXT_ID).filter(pa.array(near, pa.bool_()))
 
-    @F.pandas_udf("double")
-    def likeness(a: pd.Series, b: pd.Series) -> pd.Series:
-        return pd.Series([alike(x, y, size) for x, y in zip(a, b)], dtype=float)
+    def like_first(pairs: DataFrame) -> DataFrame:
+        both = pairs.where(itself != F.col("_first")).join(told, TEXT_ID).join(told.select(itself.alias("_first"), F.col("s").alias("_s")), "_first")
+        return C.cut(both.select(*TEXT_ID, "s", "_s").mapInArrow(compared, ids).distinct())
 
-    near = pair.where(likeness("s", "_s") >= least).select("doc_id")
-    return equal.unionByName(near).distinct()
+    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            k = pa.array([bands(s, BANDS, ROWS) for s in _sets(b.column("s"))], pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in [*TEXT_ID, "_c"]), k], [*TEXT_ID, "_c", "k"])
+
+    near = like_first(asked)
+    rest = C.drop_ids(asked.where(itself != F.col("_first")), near, TEXT_ID).select(*TEXT_ID, F.xxhash64("_first").alias("_c"))
+    keyed = told.join(C.maybe_broadcast(rest), TEXT_ID).mapInArrow(keys, f"{ids}, _c long, k array<long>")
+    keyed = C.cut(keyed.select(*TEXT_ID, "_c", F.posexplode("k").alias("_p", "_b")).select(F.xxhash64("_c", "_p", "_b").alias("key"), *TEXT_ID).distinct())
+    heads = lambda k: k.groupBy("key").agg(F.min(itself).alias("_first"), F.max(itself).alias("_last")).where("_first <> _last").select("key", "_first")
+    second = like_first(keyed.join(heads(keyed), "key").select(*TEXT_ID, "_first").distinct())
+    keyed = C.cut(C.drop_ids(keyed, second, TEXT_ID))
+    blocks = keyed.join(heads(keyed), "key", "left_semi").join(told, TEXT_ID).select("key", *TEXT_ID, "s").repartition(n, "key").sortWithinPartitions("key", *TEXT_ID)
+    third = blocks.mapInArrow(lambda it: _later(it, least), ids)
+    return equal.union(near).union(second).union(third).distinct()
 
 
 @C.carrying("doc_id", "text")
