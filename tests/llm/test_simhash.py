@@ -2,6 +2,7 @@
 
 import numpy as np
 import xxhash
+from pyspark.sql import functions as F
 
 from verbatim.llm import simhash
 
@@ -116,3 +117,13 @@ def test_every_group_of_a_component_is_deduplicated(spark):
     for k in text:
         smaller = [plain_like(text[k], text[j]) for j in text if j < k]
         assert max((plain_like(text[k], text[j]) for j in kept if j < k), default=0) < 0.8 if k in kept else max(smaller) >= 0.8
+
+
+def test_texts_that_share_an_id(spark):
+    w = lambda tag: [f"{tag}{k}" for k in range(200)]
+    near = " ".join(spread_edits(w("a"), [100], "x"))
+    rows = [(1, " ".join(w("a"))), (2, near), (2, " ".join(w("b"))), (3, " ".join(w("c"))), (3, " ".join(w("d"))), (3, " ".join(w("d"))), (4, " ".join(w("d")))]
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("h1", F.lit("own"))
+    out = simhash.deduplicate(df)
+    assert out.columns == df.columns
+    assert sorted((r.doc_id, r.text, r.h1) for r in out.collect()) == sorted((*rows[k], "own") for k in (0, 2, 3, 4))

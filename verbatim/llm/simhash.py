@@ -369,15 +369,15 @@ def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, wo
 
 @C.carrying("doc_id", "text")
 def deduplicate(docs: DataFrame) -> DataFrame:
-    """One document of each group of near copies stays: the one with the smallest id, once; rows without an id stay."""
-    left = C.drop_ids(docs, C.cut(near_copies(docs)))
-    twice = C.cut(docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select("doc_id"))
+    """Near copies of a text with a smaller id go. Rows that share an id go each by its own text; of those with equal texts too one stays. Rows without an id stay."""
+    text = ["doc_id", "h1"]
+    left = C.drop_ids(with_hashes(docs), C.cut(near_copies(docs)), text)
+    twice = C.cut(left.where("doc_id is not null").groupBy(*text).count().where("count > 1").select(*text))
     if twice.limit(1).count() == 0:
-        return left
-    again = left.join(C.maybe_broadcast(twice), "doc_id", "left_semi")
-    order = Window.partitionBy("doc_id").orderBy(F.xxhash64("text"))
-    again = again.withColumn("_r", F.row_number().over(order)).where("_r = 1").drop("_r")
-    return C.drop_ids(left, twice).unionByName(again)
+        return left.drop("h1", "h2")
+    again = left.join(C.maybe_broadcast(twice), text, "left_semi")
+    again = again.withColumn("_r", F.row_number().over(Window.partitionBy(*text).orderBy("h2"))).where("_r = 1").drop("_r")
+    return C.drop_ids(left, twice, text).unionByName(again).drop("h1", "h2")
 
 
 def op1_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
