@@ -194,3 +194,30 @@ def test_utility_helpers(spark):
     assert [str(r[0]) for r in df.select(utility.last_number("t")).collect()] == ["1234.50", "None", "-7.00"]
     d = spark.createDataFrame([(float(k % 2), 0.0) for k in range(10)], "win double, gap double")
     assert abs(utility.controlled_win_rate(d) - 0.5) < 1e-9
+
+
+def test_all_successors_are_candidates(spark):
+    """Contexts with more successors than policy.SUCCESSORS: log-probabilities against all of them, and decoding that prefers a rare one."""
+    n = 3 * policy.SUCCESSORS
+    docs = [["h", f"a{k:03d}"] for k in range(n) for _ in range(2)] + [["h", "zz", "yy"]] + [[f"f{k}"] * 9 for k in range(policy.FREQUENT)]
+    counts = lm.fit(spark.createDataFrame([(d,) for d in docs], "tk array<string>"))
+    seqs = spark.createDataFrame([("s", None, ["h"], ["zz"])], "seq_id string, directive string, given array<string>, text array<string>")
+    total, after = sum(map(len, docs)), 2 * n + 1
+    share = lambda one, two: 0.1 * one / total + 0.2 * two / after
+    often = sorted({"h": after, **{f"f{k}": 9 for k in range(policy.FREQUENT)}}.items(), key=lambda x: (-x[1], x[0]))[: policy.FREQUENT]
+    rest = sum(0.1 * c / total for _, c in often)
+    theta = np.random.default_rng(2).normal(0, 0.5, policy.n_features(False))
+    lift = lambda hi: math.exp(theta[hi])
+    want = math.log(share(1, 1) * lift(1) / (lift(1) * (n * share(2, 2) + share(1, 1)) + lift(0) * rest))
+    got = trainer.score(policy.design(seqs, counts), theta).first()
+    assert abs(got.logp - want) < 1e-9
+    assert abs(trainer.score(policy.design(seqs, counts, True), np.zeros(policy.n_features(True))).first().logp - math.log(share(1, 1) / (n * share(2, 2) + share(1, 1) + rest))) < 1e-9
+    import hashlib
+
+    bucket = lambda seed, x: int(hashlib.md5(f"{seed}:{x}".encode()).hexdigest()[:8], 16) % policy.BUCKETS
+    lexical = np.zeros(policy.n_features(True))
+    lexical[policy.SHARED * len(policy.DIRECTIVES) + bucket("ctx", "h") * policy.BUCKETS + bucket("tok", "zz")] = 9.0
+    best = min((t for t in [*(f"a{k:03d}" for k in range(n)), "zz"] if bucket("tok", t) == bucket("tok", "zz")), key=lambda t: (t == "zz", t))
+    df = spark.createDataFrame([("x", ["h"])], "id string, given array<string>")
+    for strategy in ("broadcast", "frontier"):
+        assert decode.tuned(df, counts, lexical, 1, strategy=strategy).first().generated == [best]

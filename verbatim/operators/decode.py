@@ -94,15 +94,15 @@ def nucleus(df: DataFrame, table: DataFrame, steps: int, orders: int = 4, strate
     return _run(df, table.select("ctx", F.struct("toks", "cums").alias("say")), steps, orders, strategy, seed)
 
 
-def successor_table(counts: DataFrame, most: int, mix: tuple[float, ...]) -> DataFrame:
-    """(ctx, ord, n_next, toks, ps, p0s): the `most` likeliest successors of each context, their weighted share at its order and at order 0."""
+def successor_table(counts: DataFrame, mix: tuple[float, ...]) -> DataFrame:
+    """(ctx, ord, n_next, toks, ps, p0s): all successors of each context, their weighted share at its order and at order 0."""
     key = ["ord", "ctx"]
     at = Window.partitionBy(*key).orderBy(F.col("cnt").desc(), "tok")
     every = Window.partitionBy(*key)
     weight = F.element_at(F.array(*[F.lit(w) for w in mix]), F.col("ord") + 1)
     c = counts.withColumn("_r", F.row_number().over(at)).withColumn("_p", weight * F.col("cnt") / F.sum("cnt").over(every)).withColumn("n_next", F.count(F.lit(1)).over(every))
     zero = c.where("ord = 0").select(F.col("tok").alias("_t"), F.col("_p").alias("_p0"))
-    near = c.where((F.col("_r") <= most) & (F.col("ord") > 0)).join(zero, F.col("tok") == F.col("_t"))
+    near = c.where("ord > 0").join(zero, F.col("tok") == F.col("_t"))
     near = near.groupBy(*key, "n_next").agg(F.sort_array(F.collect_list(F.struct("_r", "tok", "_p", "_p0"))).alias("_x"))
     return near.select("ctx", "ord", "n_next", F.col("_x.tok").alias("toks"), F.col("_x._p").alias("ps"), F.col("_x._p0").alias("p0s"))
 
@@ -116,7 +116,7 @@ def tuned(df: DataFrame, counts: DataFrame, theta, steps: int, directive: str =
     lexical = len(theta) > P.n_features(False)
     base = P.DIRECTIVES.index(directive) * P.SHARED
     often = [(r["tok"], MIX[0] * r["cnt"] / r["n"]) for r in counts.where("ord = 0").withColumn("n", F.sum("cnt").over(Window.partitionBy())).orderBy(F.col("cnt").desc(), "tok").limit(P.FREQUENT).collect()]
-    table = successor_table(counts.where(F.col("ord") < orders), P.SUCCESSORS, MIX)
+    table = successor_table(counts.where(F.col("ord") < orders), MIX)
     bucket = lambda seed, x: int(hashlib.md5(f"{seed}:{x}".encode()).hexdigest()[:8], 16) % P.BUCKETS
 
     def pick(found, tail) -> str:
@@ -135,7 +135,7 @@ def tuned(df: DataFrame, counts: DataFrame, theta, steps: int, directive: str =
         return best[1]
 
     if strategy == "auto":
-        strategy = "broadcast" if fits(table) else "frontier"
+        strategy = "broadcast" if fits(counts.where((F.col("ord") > 0) & (F.col("ord") < orders))) else "frontier"
     if strategy == "broadcast":
         sent = df.sparkSession.sparkContext.broadcast({r["ctx"]: (r["ord"], r["n_next"], r["toks"], r["ps"], r["p0s"]) for r in table.collect()})
 

@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from ..functions.text import hash32
 from .lm import FLOOR, MIX, positions
 
-#: Successors of a context and frequent words that are candidates; hash buckets of the lexical features.
+#: Successors of a context in the SQL of `preference_step` (elsewhere all are candidates) and frequent words that are candidates; hash buckets of the lexical features.
 SUCCESSORS, FREQUENT, BUCKETS = 32, 30, 32
 DIRECTIVES = ("", "reuse=allowed", "reuse=forbidden")
 #: Shared features of a candidate: its highest order (0-3), and whether that context has one successor.
@@ -30,13 +30,14 @@ def n_features(lexical: bool) -> int:
     return SHARED * len(DIRECTIVES) + (BUCKETS * BUCKETS if lexical else 0)
 
 
-def candidates(df: DataFrame, counts: DataFrame, ident: str, given: str, text: str) -> DataFrame:
-    """(ident, pos, cand, hi, single, logp_ref, target, prev): rows of the candidate set of each position."""
+def candidates(df: DataFrame, counts: DataFrame, ident: str, given: str, text: str, most: int | None = None) -> DataFrame:
+    """(ident, pos, cand, hi, single, logp_ref, target, prev): rows of the candidate set of each position; `most` keeps only so many successors of a context."""
     p = positions(df, ident, given, text)
     ranked = Window.partitionBy("ord", "ctx").orderBy(F.col("cnt").desc(), "tok")
     whole = Window.partitionBy("ord", "ctx")
     c = counts.withColumn("_r", F.row_number().over(ranked)).withColumn("_total", F.sum("cnt").over(whole)).withColumn("_next", F.count(F.lit(1)).over(whole))
-    near = c.where((F.col("ord") > 0) & (F.col("_r") <= SUCCESSORS))
+    near = c.where(F.col("ord") > 0)
+    near = near if most is None else near.where(F.col("_r") <= most)
     told = p.where("ord > 0").select(ident, "pos", "ord", "ctx").join(near.select("ord", "ctx", F.col("tok").alias("cand"), "cnt", "_total", "_next"), ["ord", "ctx"])
     weight = F.element_at(F.array(*[F.lit(w) for w in MIX]), F.col("ord") + 1)
     told = told.select(ident, "pos", "cand", "ord", "_next", (weight * F.col("cnt") / F.col("_total")).alias("_p"))
@@ -53,12 +54,14 @@ def candidates(df: DataFrame, counts: DataFrame, ident: str, given: str, text: s
     return every.select(ident, "pos", "cand", "hi", ((F.col("_h._next") == 1) & (F.col("hi") > 0)).alias("single"), F.log(mass).alias("logp_ref"), (F.col("cand") == F.col("target")).alias("target"), F.coalesce("prev", F.lit("")).alias("prev"))
 
 
-def design(seqs: DataFrame, counts: DataFrame, lexical: bool = False) -> DataFrame:
+def design(seqs: DataFrame, counts: DataFrame, lexical: bool = False, most: int | None = None) -> DataFrame:
     """seqs(seq_id, directive, given, text) -> (seq_id, positions array<struct<logp, feats, target>>), a row a sequence.
 
     feats are feature numbers: shared ones crossed with the directive, then lexical buckets.
+    Candidates of a position other than its target that have equal features are one entry with
+    the log of their whole mass: the normaliser and the gradient are those of all of them.
     """
-    c = candidates(seqs.select("seq_id", "given", "text"), counts, "seq_id", "given", "text")
+    c = candidates(seqs.select("seq_id", "given", "text"), counts, "seq_id", "given", "text", most)
     where = seqs.select("seq_id", F.coalesce("directive", F.lit("")).alias("directive"))
     c = c.join(where, "seq_id")
     base = F.element_at(F.create_map(*[x for k, d in enumerate(DIRECTIVES) for x in (F.lit(d), F.lit(k * SHARED))]), F.col("directive"))
@@ -67,6 +70,7 @@ def design(seqs: DataFrame, counts: DataFrame, lexical: bool = False) -> DataFra
         cell = hash32("ctx", "prev") % BUCKETS * BUCKETS + hash32("tok", "cand") % BUCKETS
         feats.append(F.array((F.lit(SHARED * len(DIRECTIVES)) + cell).cast("int")))
     c = c.withColumn("feats", F.concat(*feats))
+    c = c.groupBy("seq_id", "pos", "feats", "target").agg(F.min("cand").alias("cand"), F.log(F.sum(F.exp("logp_ref"))).alias("logp_ref"))
     per = c.groupBy("seq_id", "pos").agg(F.sort_array(F.collect_list(F.struct("cand", "logp_ref", "feats", "target"))).alias("_c"))
     per = per.select("seq_id", F.struct("pos", F.col("_c.logp_ref").alias("logp"), F.col("_c.feats").alias("feats"), (F.array_position("_c.target", True) - 1).cast("int").alias("target")).alias("_p"))
     return per.groupBy("seq_id").agg(F.sort_array(F.collect_list("_p")).alias("positions"))

@@ -47,10 +47,10 @@ def material(spark, d, orders: int = 4) -> X.Material:
     )
 
 
-def _design(spark, d, arm: str, lexical: bool = False):
+def _design(spark, d, arm: str, lexical: bool = False, most: int | None = None):
     seqs, objective = X.training(material(spark, d), arm)
     seqs = cut(seqs)
-    return trainer.items(policy.design(seqs, counts(spark, d), lexical), seqs.select("seq_id", "item_id", "role")), objective
+    return trainer.items(policy.design(seqs, counts(spark, d), lexical, most), seqs.select("seq_id", "item_id", "role")), objective
 
 
 _STEP = _PAIRS + f""", s2 AS (SELECT pair_id || '/chosen' AS id, prompt AS given, rewrite AS txt FROM pr UNION ALL SELECT pair_id || '/rejected', prompt, original FROM pr),
@@ -68,8 +68,8 @@ SELECT f::INT AS feature, round(sum(CASE WHEN id LIKE '%/chosen' THEN -0.05 ELSE
 
 @query("preference_step", _STEP)
 def preference_step(spark, d):
-    """The gradient of the first step, for the features without a directive."""
-    data, objective = _design(spark, d, "tuned")
+    """The gradient of the first step, for the features without a directive; its SQL keeps policy.SUCCESSORS successors of a context, so this does."""
+    data, objective = _design(spark, d, "tuned", most=policy.SUCCESSORS)
     _, grad, _ = trainer.step(data, objective, policy.identity().theta)
     return spark.createDataFrame([(k, round(float(grad[k]), 6) + 0.0) for k in range(policy.SHARED)], "feature int, gradient double")
 
