@@ -51,3 +51,12 @@ def test_arms_are_all_there(spark, sf):
 def test_entry(spark):
     assert entry.entry(spark).count() == 2
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_generic_pairs_are_whole_turns(spark, sf):
+    from verbatim.operators import pairs
+    from verbatim.queries.tuning import material
+
+    got = {r.pair_id: (r.chosen, r.rejected) for r in material(spark, sf).generic.collect()}
+    want = {r.pair_id: (r.chosen, r.rejected) for r in pairs.generic(spark.read.parquet(f"{sf}/conversations.parquet")).collect()}
+    assert got and all(want[k] == v for k, v in got.items()) and max(len(a) for a, _ in got.values()) > 32

@@ -38,7 +38,7 @@ def material(spark, d, orders: int = 4) -> X.Material:
     book = segments.head_segment(known, 200, 50)
     first = table(spark, d, "conversations").where("role = 'user'").groupBy("conv_id").agg(F.min_by("text", "turn").alias("text"))
     quotes = table(spark, d, "benchmark").select(F.col("item_id").alias("doc_id"), tokens("text").alias("tk"))
-    generic = shared(("generic", d), spark, lambda: X.some(pairs.generic(table(spark, d, "conversations")).withColumn("chosen", F.slice("chosen", 1, 32)).withColumn("rejected", F.slice("rejected", 1, 32)), k, "pair_id"))
+    generic = shared(("generic", d), spark, lambda: X.some(pairs.generic(table(spark, d, "conversations")), k, "pair_id"))
     return X.Material(
         counts=c, pairs=pair_rows(spark, d), random_pairs=rnd, generic=generic,
         forget=X.some(book.join(known.where(by_source == 0).select("doc_id"), "doc_id", "left_semi"), k, "seg_id"), retain=X.some(heads.join(known.where(by_source == 1).select("doc_id"), "doc_id", "left_semi"), k, "seg_id"),
