@@ -41,3 +41,18 @@ def test_state_crosses_chunks(spark, tmp_path):
     s = monitor.read_stream(spark, str(tmp_path / "in"), "conv_id long, turn long, role string, text string")
     out = monitor.drain(monitor.carry_over(s, {"two three four", "four five six"}, n=3, ttl_ms=None), "update", "crossing")
     assert {r.conv_id: r.copied for r in out.groupBy("conv_id").agg(F.max("copied").alias("copied")).collect()} == {1: 2, 2: 0}
+
+
+def test_stream_against_an_index_of_any_size(spark, sf, monkeypatch):
+    from verbatim.queries import relational
+
+    grams = lambda w: [tuple(w[k : k + 11]) for k in range(len(w) - 10)]
+    have = {g for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect() for g in grams(r.text.lower().split())}
+    turns: dict = {}
+    for r in spark.read.parquet(f"{sf}/conversations.parquet").orderBy("conv_id", "turn").collect():
+        turns.setdefault(r.conv_id, []).append((r.text or "").lower().split())
+    want = {k: (len(v), sum(g in have for g in grams(sum(v, [])))) for k, v in turns.items()}
+    for small in (True, False):
+        monkeypatch.setattr(relational, "fits", lambda df, small=small: small)
+        got = {r.conv_id: (r.chunks, r.copied) for r in QUERIES["stream_copy_monitor"](spark, sf).collect()}
+        assert got == want

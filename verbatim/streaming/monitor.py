@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..functions.text import grams, tokens
+from ..plans.store import ready
 
 
 def read_stream(spark: SparkSession, path: str, schema, time: str | None = None, files: int = 1, glob: str | None = None) -> DataFrame:
@@ -83,3 +84,40 @@ def drain(df: DataFrame, mode: str, name: str) -> DataFrame:
     q = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()
     return df.sparkSession.table(name)
+
+
+def carried_grams(outputs: DataFrame, n: int = 11) -> DataFrame:
+    """(conv_id, chunks, grams): for each conversation of a batch its chunks so far and the n-grams that the batch brought, those across chunk borders included."""
+
+    def step(key, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        tail, chunks = state.get if state.exists else ("", 0)
+        tail, found = tail.split(), []
+        rows = pd.concat(list(batches)).sort_values("turn")
+        for text in rows["text"]:
+            words = [*tail, *(text or "").lower().split()]
+            found += [" ".join(words[k : k + n]) for k in range(len(words) - n + 1)]
+            chunks, tail = chunks + 1, words[-(n - 1) :]
+        state.update((" ".join(tail), chunks))
+        yield pd.DataFrame({"conv_id": [key[0]], "chunks": [chunks], "grams": [found]})
+
+    return outputs.groupBy("conv_id").applyInPandasWithState(step, "conv_id long, chunks long, grams array<string>", "tail string, chunks long", "update", GroupStateTimeout.NoTimeout)
+
+
+def drain_joined(carried: DataFrame, have: DataFrame, name: str) -> DataFrame:
+    """(conv_id, chunks, copied) of `carried_grams` run to its end: each batch's n-grams are joined with have(gram), of any size; a conversation's copies are summed over batches."""
+    spark = carried.sparkSession
+    ready(spark)
+    root = f"{spark.sparkContext.getCheckpointDir()}/{name}"
+    have.write.parquet(f"{root}-index")
+    index = spark.read.parquet(f"{root}-index")
+
+    def each(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{root}-batch")  # state is asked once a batch
+        rows = batch.sparkSession.read.parquet(f"{root}-batch")
+        hits = rows.select("conv_id", F.explode("grams").alias("gram")).join(index, "gram").groupBy("conv_id").agg(F.count(F.lit(1)).alias("copied"))
+        rows.select("conv_id", "chunks").join(hits, "conv_id", "left").select("conv_id", "chunks", F.coalesce("copied", F.lit(0)).alias("copied")).write.mode("overwrite").parquet(f"{root}-out/batch={number}")
+
+    q = carried.writeStream.foreachBatch(each).outputMode("update").option("checkpointLocation", f"{root}-state").trigger(availableNow=True).start()
+    q.awaitTermination()
+    out = spark.read.schema("conv_id long, chunks long, copied long").parquet(f"{root}-out/*")
+    return out.groupBy("conv_id").agg(F.max("chunks").alias("chunks"), F.sum("copied").alias("copied"))
