@@ -53,8 +53,8 @@ def test_overlap_examples(spark):
     ratios = untargeted.overlap_range(outs, corpus)
     ci = {r.output_id: (r.ci, r.n_lengths) for r in untargeted.creativity_index(ratios).collect()}
     assert ci == {"copy": (0.0, 7), "new": (1.0, 7), "part": (0.943878, 7), "short": (0.0, 5)}
-    scan = untargeted.overlap_range(outs, corpus, strategy="scan")
-    assert sorted(map(tuple, scan.collect())) == sorted(map(tuple, ratios.collect()))
+    cascade = untargeted.overlap_range(outs, corpus, strategy="cascade")
+    assert sorted(map(tuple, cascade.collect())) == sorted(map(tuple, ratios.collect()))
     for _, rows in ((k, [r for r in ratios.collect() if r.output_id == k]) for k in ci):
         by_n = [r.ratio for r in sorted(rows, key=lambda r: r.n)]
         assert by_n == sorted(by_n, reverse=True)
@@ -119,14 +119,23 @@ def test_decoding_strategies_agree(spark):
     given = [["the"], [], ["on", "the"], ["unknown", "dog"]]
     df = spark.createDataFrame([(str(k), g) for k, g in enumerate(given)], "id string, given array<string>")
     want = {str(k): plain_greedy(rows, g, 7) for k, g in enumerate(given)}
-    for strategy in ("broadcast", "frontier"):
+    for strategy in ("broadcast", "frontier", "recursive"):
         assert {r.id: r.generated for r in decode.greedy(df, best, 7, strategy=strategy).collect()} == want
+    for steps in (1, 4, 7):
+        got = {r.id: r.generated for r in decode.greedy(df, lm.best_next(counts), steps, strategy="doubling").collect()}
+        assert got == {k: v[:steps] for k, v in want.items()}
     table = lm.nucleus_table(counts)
     a, b = ({r.id: r.generated for r in decode.nucleus(df, table, 6, strategy=s).collect()} for s in ("broadcast", "frontier"))
     assert a == b
     theta = np.zeros(policy.n_features(False))
-    a, b = ({r.id: r.generated for r in decode.tuned(df, counts, theta, 5, strategy=s).collect()} for s in ("broadcast", "frontier"))
-    assert a == b
+    for draw in (None, (0.7, 0.9, "draw")):
+        a, b = ({r.id: r.generated for r in decode.tuned(df, decode.Successors(counts, strategy=s), theta, 5, draw=draw).collect()} for s in ("broadcast", "frontier"))
+        assert a == b
+    # a directive's weights come on top of the plain ones
+    theta[:5], theta[5:10] = 1.0, -1.0
+    known = decode.Successors(counts)
+    zero = {r.id: r.generated for r in decode.tuned(df, known, np.zeros(15), 5).collect()}
+    assert {r.id: r.generated for r in decode.tuned(df, known, theta, 5, pairs.ALLOW).collect()} == zero
 
 
 def test_gradient_and_descent(spark):
@@ -141,10 +150,13 @@ def test_gradient_and_descent(spark):
             loss, grad, n = trainer.step(data, objective, theta)
             assert n == 2
 
-            def total(t, objective=objective):
+            reference = np.random.default_rng(2).normal(0, 0.3, len(theta))
+            loss, grad, _ = trainer.step(data, objective, theta, reference)
+
+            def total(t, objective=objective, reference=reference):
                 out = 0.0
                 for r in local:
-                    out += objective.terms({x["role"]: trainer.sequence_logp(x["positions"], t, False)[:2] for x in r["parts"]})[0]
+                    out += objective.terms({x["role"]: trainer.sequence_logp(x["positions"], t, False, reference)[:2] for x in r["parts"]})[0]
                 return out / len(local)
 
             assert math.isclose(loss, total(theta))
@@ -154,6 +166,11 @@ def test_gradient_and_descent(spark):
                 assert abs((total(theta + d) - total(theta - d)) / 2e-5 - grad[k]) < 1e-5
         p, losses = trainer.fit(data, objectives.Preference(1.0), policy.identity(lexical), rate=0.5, steps=5)
         assert math.isclose(losses[0], math.log(2)) and losses[-1] < losses[0]
+        # a chained fit starts from the last policy, which is its reference too
+        q, chained = trainer.fit(data, objectives.Preference(1.0), p, rate=0.5, steps=2)
+        assert math.isclose(chained[0], math.log(2)) and not np.array_equal(p.theta, q.theta)
+        r, low = trainer.fit_lowrank(data, objectives.Preference(1.0), 2, 0.5, 2, start=policy.widened(p, True))
+        assert lexical is False or math.isclose(low[0], math.log(2))
 
 
 @pytest.mark.parametrize("objective", [objectives.GradientAscent(), objectives.NegativePreference(), objectives.NextToken(), objectives.Preference()])
@@ -192,13 +209,14 @@ def test_short_and_empty(spark):
 def test_utility_helpers(spark):
     df = spark.createDataFrame([("a 3, then 1,234.50 left",), ("none",), ("-7",)], "t string")
     assert [str(r[0]) for r in df.select(utility.last_number("t")).collect()] == ["1234.50", "None", "-7.00"]
-    d = spark.createDataFrame([(float(k % 2), 0.0) for k in range(10)], "win double, gap double")
-    assert abs(utility.controlled_win_rate(d) - 0.5) < 1e-9
+    d = spark.createDataFrame([(float(k % 2), 0.0, k % 4 < 2) for k in range(40)], "win double, gap double, side boolean")
+    assert abs(utility.controlled_win_rate(d).first().win_rate - 0.5) < 1e-9
+    assert [abs(r.win_rate - 0.5) < 1e-9 for r in utility.controlled_win_rate(d, "side").collect()] == [True, True]
 
 
 def test_all_successors_are_candidates(spark):
-    """Contexts with more successors than policy.SUCCESSORS: log-probabilities against all of them, and decoding that prefers a rare one."""
-    n = 3 * policy.SUCCESSORS
+    """A context with very many successors: log-probabilities against all of them, and decoding that prefers a rare one."""
+    n = 96
     docs = [["h", f"a{k:03d}"] for k in range(n) for _ in range(2)] + [["h", "zz", "yy"]] + [[f"f{k}"] * 9 for k in range(policy.FREQUENT)]
     counts = lm.fit(spark.createDataFrame([(d,) for d in docs], "tk array<string>"))
     seqs = spark.createDataFrame([("s", None, ["h"], ["zz"])], "seq_id string, directive string, given array<string>, text array<string>")
@@ -220,4 +238,96 @@ def test_all_successors_are_candidates(spark):
     best = min((t for t in [*(f"a{k:03d}" for k in range(n)), "zz"] if bucket("tok", t) == bucket("tok", "zz")), key=lambda t: (t == "zz", t))
     df = spark.createDataFrame([("x", ["h"])], "id string, given array<string>")
     for strategy in ("broadcast", "frontier"):
-        assert decode.tuned(df, counts, lexical, 1, strategy=strategy).first().generated == [best]
+        assert decode.tuned(df, decode.Successors(counts, strategy=strategy), lexical, 1).first().generated == [best]
+
+
+def test_nucleus_of_every_context(spark):
+    """Order 0 by counts of counts against the plain rule."""
+    docs, counts = tiny_counts(spark)
+    got = {(r.ord, r.ctx): (r.toks, r.cums, r.mass) for r in lm.nucleus_table(counts).collect()}
+    rows: dict = {}
+    for r in counts.collect():
+        rows.setdefault((r.ord, r.ctx), []).append((-r.cnt, r.tok))
+    assert set(got) == set(rows)
+    for key, x in rows.items():
+        x.sort()
+        w = [(-c) ** (1 / 0.7) for c, _ in x]
+        kept, before = [], 0.0
+        for (_, t), p in zip(x, w):
+            if round(before, 9) < 0.9:
+                kept.append((t, p / sum(w)))
+            before += p / sum(w)
+        toks, cums, mass = got[key]
+        assert toks == [t for t, _ in kept] and math.isclose(mass, sum(p for _, p in kept))
+        assert np.allclose(cums, np.cumsum([p for _, p in kept]) / mass)
+
+
+def test_tuned_writing_is_drawn_by_the_rule(spark):
+    """Sampling under theta against plain code: temperature, nucleus and the hash draw."""
+    import hashlib
+
+    docs, counts = tiny_counts(spark)
+    rows = [r.tk for r in docs.collect()]
+    theta = np.random.default_rng(4).normal(0, 0.5, 15)
+    known = decode.Successors(counts)
+    got = {r.id: r.generated for r in decode.tuned(spark.createDataFrame([(str(k), [w]) for k, w in enumerate(("the", "on", "zz"))], "id string, given array<string>"), known, theta, 6, draw=(0.7, 0.9, "s")).collect()}
+    flat = [t for d in rows for t in d]
+    often = sorted(set(flat), key=lambda t: (-flat.count(t), t))[: policy.FREQUENT]
+    for ident, first in (("0", "the"), ("1", "on"), ("2", "zz")):
+        out = [first]
+        for step in range(6):
+            mass: dict = {t: [0.1 * flat.count(t) / len(flat), 0, 0] for t in often}
+            for o in range(1, min(3, len(out)) + 1):
+                after = [d[i] for d in rows for i in range(o, len(d)) if d[i - o : i] == out[len(out) - o :]]
+                for t in set(after):
+                    c = mass.setdefault(t, [0.1 * flat.count(t) / len(flat), 0, 0])
+                    c[0], c[1], c[2] = c[0] + lm.MIX[o] * after.count(t) / len(after), o, len(set(after))
+            s = {t: math.log(m) + theta[hi] + (theta[4] if hi and n == 1 else 0) for t, (m, hi, n) in mass.items()}
+            order = sorted(s, key=lambda t: (round(-s[t], 10), t))
+            p = np.exp(np.array([s[t] for t in order]) / 0.7)
+            p /= p.sum()
+            n = int((np.round(np.r_[0, np.cumsum(p)[:-1]], 9) < 0.9).sum())
+            u = int(hashlib.md5(f"s:{ident}:{step}".encode()).hexdigest()[:8], 16) / 2**32
+            out.append(order[min(int(np.searchsorted(np.cumsum(p[:n]) / p[:n].sum(), u)), n - 1)])
+        assert got[ident] == out[1:]
+
+
+def test_published_arithmetic(spark):
+    """Means that follow from their parts, and those that are known not to."""
+    got = {(r.model, r.variant, r.measure): r.agrees for r in report.checks(spark).collect()}
+    assert got[("base-A", "untuned", "composite")] and got[("base-A", "untuned", "writing")] and got[("inst-full", "untuned", "writing")]
+    assert {k for k, ok in got.items() if not ok} == {("base-A", "tuned", "writing"), ("inst-SFT", "untuned", "writing"), ("inst-full", "tuned", "writing")}
+    assert len(report.BASE) + len(report.INSTRUCT) + len(report.WRITING) == 29
+
+
+def test_sizes(spark):
+    from verbatim.plans import store
+
+    d = spark.range(1000).select("id", F.repeat(F.lit("x"), 100).alias("t"), F.array(F.lit("ab"), F.lit("c")).alias("a"))
+    assert store.fits(d, 200_000) and not store.fits(d, 150_000) and not store.fits(d, 10_000)
+    n = store.numbered(spark.range(100).select((F.col("id") % 7).alias("k"), "id"), [F.col("k"), F.col("id")], "i", F.col("id"), "s").orderBy("i").collect()
+    want = sorted((k % 7, k) for k in range(100))
+    assert [(r.k, r.id) for r in n] == want and [r.i for r in n] == list(range(100))
+    assert [r.s for r in n] == [sum(x for _, x in want[:j]) for j in range(100)]
+    for rows, bands in ((23, 10), (20, 10), (3, 10)):
+        got = [r.b for r in spark.range(rows).select(store.tiles(F.col("id"), rows, bands).alias("b")).collect()]
+        q, r = divmod(rows, bands)
+        assert got == [b + 1 for b in range(bands) for _ in range(q + (b < r))]
+
+
+def test_containing(spark, monkeypatch):
+    from verbatim.operators import rel
+
+    docs = spark.createDataFrame([(1, "one two three four five"), (2, "xone two threex"), (3, "a b")], "doc_id long, text string")
+    parts = spark.createDataFrame([(1, "ne two thre"), (2, "three four"), (3, "b"), (4, "one two three")], "item_id long, part string")
+    want = [(1, 1), (1, 2), (2, 1), (3, 3), (4, 1), (4, 2)]
+    key = lambda: sorted((r.item_id, r.doc_id) for r in rel.containing(docs, parts, "text", "part").collect())
+    assert key() == want
+    asked = iter([False, True])
+    monkeypatch.setattr(rel, "fits", lambda df: next(asked))
+    assert key() == want
+
+
+def test_cost_counts_rows_and_shuffles(spark):
+    r = report.cost("x", spark.range(1000).repartition(3).groupBy((F.col("id") % 10).alias("k")).count()).first()
+    assert r.rows == 10 and r.tasks > 0 and r.shuffle_written > 0 and r.seconds > 0

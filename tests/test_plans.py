@@ -1,4 +1,6 @@
-"""What the plans must look like."""
+"""What the plans must look like, and streams against plain code."""
+
+import os
 
 from pyspark.sql import functions as F
 
@@ -35,24 +37,86 @@ def test_formats_round_trip(spark, sf, tmp_path):
     assert spark.read.format("generations").option("rows", "5").load().count() == 5
 
 
-def test_state_crosses_chunks(spark, tmp_path):
-    rows = [(1, 0, "a", "one two three"), (1, 1, "a", "four five six"), (2, 0, "a", "three four")]
-    spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").write.parquet(str(tmp_path / "in"))
-    s = monitor.read_stream(spark, str(tmp_path / "in"), "conv_id long, turn long, role string, text string")
-    out = monitor.drain(monitor.carry_over(s, {"two three four", "four five six"}, n=3, ttl_ms=None), "update", "crossing")
-    assert {r.conv_id: r.copied for r in out.groupBy("conv_id").agg(F.max("copied").alias("copied")).collect()} == {1: 2, 2: 0}
-
-
-def test_stream_against_an_index_of_any_size(spark, sf, monkeypatch):
-    from verbatim.queries import relational
-
-    grams = lambda w: [tuple(w[k : k + 11]) for k in range(len(w) - 10)]
-    have = {g for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect() for g in grams(r.text.lower().split())}
-    turns: dict = {}
-    for r in spark.read.parquet(f"{sf}/conversations.parquet").orderBy("conv_id", "turn").collect():
-        turns.setdefault(r.conv_id, []).append((r.text or "").lower().split())
-    want = {k: (len(v), sum(g in have for g in grams(sum(v, [])))) for k, v in turns.items()}
-    for small in (True, False):
-        monkeypatch.setattr(relational, "fits", lambda df, small=small: small)
-        got = {r.conv_id: (r.chunks, r.copied) for r in QUERIES["stream_copy_monitor"](spark, sf).collect()}
-        assert got == want
+SCHEMA = "conv_id long, turn long, role string, text string"
+
+
+def plain_copies(rows, index, n):
+    said: dict = {}
+    for conv, turn, _, text in rows:
+        said.setdefault(conv, {}).setdefault(turn, text)
+    out = {}
+    for conv, turns in said.items():
+        w = [x for t in sorted(turns) for x in (turns[t] or "").split()]
+        out[conv] = (len(turns), sum(" ".join(w[k : k + n]) in index for k in range(len(w) - n + 1)))
+    return out
+
+
+def test_state_crosses_chunks_in_any_order(spark, tmp_path):
+    """Chunks in every order over many files, one a batch; gaps that fill later, short and empty chunks, a turn that comes twice."""
+    rows = [(1, 0, "a", "one two three"), (1, 1, "a", "four five six"), (1, 2, "a", "seven"), (1, 3, "a", None), (1, 4, "a", "eight nine"), (2, 0, "a", "three four"), (2, 7, "a", "five six seven")]
+    index = {"two three four", "four five six", "six seven eight", "seven eight nine", "three four five", "six seven five"}
+    for k, order in enumerate(([0, 1, 2, 3, 4, 5, 6], [6, 4, 2, 0, 5, 3, 1, 0], [1, 3, 5, 0, 2, 4, 6, 6])):
+        at = tmp_path / f"in{k}"
+        for j, i in enumerate(order):
+            spark.createDataFrame([rows[i]], SCHEMA).coalesce(1).write.parquet(str(at / f"f{j}"))
+        for j in range(len(order)):  # files in the order of arrival
+            for f in sorted((at / f"f{j}").glob("*.parquet")):
+                f.rename(at / f"p{j}.parquet")
+                os.utime(at / f"p{j}.parquet", (1_700_000_000 + j, 1_700_000_000 + j))
+        read = lambda at=at: monitor.read_stream(spark, str(at), SCHEMA, glob="p*.parquet")
+        out = monitor.drain(monitor.carry_over(read(), index, n=3, ttl_ms=None), "update")
+        got = {r.conv_id: (r.chunks, r.copied) for r in out.groupBy("conv_id").agg(F.max("chunks").alias("chunks"), F.max_by("copied", "chunks").alias("copied")).collect()}
+        assert got == plain_copies(rows, index, 3)
+        if k != 1:
+            continue
+        have = spark.createDataFrame([(g,) for g in index], "gram string")
+        assert {r.conv_id: (r.chunks, r.copied) for r in monitor.drain_joined(monitor.carried_grams(read(), 3), have).collect()} == got
+
+
+def test_late_rows_are_dropped_and_counted(spark, tmp_path):
+    for j, minute in enumerate((0, 60, 59, 1)):
+        spark.sql(f"SELECT timestamp_seconds(1700000000 + {minute} * 60) AS ts, 1D AS value").coalesce(1).write.parquet(str(tmp_path / f"f{j}"))
+        for f in (tmp_path / f"f{j}").glob("*.parquet"):
+            f.rename(tmp_path / f"p{j}.parquet")
+            os.utime(tmp_path / f"p{j}.parquet", (1_700_000_000 + j, 1_700_000_000 + j))
+    s = monitor.read_stream(spark, str(tmp_path), "ts timestamp, value double", glob="p*.parquet")
+    q = monitor.tumbling(s, "ts", "5 minutes", "10 minutes").writeStream.format("noop").outputMode("update").option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert monitor.dropped_late(q.recentProgress) == 1
+
+
+def test_no_plan_deals_order_0_by_context(spark, sf):
+    """No window without partitions anywhere, and contexts are dealt by (ord, ctx) beyond order 0 only."""
+    from verbatim.operators import decode, lm, policy
+    from verbatim.queries import paper
+
+    c = paper.counts(spark, sf)
+    seqs = spark.createDataFrame([("s", None, ["the"], ["a"])], "seq_id string, directive string, given array<string>, text array<string>")
+    bands = QUERIES["nll_shift_bands"](spark, sf)
+    plans = [plan(lm.nucleus_table(c)), plan(policy.design(seqs, c)), plan(decode.successor_table(c, lm.MIX, 4)), plan(lm.sequence_nll(seqs, c, "seq_id", "given", "text")), plan(bands)]
+    for p in plans:
+        assert "SinglePartition" not in "".join(line for line in p.splitlines() if "Window" in line) and "windowspecdefinition(cnt" not in p
+    for p in plans[1:4]:
+        assert "Window" not in p
+
+
+def test_frontier_leaves_the_table_in_its_buckets(spark):
+    from verbatim.operators import decode
+
+    table = decode.bucketed(spark.range(1000).select(F.col("id").cast("string").alias("ctx"), F.col("id").alias("say")), "ctx")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        p = plan(spark.range(5000).select(F.col("id").cast("string").alias("ctx")).join(table, "ctx"))
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    assert p.count("Exchange hashpartitioning") == 1 and "Bucketed: true" in p
+
+
+def test_stages_are_made_anew_when_tables_change(spark, tmp_path):
+    from verbatim.plans import store
+
+    spark.range(3).write.parquet(str(tmp_path / "t.parquet"))
+    read = lambda: store.shared(("n", str(tmp_path)), spark, lambda: spark.read.parquet(str(tmp_path / "t.parquet"))).count()
+    assert read() == 3 and read() == 3
+    spark.range(5).write.mode("overwrite").parquet(str(tmp_path / "t.parquet"))
+    assert read() == 5

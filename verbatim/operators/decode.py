@@ -1,24 +1,29 @@
 """Decoding from n-gram tables: greedy, and temperature with nucleus sampling.
 
-Two strategies give the same tokens. `broadcast`: the table, pruned of what backing off
-repeats, travels once and each row walks alone. `frontier`: too large a table stays put and
-only the contexts of the current step are joined to it.
+Strategies that give the same tokens: `broadcast`: the table, pruned of what backing off
+repeats, travels once and each row walks alone; `frontier`: a table too large for that is
+written once in buckets of its contexts, and only the contexts of the current step move to
+it; `doubling` (greedy only): the table's contexts form an automaton, whose jumps over 1, 2,
+4, ... tokens are joined with themselves, so that 32 tokens take five joins; `recursive`
+(greedy only): one recursive SQL statement, for small runs.
 """
 
 from __future__ import annotations
 
 import hashlib
 import math
+import uuid
 from bisect import bisect_left
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.text import uniform
-from ..plans.store import cut, fits
+from ..plans.store import BROADCAST_BYTES, PYTHON_BYTES, cut, fits, new_path, partitions, remember
+from . import lm
 
 OUT = "string, generated array<string>"
 
@@ -27,6 +32,10 @@ def _uniform(seed: str, key: str) -> float:
     return int(hashlib.md5(f"{seed}:{key}".encode()).hexdigest()[:8], 16) / float(1 << 32)
 
 
+def _draw(toks, cums, seed: str, key: str) -> str:
+    return toks[min(bisect_left(cums, _uniform(seed, key)), len(toks) - 1)]
+
+
 def _walk_all(df: DataFrame, known: dict, steps: int, orders: int, seed: str | None) -> DataFrame:
     sent = df.sparkSession.sparkContext.broadcast(known)
 
@@ -42,7 +51,7 @@ def _walk_all(df: DataFrame, known: dict, steps: int, orders: int, seed: str | N
                             break
                     else:
                         break
-                    tok = hit if seed is None else hit[0][min(bisect_left(hit[1], _uniform(seed, f"{ident}:{step}")), len(hit[0]) - 1)]
+                    tok = hit if seed is None else _draw(*hit, seed, f"{ident}:{step}")
                     out.append(tok)
                     tail = [*tail, tok][-(orders - 1) :]
                 made.append(out)
@@ -51,32 +60,112 @@ def _walk_all(df: DataFrame, known: dict, steps: int, orders: int, seed: str | N
     return df.mapInPandas(run, f"id {OUT}")
 
 
-def _walk_frontier(df: DataFrame, table: DataFrame, steps: int, orders: int, seed: str | None, every: int = 8) -> DataFrame:
-    """table: (ctx, say); contexts of different orders differ, as an order is a number of tokens."""
-    state = df.select("id", F.when(F.size("given") > 0, F.slice("given", F.greatest(F.size("given") - (orders - 2), F.lit(1)), F.lit(orders - 1))).otherwise(F.array().cast("array<string>")).alias("tail"), F.array().cast("array<string>").alias("generated"))
-    few = fits(df)  # then the frontier travels and the table stays
+def bucketed(table: DataFrame, key: str, buckets: int | None = None) -> DataFrame:
+    """`table` written once in sorted buckets of `key`: a later join on it moves the other side only."""
+    spark = table.sparkSession
+    name = f"verbatim_{uuid.uuid4().hex}"
+    n = buckets or partitions(spark)
+    table.repartition(n, key).write.option("path", new_path(spark, "buckets")).bucketBy(n, key).sortBy(key).saveAsTable(name)
+    return spark.table(name)
+
+
+def _salted(k: Column) -> Column:
+    return F.concat(F.lit("\x00"), k.cast("string"))
+
+
+def _spread(table: DataFrame) -> DataFrame:
+    """`table` in buckets of ctx, the empty context once for each bucket: it is every row's and must not be one partition's."""
+    n = partitions(table.sparkSession)
+    many = table.where("ctx = ''").withColumn("ctx", F.explode(F.transform(F.sequence(F.lit(0), F.lit(n - 1)), _salted)))
+    return bucketed(table.where("ctx <> ''").unionByName(many.select(table.columns)), "ctx", n)
+
+
+def _last(toks: Column, n: int) -> Column:
+    """The last n of an array, or all of a shorter one."""
+    return F.slice(toks, F.greatest(F.size(toks) - (n - 1), F.lit(1)), F.lit(n))
+
+
+def _frontier(df: DataFrame, table: DataFrame, steps: int, orders: int, pick, every: int = 8) -> DataFrame:
+    """table: (ctx, say) as `_spread` gives it; contexts of different orders differ, as an order is a number of tokens. pick(rows grouped by id, step) adds `_t`."""
+    none = F.array().cast("array<string>")
+    state = df.select("id", F.when(F.size("given") > 0, _last(F.col("given"), orders - 1)).otherwise(none).alias("tail"), none.alias("generated"))
+    n = partitions(df.sparkSession)
+    few = fits(df, BROADCAST_BYTES // 8)  # then the frontier travels to the buckets as they are
     for step in range(steps):
-        n = F.size("tail")
-        asked = F.transform(F.sequence(F.lit(0), n), lambda k: F.struct(k.alias("k"), F.array_join(F.slice("tail", F.size("tail") - k + 1, k), " ").alias("ctx")))
-        each = state.withColumn("_a", F.explode(asked)).select("id", "tail", "generated", F.col("_a.k").alias("_k"), F.col("_a.ctx").alias("ctx"))
-        met = (F.broadcast(each) if few else each).join(table, "ctx").groupBy("id").agg(F.max_by("say", "_k").alias("_s"), F.first("tail").alias("tail"), F.first("generated").alias("generated"))
-        if seed is None:
-            tok = F.col("_s")
-        else:
-            u = uniform(seed, F.concat_ws(":", "id", F.lit(str(step))))
-            first = F.size(F.filter("_s.cums", lambda c: c < u))
-            tok = F.get(F.col("_s.toks"), F.least(first, F.size("_s.toks") - 1))
-        met = met.withColumn("_t", tok)
+        asked = F.transform(F.sequence(F.lit(0), F.size("tail")), lambda k: F.struct(k.alias("k"), F.array_join(F.slice("tail", F.size("tail") - k + 1, k), " ").alias("ctx")))
+        each = state.withColumn("_a", F.explode(asked)).select("id", "tail", "generated", F.col("_a.k").alias("_k"), F.when(F.col("_a.k") > 0, F.col("_a.ctx")).otherwise(_salted(F.pmod(F.xxhash64("id"), F.lit(n)))).alias("ctx"))
+        met = pick((F.broadcast(each) if few else each).join(table, "ctx"), step)
         longer = F.concat("tail", F.array("_t"))
-        state = met.select("id", F.slice(longer, F.greatest(F.size(longer) - (orders - 2), F.lit(1)), F.lit(orders - 1)).alias("tail"), F.concat("generated", F.array("_t")).alias("generated"))
+        state = met.select("id", _last(longer, orders - 1).alias("tail"), F.concat("generated", F.array("_t")).alias("generated"))
         if step % every == every - 1:
             state = cut(state)
     return state.select("id", "generated")
 
 
+def _walk_frontier(df: DataFrame, table: DataFrame, steps: int, orders: int, seed: str | None) -> DataFrame:
+    def pick(rows: DataFrame, step: int) -> DataFrame:
+        met = rows.groupBy("id").agg(F.max_by("say", "_k").alias("_s"), F.first("tail").alias("tail"), F.first("generated").alias("generated"))
+        if seed is None:
+            return met.withColumn("_t", F.col("_s"))
+        u = uniform(seed, F.concat_ws(":", "id", F.lit(str(step))))
+        first = F.size(F.filter("_s.cums", lambda c: c < u))
+        return met.withColumn("_t", F.get(F.col("_s.toks"), F.least(first, F.size("_s.toks") - 1)))
+
+    return _frontier(df, _spread(table), steps, orders, pick)
+
+
+def _ctx(toks: Column) -> Column:
+    return F.array_join(toks, " ")
+
+
+def _landing(df: DataFrame, toks: str, known: DataFrame, orders: int) -> DataFrame:
+    """df with `_to`: the longest of the last tokens of `toks` that is a known context, the empty one at least."""
+    for k in range(1, orders):
+        mine = F.when(F.size(toks) >= k, _ctx(F.slice(toks, F.size(toks) - k + 1, F.lit(k))))
+        df = df.withColumn("_c", mine).join(known.select(F.col("ctx").alias("_c"), F.lit(True).alias(f"_h{k}")), "_c", "left").withColumn(f"_c{k}", F.when(F.col(f"_h{k}"), F.col("_c"))).drop("_c")
+    return df.withColumn("_to", F.coalesce(*[F.col(f"_c{k}") for k in range(orders - 1, 0, -1)], F.lit(""))).drop(*[f"_{x}{k}" for x in "hc" for k in range(1, orders)])
+
+
+def _walk_doubling(df: DataFrame, table: DataFrame, steps: int, orders: int) -> DataFrame:
+    """table: (ctx, say) with every known context. What follows a context depends on it alone, and where it leads does too: a longer known context at the next place would have shown in a longer one here.
+
+    A row's own jump is made of those that the binary digits of `steps` name.
+    """
+    known = cut(table.select("ctx"))
+    one = table.withColumn("_w", F.concat(F.when(F.col("ctx") == "", F.array().cast("array<string>")).otherwise(F.split("ctx", " ")), F.array("say")))
+    jump = cut(_landing(one, "_w", known, orders).select("ctx", F.array("say").alias("said"), F.col("_to").alias("to")))
+    state = _landing(df.select("id", "given"), "given", known, orders).select("id", F.col("_to").alias("at"), F.array().cast("array<string>").alias("generated"))
+    while True:
+        if steps & 1:
+            state = state.join(jump, F.col("at") == F.col("ctx")).select("id", F.col("to").alias("at"), F.concat("generated", "said").alias("generated"))
+        steps >>= 1
+        if not steps:
+            return state.select("id", "generated")
+        then = jump.select(F.col("ctx").alias("_c"), F.col("said").alias("_s"), F.col("to").alias("_t"))
+        jump = cut(jump.join(then, F.col("to") == F.col("_c")).select("ctx", F.concat("said", "_s").alias("said"), F.col("_t").alias("to")))
+
+
+def _walk_recursive(df: DataFrame, table: DataFrame, steps: int, orders: int) -> DataFrame:
+    spark = df.sparkSession
+    tag = uuid.uuid4().hex
+    df.createOrReplaceTempView(f"given_{tag}")
+    table.createOrReplaceTempView(f"best_{tag}")
+    n = orders - 1
+    last = lambda toks, k: f"array_join(slice({toks}, greatest(size({toks}) - {k - 1}, 1), {k}), ' ')"
+    joins = " ".join(f"LEFT JOIN best_{tag} b{k} ON size(w.tail) >= {k} AND b{k}.ctx = {last('w.tail', k)}" for k in range(1, orders))
+    pick = ", ".join(f"b{k}.say" for k in range(n, -1, -1))
+    return spark.sql(f"""
+        WITH RECURSIVE w(id, step, tail, generated) AS (
+          SELECT id, 0, slice(given, greatest(size(given) - {n - 1}, 1), {n}), CAST(array() AS ARRAY<STRING>) FROM given_{tag}
+          UNION ALL
+          SELECT id, step + 1, slice(concat(tail, array(nx)), greatest(size(tail) - {n - 2}, 1), {n}), concat(generated, array(nx)) FROM (
+            SELECT w.id, w.step, w.tail, w.generated, coalesce({pick}) AS nx FROM w {joins} LEFT JOIN best_{tag} b0 ON b0.ctx = '' WHERE w.step < {steps}))
+        SELECT id, generated FROM w WHERE step = {steps}""")
+
+
 def _run(df: DataFrame, table: DataFrame, steps: int, orders: int, strategy: str, seed: str | None) -> DataFrame:
     if strategy == "auto":
-        strategy = "broadcast" if fits(table) else "frontier"
+        strategy = "broadcast" if fits(table, PYTHON_BYTES) else "frontier"
     if strategy == "frontier":
         return _walk_frontier(df, table, steps, orders, seed)
     rows = table.collect()  # `fits` bounds it
@@ -85,8 +174,13 @@ def _run(df: DataFrame, table: DataFrame, steps: int, orders: int, strategy: str
 
 
 def greedy(df: DataFrame, best: DataFrame, steps: int, orders: int = 4, strategy: str = "auto") -> DataFrame:
-    """(id, generated) from df(id string, given array<string>) and best(ctx, tok)."""
-    return _run(df, best.select("ctx", F.col("tok").alias("say")), steps, orders, strategy, None)
+    """(id, generated) from df(id string, given array<string>) and best(ctx, tok); `doubling` needs all contexts, echoes included."""
+    table = best.select("ctx", F.col("tok").alias("say"))
+    if strategy == "doubling":
+        return _walk_doubling(df, table, steps, orders)
+    if strategy == "recursive":
+        return _walk_recursive(df, table, steps, orders)
+    return _run(df, table, steps, orders, strategy, None)
 
 
 def nucleus(df: DataFrame, table: DataFrame, steps: int, orders: int = 4, strategy: str = "auto", seed: str = "draw") -> DataFrame:
@@ -94,85 +188,118 @@ def nucleus(df: DataFrame, table: DataFrame, steps: int, orders: int = 4, strate
     return _run(df, table.select("ctx", F.struct("toks", "cums").alias("say")), steps, orders, strategy, seed)
 
 
-def successor_table(counts: DataFrame, mix: tuple[float, ...]) -> DataFrame:
-    """(ctx, ord, n_next, toks, ps, p0s): all successors of each context, their weighted share at its order and at order 0."""
-    key = ["ord", "ctx"]
-    at = Window.partitionBy(*key).orderBy(F.col("cnt").desc(), "tok")
-    every = Window.partitionBy(*key)
+def successor_table(counts: DataFrame, mix: tuple[float, ...], orders: int) -> DataFrame:
+    """(ctx, ord, n_next, toks, ps, p0s): all successors of each context of order 1 and up, their weighted share at its order and at order 0."""
+    c = lm.model(counts).where(F.col("ord") < orders)
     weight = F.element_at(F.array(*[F.lit(w) for w in mix]), F.col("ord") + 1)
-    c = counts.withColumn("_r", F.row_number().over(at)).withColumn("_p", weight * F.col("cnt") / F.sum("cnt").over(every)).withColumn("n_next", F.count(F.lit(1)).over(every))
+    c = c.withColumn("_p", weight * F.col("cnt") / F.col("total"))
     zero = c.where("ord = 0").select(F.col("tok").alias("_t"), F.col("_p").alias("_p0"))
     near = c.where("ord > 0").join(zero, F.col("tok") == F.col("_t"))
-    near = near.groupBy(*key, "n_next").agg(F.sort_array(F.collect_list(F.struct("_r", "tok", "_p", "_p0"))).alias("_x"))
+    near = near.groupBy("ord", "ctx", "n_next").agg(F.sort_array(F.collect_list(F.struct((-F.col("cnt")).alias("_c"), "tok", "_p", "_p0"))).alias("_x"))
     return near.select("ctx", "ord", "n_next", F.col("_x.tok").alias("toks"), F.col("_x._p").alias("ps"), F.col("_x._p0").alias("p0s"))
 
 
-def tuned(df: DataFrame, counts: DataFrame, theta, steps: int, directive: str = "", orders: int = 4, strategy: str = "auto") -> DataFrame:
-    """(id, generated): greedy decoding of a tuned policy (shared and lexical features), run with a directive."""
+class Successors:
+    """What tuned decoding needs of a model, made once for many policies: its successor table (sent to the workers if it fits, else in buckets) and the frequent words."""
+
+    def __init__(self, counts: DataFrame, orders: int = 4, strategy: str = "auto"):
+        from . import policy as P
+
+        spark = counts.sparkSession
+        self.orders = orders
+        self.often = [(r["tok"], r["p"]) for r in P.frequent(counts).collect()]
+        table = cut(successor_table(counts, lm.MIX, orders))
+        self.strategy = strategy if strategy != "auto" else "broadcast" if fits(table, PYTHON_BYTES) else "frontier"
+        if self.strategy == "broadcast":
+            self.sent = spark.sparkContext.broadcast({r["ctx"]: (r["ord"], r["n_next"], r["toks"], r["ps"], r["p0s"]) for r in table.collect()})
+        else:
+            # the empty context is every row's, so that none is lost where no other is known
+            none = spark.createDataFrame([("", 0, 0, [], [], [])], "ctx string, ord int, n_next long, toks array<string>, ps array<double>, p0s array<double>")
+            self.table = _spread(table.unionByName(none).select("ctx", F.struct("ord", "n_next", "toks", "ps", "p0s").alias("say")))
+
+
+def _scorer(often, theta, base: int, lexical: bool, draw):
+    """(contexts found, tail) -> the best token, or the nucleus (tokens, running shares) when drawing."""
     from . import policy as P
-    from .lm import FLOOR, MIX
 
-    theta = np.asarray(theta)
-    lexical = len(theta) > P.n_features(False)
-    base = P.DIRECTIVES.index(directive) * P.SHARED
-    often = [(r["tok"], MIX[0] * r["cnt"] / r["n"]) for r in counts.where("ord = 0").withColumn("n", F.sum("cnt").over(Window.partitionBy())).orderBy(F.col("cnt").desc(), "tok").limit(P.FREQUENT).collect()]
-    table = successor_table(counts.where(F.col("ord") < orders), MIX)
     bucket = lambda seed, x: int(hashlib.md5(f"{seed}:{x}".encode()).hexdigest()[:8], 16) % P.BUCKETS
+    # the weight of each order, and of a context with one successor, with the directive's own on top
+    lift = [float(theta[k] + (theta[base + k] if base else 0.0)) for k in range(P.SHARED)]
 
-    def pick(found, tail) -> str:
+    def ranked(found, tail):
         cand = {t: [p0, 0, 0] for t, p0 in often}
         for order, n_next, toks, ps, p0s in sorted(found, key=lambda x: x[0]):
             for t, p, p0 in zip(toks, ps, p0s):
-                c = cand.setdefault(t, [p0, 0, 0])
-                c[0], c[1], c[2] = c[0] + p, order, n_next
+                c = cand.get(t)
+                if c is None:
+                    cand[t] = [p0 + p, order, n_next]
+                else:
+                    c[0], c[1], c[2] = c[0] + p, order, n_next
         row = bucket("ctx", tail[-1] if len(tail) else "") * P.BUCKETS if lexical else 0
-        best = None
         for t, (p, hi, n_next) in cand.items():
-            s = math.log(max(p, FLOOR)) + theta[base + hi] + (theta[base + 4] if hi and n_next == 1 else 0.0)
-            s += theta[P.SHARED * len(P.DIRECTIVES) + row + bucket("tok", t)] if lexical else 0.0
-            if best is None or (-s, t) < best:
-                best = (-s, t)
-        return best[1]
+            s = math.log(max(p, lm.FLOOR)) + lift[hi] + (lift[P.SHARED - 1] if hi and n_next == 1 else 0.0)
+            # rounded, so that equal scores tie in whatever order their parts were added
+            yield round(-(s + (theta[P.SHARED * len(P.DIRECTIVES) + row + bucket("tok", t)] if lexical else 0.0)), 10), t
 
-    if strategy == "auto":
-        strategy = "broadcast" if fits(counts.where((F.col("ord") > 0) & (F.col("ord") < orders))) else "frontier"
-    if strategy == "broadcast":
-        sent = df.sparkSession.sparkContext.broadcast({r["ctx"]: (r["ord"], r["n_next"], r["toks"], r["ps"], r["p0s"]) for r in table.collect()})
+    if draw is None:
+        return lambda found, tail: min(ranked(found, tail))[1]
+    temperature, top_p, _ = draw
+
+    def nucleus_of(found, tail):
+        order = sorted(ranked(found, tail))
+        s = np.array([-x for x, _ in order]) / temperature
+        p = np.exp(s - s.max())
+        p = p / p.sum()
+        before = np.r_[0.0, np.cumsum(p)[:-1]]
+        n = int((np.round(before, 9) < top_p).sum())
+        return [t for _, t in order[:n]], (np.cumsum(p[:n]) / p[:n].sum()).tolist()
+
+    return nucleus_of
+
+
+def tuned(df: DataFrame, known: Successors, theta, steps: int, directive: str = "", draw: tuple[float, float, str] | None = None) -> DataFrame:
+    """(id, generated) by a policy with these weights, run with a directive: greedy, or drawn by (temperature, top-p, seed)."""
+    from . import policy as P
+
+    theta = np.asarray(theta)
+    lexical = len(theta) > P.n_features(False)
+    base = P.DIRECTIVES.index(directive) * P.SHARED
+    orders, often = known.orders, known.often
+    if known.strategy == "broadcast":
+        sent = known.sent
 
         def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            known = sent.value
+            table, pick = sent.value, _scorer(often, theta, base, lexical, draw)
             memo: dict = {}
             for b in batches:
                 made = []
-                for given in b["given"]:
+                for ident, given in zip(b["id"], b["given"]):
                     tail, out = list(given)[-(orders - 1) :], []
-                    for _ in range(steps):
+                    for step in range(steps):
                         k = tuple(tail)
                         if k not in memo:
-                            memo[k] = pick([x for n in range(1, len(tail) + 1) if (x := known.get(" ".join(tail[-n:])))], tail)
-                        out.append(memo[k])
-                        tail = [*tail, memo[k]][-(orders - 1) :]
+                            memo[k] = pick([x for n in range(1, len(tail) + 1) if (x := table.get(" ".join(tail[-n:])))], tail)
+                        tok = memo[k] if draw is None else _draw(*memo[k], draw[2], f"{ident}:{step}")
+                        out.append(tok)
+                        tail = [*tail, tok][-(orders - 1) :]
                     made.append(out)
                 yield pd.DataFrame({"id": b["id"], "generated": made})
 
         return df.mapInPandas(run, f"id {OUT}")
 
-    @F.pandas_udf("string")
-    def choose(tail: pd.Series, found: pd.Series) -> pd.Series:
-        return pd.Series([pick([(x["ord"], x["n_next"], x["toks"], x["ps"], x["p0s"]) for x in f], list(t)) for t, f in zip(tail, found)])
+    def pick(rows: DataFrame, step: int) -> DataFrame:
+        @F.pandas_udf("string")
+        def choose(ident: pd.Series, tail: pd.Series, found: pd.Series) -> pd.Series:
+            say = _scorer(often, theta, base, lexical, draw)
+            best = [say([(x["ord"], x["n_next"], x["toks"], x["ps"], x["p0s"]) for x in f if x["ord"]], list(t)) for t, f in zip(tail, found)]
+            return pd.Series(best if draw is None else [_draw(*b, draw[2], f"{i}:{step}") for i, b in zip(ident, best)], dtype=object)
 
-    # the empty context is every row's, so that none is lost where no other is known
-    none = df.sparkSession.createDataFrame([("", 0, 0, [], [], [])], "ctx string, ord int, n_next long, toks array<string>, ps array<double>, p0s array<double>")
-    table = cut(table.unionByName(none)).persist()
-    few = fits(df)
-    state = df.select("id", F.when(F.size("given") > 0, F.slice("given", F.greatest(F.size("given") - (orders - 2), F.lit(1)), F.lit(orders - 1))).otherwise(F.array().cast("array<string>")).alias("tail"), F.array().cast("array<string>").alias("generated"))
-    for step in range(steps):
-        asked = F.transform(F.sequence(F.lit(0), F.size("tail")), lambda k: F.array_join(F.slice("tail", F.size("tail") - k + 1, k), " "))
-        each = state.select("id", "tail", "generated", F.explode(asked).alias("ctx"))
-        met = (F.broadcast(each) if few else each).join(table, "ctx").groupBy("id").agg(F.collect_list(F.struct("ord", "n_next", "toks", "ps", "p0s")).alias("_f"), F.first("tail").alias("tail"), F.first("generated").alias("generated"))
-        longer = F.concat("tail", F.array("_t"))
-        met = met.withColumn("_t", choose("tail", "_f"))
-        state = met.select("id", F.slice(longer, F.greatest(F.size(longer) - (orders - 2), F.lit(1)), F.lit(orders - 1)).alias("tail"), F.concat("generated", F.array("_t")).alias("generated"))
-        if step % 4 == 3:
-            state = cut(state)
-    return state.select("id", "generated")
+        met = rows.groupBy("id").agg(F.collect_list("say").alias("_f"), F.first("tail").alias("tail"), F.first("generated").alias("generated"))
+        return met.withColumn("_t", choose("id", "tail", "_f"))
+
+    return _frontier(df, known.table, steps, orders, pick, 4)
+
+
+def successors(key: tuple, counts: DataFrame, orders: int = 4) -> Successors:
+    """`Successors` of a model, once for a session and key."""
+    return remember((*key, "successors", orders), counts.sparkSession, lambda: Successors(counts, orders))

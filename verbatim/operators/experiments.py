@@ -1,30 +1,36 @@
 """The comparisons: arms of tuning, measured alike.
 
 One rule for every arm: the same number of sequences, step size, steps and clipping; nothing
-is picked by an evaluation score. What the stand-in model shows is reported, not claimed of
-neural models.
+is picked by an evaluation score. An arm starts from a model, which is also its frozen
+reference: the untuned one, one tuned on generic answers ("supervised"), or that one tuned on
+generic preferences ("full"). What the stand-in model shows is reported, not claimed of neural
+models.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.text import hash32
-from ..plans.store import cut
-from . import decode, memorize, objectives, pairs, policy, trainer, untargeted
+from ..plans.store import cut, remember, shared
+from . import decode, memorize, objectives, pairs, policy, trainer, untargeted, utility
 
 RATE, STEPS, CLIP = 1.0, 5, 4.0
-#: Tokens of free writing.
-WRITTEN = 32
+#: Tokens of free writing and of an answer; decoding of free writing: temperature, top-p.
+WRITTEN, ANSWER, DRAW = 96, 32, (0.7, 0.9)
+MODELS = ("base", "supervised", "full")
+#: The arm that makes a model, and the model that it starts from.
+MADE_BY = {"supervised": ("supervised", "base"), "full": ("generic preference", "supervised")}
 
 
 @dataclass
 class Material:
     """What arms are made of and measured on; all frames have token arrays."""
 
+    key: tuple  # (name, folder, ...): what tells this material from others in a session
     counts: DataFrame
     pairs: DataFrame  # pair_id, prompt, original, rewrite: recited segments
     random_pairs: DataFrame  # the same of segments picked by hash
@@ -33,9 +39,22 @@ class Material:
     retain: DataFrame
     web: DataFrame  # seg_id, prefix, reference
     book: DataFrame
-    quotes: DataFrame
-    prompts: DataFrame  # id, given, task
+    quotes: DataFrame  # titles, and the words that the text opens with
+    passages: DataFrame  # openings of short passages, and how they go on
+    numbers: DataFrame  # seg_id, prefix, gold
+    shorts: DataFrame  # seg_id, prefix, reference
+    choices: DataFrame  # item_id, opt, stem, option
+    prompts: DataFrame  # id, given, task, answer (recorded)
     corpus: DataFrame  # doc_id, tk
+    orders: int = 4
+
+    @property
+    def spark(self) -> SparkSession:
+        return self.counts.sparkSession
+
+    @property
+    def known(self) -> decode.Successors:
+        return decode.successors(self.key, self.counts, self.orders)
 
 
 def _roles(prefs: DataFrame) -> DataFrame:
@@ -48,7 +67,7 @@ def _single(segs: DataFrame, role: str, text: str = "reference", ident: str = "s
     return segs.select(F.concat_ws("/", ident, F.lit(role)).alias("seq_id"), F.concat_ws("/", ident, F.lit(role)).alias("item_id"), F.lit(role).alias("role"), F.lit(None).cast("string").alias("directive"), F.col(given).alias("given"), F.col(text).alias("text"))
 
 
-def training(m: Material, arm: str):
+def training(m: Material, arm: str, share: float | None = None):
     """(rows of sequences with roles, objective) of a named arm; None for the untuned model."""
     if arm in ("untuned", "prompt only"):
         return None
@@ -64,80 +83,145 @@ def training(m: Material, arm: str):
         return _roles(m.generic), objectives.Preference()
     source = m.random_pairs if "random" in arm else m.pairs
     prefs = pairs.with_directives(source) if "directive" in arm else pairs.to_preferences(source)
-    if "mix" in arm:
-        prefs = pairs.mix(prefs, m.generic, 0.9)
+    if "mix" in arm or share is not None:
+        prefs = pairs.mix(prefs, m.generic, 0.9 if share is None else share)
     return _roles(prefs), objectives.Preference()
 
 
-def tune(m: Material, arm: str, lexical: bool = False, rank: int | None = None, steps: int = STEPS, share: float | None = None):
-    """(policy, losses) of an arm."""
-    got = training(m, arm)
-    if got is None:
-        return policy.identity(lexical), []
-    seqs, objective = got
-    if share is not None:
-        seqs = _roles(pairs.mix(pairs.to_preferences(m.pairs), m.generic, share))
-    seqs = cut(seqs)
-    data = trainer.items(policy.design(seqs, m.counts, lexical or rank is not None), seqs.select("seq_id", "item_id", "role"))
-    if rank is not None:
-        return trainer.fit_lowrank(data, objective, rank, RATE, steps)
-    return trainer.fit(data, objective, policy.identity(lexical), RATE, steps, clip=CLIP)
+def start_of(m: Material, model: str, lexical: bool = False) -> policy.Policy:
+    """The policy of a model; chained fits for those that others made."""
+    if model not in MADE_BY:
+        return policy.identity(lexical)
+    return policy.widened(tune(m, *MADE_BY[model])[0], lexical)
+
+
+def tune(m: Material, arm: str, model: str = "base", lexical: bool = False, rank: int | None = None, steps: int = STEPS, share: float | None = None):
+    """(policy, losses) of an arm that starts from a model, the frozen reference; made once for a session."""
+
+    def make():
+        start = start_of(m, model, lexical or rank is not None)
+        got = training(m, arm, share)
+        if got is None:
+            return start, []
+        seqs, objective = got
+        seqs = cut(seqs)
+        data = trainer.items(policy.design(seqs, m.counts, lexical or rank is not None), seqs.select("seq_id", "item_id", "role"))
+        if rank is not None:
+            return trainer.fit_lowrank(data, objective, rank, RATE, steps, start=start)
+        return trainer.fit(data, objective, start, RATE, steps, clip=CLIP)
+
+    return remember((*m.key, "fit", arm, model, lexical, rank, steps, share), m.spark, make)
+
+
+def _choices(m: Material, directive: str, prompt: str | None) -> DataFrame:
+    """The design of the choice items, which no weights change."""
+
+    def make():
+        stem = F.concat(F.array(F.lit(prompt)), "stem") if prompt else F.col("stem")
+        seqs = m.choices.select(F.concat_ws(":", "item_id", "opt").alias("seq_id"), F.lit(directive or None).cast("string").alias("directive"), stem.alias("given"), F.col("option").alias("text"))
+        return policy.design(seqs, m.counts)
+
+    return shared((*m.key, "choices", directive, prompt), m.spark, make)
 
 
-def measure(m: Material, tuned: policy.Policy, directive: str = "", prompt: str | None = None, orders: int = 4) -> DataFrame:
-    """(metric, value, n): extraction of web and book items, quotation recall, 11-gram overlap of free writing."""
+def written(m: Material, tuned: policy.Policy, directive: str = "", prompt: str | None = None, seed: str = "draw") -> DataFrame:
+    """(output_id, task, tk, answer, given): free writing after each prompt, drawn at temperature 0.7 and top-p 0.9."""
+    given = F.concat(F.array(F.lit(prompt)), "given") if prompt else F.col("given")
+    made = decode.tuned(m.prompts.select("id", given.alias("given")), m.known, tuned.theta, WRITTEN, directive, (*DRAW, seed))
+    return cut(m.prompts.join(made, "id").select(F.col("id").alias("output_id"), "task", F.col("generated").alias("tk"), "answer", "given"))
 
-    def asked(segs: DataFrame, name: str) -> DataFrame:
+
+def measure(m: Material, tuned: policy.Policy, directive: str = "", prompt: str | None = None, seed: str = "draw") -> DataFrame:
+    """(metric, value, n). Copying: web, book, writing (percent of 11-grams found, mean of tasks). Use: knowledge, math, reasoning and their mean (composite), quote (a text's first words after its title), passage (how a short passage goes on), constraints, win_rate (against the untuned model on the same prompt)."""
+
+    def asked(segs: DataFrame, name: str, reference: str | None = "reference") -> DataFrame:
         s = policy.prompt_only(segs, prompt) if prompt else segs
-        return s.select(F.concat_ws("/", F.lit(name), "seg_id").alias("id"), F.col("prefix").alias("given"), "reference", F.lit(None).cast("string").alias("task"))
+        return s.select(F.concat_ws("/", F.lit(name), "seg_id").alias("id"), F.lit(name).alias("metric"), F.col("prefix").alias("given"), (F.col(reference) if reference else F.lit(None).cast("array<string>")).alias("reference"), (F.col("gold") if "gold" in s.columns else F.lit(None).cast("decimal(18,2)")).alias("gold"))
 
     # all items walk together: as many rounds as the longest reference
-    items = asked(m.web, "web").unionByName(asked(m.book, "book")).unionByName(asked(m.quotes, "quote"))
-    items = items.unionByName(m.prompts.select(F.concat_ws("/", F.lit("writing"), "id").alias("id"), "given", F.lit(None).cast("array<string>").alias("reference"), "task"))
-    items = cut(items.withColumn("metric", F.substring_index("id", "/", 1)))
-    steps = items.agg(F.max(F.size("reference")).alias("n")).first()["n"]
-    made = decode.tuned(items.select("id", "given"), m.counts, tuned.theta, max(steps, WRITTEN), directive, orders)
+    items = asked(m.web, "web").unionByName(asked(m.book, "book")).unionByName(asked(m.quotes, "quote")).unionByName(asked(m.passages, "passage"))
+    items = cut(items.unionByName(asked(m.numbers, "math", None)).unionByName(asked(m.shorts, "reasoning")))
+    steps = items.agg(F.max(F.size("reference")).alias("n")).first()["n"] or 0
+    made = decode.tuned(items.select("id", "given"), m.known, tuned.theta, max(steps, ANSWER), directive)
     d = cut(items.join(made, "id"))
-    recited = d.where("reference is not null").withColumn("generated", F.slice("generated", F.lit(1), F.size("reference")))
-    recited = memorize.extraction_ratio(memorize.score(recited), 0.5, "metric").select("metric", F.col("extraction").alias("value"), "n")
-    outs = d.where("reference is null").select(F.col("id").alias("output_id"), "task", F.slice("generated", 1, WRITTEN).alias("tk"))
-    score = untargeted.score(untargeted.overlap(outs, m.corpus, 11)).where("task is null").select(F.lit("writing").alias("metric"), F.col("score").alias("value"), F.col("outputs").alias("n"))
-    return recited.unionByName(score)
-
-
-def table(spark, m: Material, model: str, arms: list[tuple[str, str]], orders: int = 4) -> DataFrame:
-    """(model, variant, directive, metric, value, n) of arms, each tuned once and run with the directives asked for."""
-    tuned, out = {}, None
-    for arm, directive in arms:
-        if arm not in tuned:
-            tuned[arm] = tune(m, arm)[0]
-        got = measure(m, tuned[arm], directive, pairs.FORBID if arm == "prompt only" else None, orders)
+    told = d.where("reference is not null").withColumn("generated", F.slice("generated", F.lit(1), F.size("reference")))
+    share = lambda df, ok, *by: df.groupBy(*by).agg((100 * F.avg(ok.cast("double"))).alias("value"), F.count(F.lit(1)).alias("n"))
+    out = memorize.extraction_ratio(memorize.score(told.where("metric <> 'reasoning'")), 0.5, "metric").select("metric", F.col("extraction").alias("value"), "n")
+    said = F.array_join(F.slice("generated", 1, ANSWER), " ")
+    math = d.where("metric = 'math'").select("metric", F.coalesce(utility.last_number(said) == F.col("gold"), F.lit(False)).alias("ok"))
+    short = told.where("metric = 'reasoning'").select("metric", (utility.normal(F.array_join("generated", " ")) == utility.normal(F.array_join("reference", " "))).alias("ok"))
+    know = utility.choice_by_scores(trainer.score(_choices(m, directive, prompt), tuned.theta)).select(F.lit("knowledge").alias("metric"), F.col("correct").alias("ok"))
+    can = cut(share(math.unionByName(short).unionByName(know), F.col("ok"), "metric"))
+    out = out.unionByName(can).unionByName(can.agg(F.lit("composite").alias("metric"), F.avg("value").alias("value"), F.sum("n").alias("n")).where("n is not null"))
+
+    outs = written(m, tuned, directive, prompt, seed)
+    copied = untargeted.score(untargeted.overlap(outs, m.corpus, 11)).where("task is null").select(F.lit("writing").alias("metric"), F.col("score").alias("value"), F.col("outputs").alias("n"))
+    kept = utility.constraints(outs.withColumn("text", F.array_join("tk", " ")), end=None, kinds=4, keyword="given")
+    plain = shared((*m.key, "plain writing", seed), m.spark, lambda: written(m, policy.identity(), seed=seed))
+    duel = outs.select("output_id", "answer", F.col("tk").alias("a")).join(plain.select("output_id", F.col("tk").alias("b")), "output_id")
+    duel = duel.select((utility.closeness("a", "answer") - utility.closeness("b", "answer")).alias("gap"))
+    won = F.when(F.col("gap") > 0, 1.0).when(F.col("gap") == 0, 0.5).otherwise(0.0)
+    out = out.unionByName(copied).unionByName(share(kept.select(F.lit("constraints").alias("metric"), "ok"), F.col("ok"), "metric"))
+    return out.unionByName(duel.agg(F.lit("win_rate").alias("metric"), (100 * F.avg(won)).alias("value"), F.count(F.lit(1)).alias("n")))
+
+
+def table(m: Material, arms: list[tuple[str, str, str]]) -> DataFrame:
+    """(model, variant, directive, metric, value, n) of arms (model to start from, arm, directive), each tuned once."""
+    out = None
+    for model, arm, directive in arms:
+        got = measure(m, tune(m, arm, model)[0], directive, pairs.FORBID if arm == "prompt only" else None)
         got = cut(got.select(F.lit(model).alias("model"), F.lit(arm).alias("variant"), F.lit(directive).alias("directive"), "metric", F.round("value", 4).alias("value"), "n"))
         out = got if out is None else out.unionByName(got)
     return out
 
 
-BASE_ARMS = [(a, "") for a in ("untuned", "gradient ascent", "negative preference", "next token on rewrites", "tuned, random segments", "tuned")]
+BASE_ARMS = [("base", a, "") for a in ("untuned", "gradient ascent", "negative preference", "next token on rewrites", "tuned, random segments", "tuned")]
 INSTRUCT_ARMS = [
-    ("untuned", ""), ("supervised", ""), ("generic preference", ""), ("prompt only", ""), ("tuned, random segments", ""), ("tuned", ""),
-    ("tuned, directive", pairs.FORBID), ("tuned, directive", pairs.ALLOW), ("tuned, mix", ""), ("tuned, directive and mix", pairs.FORBID), ("tuned, directive and mix", pairs.ALLOW),
+    ("base", "untuned", ""), ("supervised", "untuned", ""), ("full", "untuned", ""), ("full", "prompt only", ""), ("full", "tuned, random segments", ""), ("full", "tuned", ""),
+    ("full", "tuned, directive", pairs.FORBID), ("full", "tuned, directive", pairs.ALLOW), ("full", "tuned, mix", ""), ("full", "tuned, directive and mix", pairs.FORBID), ("full", "tuned, directive and mix", pairs.ALLOW),
 ]
 
 
-def tradeoff(spark, m: Material, shares: tuple[float, ...] = (0.5, 0.7, 0.9, 1.0)) -> DataFrame:
-    """(mode, share, utility, copying): all weights against a low-rank block, over the share of rewrites; utility is the share of generic pairs whose chosen side the policy ranks first."""
-    out = []
-    seqs = cut(_roles(m.generic))
-    design = cut(policy.design(seqs, m.counts, True))
+def creativity(m: Material) -> tuple[DataFrame, DataFrame]:
+    """Free writing of each model before and after tuning: (model, stage, task, outputs, ci, short, long), and (model, n, before, after, change, share)."""
+    outs = None
+    for model in MODELS:
+        for stage, arm in (("before", "untuned"), ("after", "tuned")):
+            got = written(m, tune(m, arm, model)[0]).select(F.concat_ws("/", F.lit(model), F.lit(stage), "output_id").alias("output_id"), "task", "tk")
+            outs = got if outs is None else outs.unionByName(got)
+    parts = F.split("output_id", "/")
+    ratios = cut(untargeted.overlap_range(outs, m.corpus).withColumn("model", parts[0]).withColumn("stage", parts[1]))
+    change = untargeted.decomposition(ratios.where("stage = 'before'"), ratios.where("stage = 'after'"), "model")
+    return untargeted.creativity_table(ratios, "model", "stage"), change
+
+
+def tradeoff(m: Material, shares: tuple[float, ...] = (0.5, 0.7, 0.9, 1.0)) -> DataFrame:
+    """(mode, share, metric, value): all weights against a low-rank block, over the share of rewrites; the composite is the utility, and no item of it is trained on."""
+    out = None
     for mode, rank in (("full", None), ("lowrank", 4)):
         for share in shares:
-            p, _ = tune(m, "tuned", lexical=True, rank=rank, share=share)
-            s = trainer.score(design, p.theta).join(seqs.select("seq_id", "item_id", "role"), "seq_id")
-            gain = s.groupBy("item_id").agg(F.sum(F.when(F.col("role") == "chosen", F.col("logp")).otherwise(-F.col("logp"))).alias("g"))
-            utility = gain.agg(F.avg((F.col("g") > 0).cast("double")).alias("u")).first()["u"]
-            web = [r["value"] for r in measure(m, p).where("metric = 'web'").collect()][0]
-            out.append((mode, share, round(100 * (utility or 0.0), 4), float(web)))
-    return spark.createDataFrame(out, "mode string, share double, utility double, copying double")
+            got = measure(m, tune(m, "tuned", lexical=True, rank=rank, share=share)[0])
+            got = cut(got.select(F.lit(mode).alias("mode"), F.lit(share).alias("share"), "metric", F.round("value", 4).alias("value")))
+            out = got if out is None else out.unionByName(got)
+    return out
+
+
+#: What the published tables say of tuning against the untuned model: the metric falls.
+FALLS = ("web", "book", "writing")
+
+
+def seeds(materials: dict[int, Material]) -> DataFrame:
+    """(variant, metric, runs, before, mean, spread, falls, as_published) over one material a seed, whose rewrites, random segments and draws differ: mean and spread of the copying metrics beside the published direction."""
+    out = None
+    for seed, m in materials.items():
+        for arm in ("untuned", "tuned", "tuned, random segments"):
+            got = measure(m, tune(m, arm)[0], seed=f"draw{seed}").where(F.col("metric").isin(*FALLS))
+            got = cut(got.select(F.lit(seed).alias("seed"), F.lit(arm).alias("variant"), "metric", "value"))
+            out = got if out is None else out.unionByName(got)
+    by = out.groupBy("variant", "metric").agg(F.count(F.lit(1)).alias("runs"), F.avg("value").alias("mean"), F.coalesce(F.stddev_samp("value"), F.lit(0.0)).alias("spread"))
+    base = by.where("variant = 'untuned'").select("metric", F.col("mean").alias("before"))
+    d = by.where("variant <> 'untuned'").join(base, "metric").withColumn("falls", F.col("mean") < F.col("before"))
+    return d.select("variant", "metric", "runs", *[F.round(c, 4).alias(c) for c in ("before", "mean", "spread")], "falls", F.when(F.col("falls"), "agrees").otherwise("disagrees").alias("as_published"))
 
 
 def some(df: DataFrame, k: int, key: str) -> DataFrame:

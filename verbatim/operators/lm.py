@@ -1,10 +1,14 @@
 """An n-gram language model held in tables: the stand-in for a neural target model.
 
-counts: (ord, ctx, tok, cnt), ctx being the `ord` tokens before tok joined by a space.
+counts: (ord, ctx, tok, cnt), ctx being the `ord` tokens before tok joined by a space; a model
+also has total and n_next, the tokens and the different tokens after each context, so that
+nothing groups by context again. The empty context of order 0 is one context for all tokens:
+nothing here deals or sorts order 0 by context.
 """
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -13,14 +17,38 @@ ORDERS = 4
 MIX, FLOOR = (0.1, 0.2, 0.3, 0.4), 1e-6
 
 
+def _places(df: DataFrame, keep: list[str], toks: str, orders: int) -> DataFrame:
+    """(keep..., i, ord, ctx, tok): every token at every order that its place allows. Shifted arrays are laid side by side, so no lambda runs for a token."""
+    d = df.where(F.size(toks) > 0).select(*keep, F.col(toks).alias("_t0"))
+    for k in range(1, orders):
+        d = d.withColumn(f"_t{k}", F.slice(F.concat(F.array_repeat(F.lit(None).cast("string"), k), "_t0"), F.lit(1), F.size("_t0")))
+    d = d.select(*keep, F.posexplode(F.arrays_zip(*[f"_t{k}" for k in range(orders)])).alias("i", "_z"))
+    d = d.select(*keep, "i", *[F.col(f"_z._t{k}").alias(f"_t{k}") for k in range(orders)])
+    rows = []
+    for o in range(orders):
+        before = [x for k in range(o, 0, -1) for x in (F.col(f"_t{k}"), F.lit(" "))][:-1]
+        rows += [F.lit(o), F.concat(*before) if o else F.lit("")]
+    d = d.select(*keep, "i", F.stack(F.lit(orders), *rows).alias("ord", "ctx"), F.col("_t0").alias("tok"))
+    return d.where("ctx is not null")
+
+
 def fit(docs: DataFrame, orders: int = ORDERS, min_count: int = 1) -> DataFrame:
     """Counts over df(tk); contexts never cross a document. One shuffle, summed before it."""
-    at = lambda tok, i: F.transform(F.sequence(F.lit(0), F.least(i, F.lit(orders - 1))), lambda o: F.struct(o.alias("ord"), F.array_join(F.slice("tk", i - o + 1, o), " ").alias("ctx"), tok.alias("tok")))
-    rows = docs.select(F.explode(F.flatten(F.transform("tk", at))).alias("_g")).select("_g.ord", "_g.ctx", "_g.tok")
-    out = rows.groupBy("ord", "ctx", "tok").agg(F.count(F.lit(1)).alias("cnt"))
+    out = _places(docs, [], "tk", orders).groupBy("ord", "ctx", "tok").agg(F.count(F.lit(1)).alias("cnt"))
     return out if min_count <= 1 else out.where(F.col("cnt") >= min_count)
 
 
+def model(counts: DataFrame) -> DataFrame:
+    """counts with total and n_next of each context. A context's rows meet their total by a join that may split a hot context; order 0 gets its one total by broadcast."""
+    if "total" in counts.columns:
+        return counts
+    sums = [F.sum("cnt").alias("total"), F.count(F.lit(1)).alias("n_next")]
+    near, zero = counts.where("ord > 0"), counts.where("ord = 0")
+    near = near.join(near.groupBy("ord", "ctx").agg(*sums), ["ord", "ctx"])
+    zero = zero.crossJoin(F.broadcast(zero.agg(*sums)))
+    return near.unionByName(zero).select("ord", "ctx", "tok", "cnt", "total", "n_next")
+
+
 def best_next(counts: DataFrame) -> DataFrame:
     """(ord, ctx, tok, cnt, total, n_next): the likeliest successor of each context, the smaller token on a tie."""
     best = counts.groupBy("ord", "ctx").agg(F.min(F.struct((-F.col("cnt")).alias("c"), "tok")).alias("_b"), F.sum("cnt").alias("total"), F.count(F.lit(1)).alias("n_next"))
@@ -31,37 +59,57 @@ def without_echoes(best: DataFrame) -> DataFrame:
     """`best` less the contexts whose shorter context says the same: backing off gives equal answers from fewer rows."""
     b = best.select("ord", "ctx", "tok")
     shorter = b.select((F.col("ord") + 1).alias("_o"), F.col("ctx").alias("_c"), F.col("tok").alias("_t"))
-    suffix = F.when(F.col("ord") > 1, F.regexp_replace("ctx", r"^[^ ]* ", "")).otherwise("")
-    j = b.withColumn("_s", suffix).join(shorter, (F.col("_o") == F.col("ord")) & (F.col("_c") == F.col("_s")), "left")
-    return j.where("ord = 0 or _t is null or _t <> tok").select("ord", "ctx", "tok")
+    near = b.where("ord > 1").withColumn("_s", F.regexp_replace("ctx", r"^[^ ]* ", ""))
+    near = near.join(shorter, (F.col("_o") == F.col("ord")) & (F.col("_c") == F.col("_s")), "left").where("_t is null or _t <> tok")
+    # every context of one word backs off to the one empty context
+    zero = F.broadcast(b.where("ord = 0").select(F.col("tok").alias("_t")))
+    one = b.where("ord = 1").crossJoin(zero).where("_t <> tok")
+    return near.select("ord", "ctx", "tok").unionByName(one.select("ord", "ctx", "tok")).unionByName(b.where("ord = 0"))
+
+
+def _nucleus_of_all(zero: DataFrame, temperature: float, top_p: float) -> DataFrame:
+    """The nucleus of the empty context. Words with equal counts are equally likely, so the counts tell how many words it has; the driver sees a row for each different count (fewer than the root of twice the tokens), and the nucleus, which is one row of the table anyway."""
+    groups = sorted(((r["cnt"], r["n"]) for r in zero.groupBy("cnt").agg(F.count(F.lit(1)).alias("n")).collect()), reverse=True)
+    spark = zero.sparkSession
+    schema = "ord int, ctx string, toks array<string>, cums array<double>, mass double"
+    if not groups:
+        return spark.createDataFrame([], schema)
+    weight = np.array([float(c) for c, _ in groups]) ** (1.0 / temperature)
+    n = np.array([k for _, k in groups])
+    p = weight / (weight * n).sum()
+    before = np.r_[0.0, np.cumsum(p * n)[:-1]]
+    # of each group, the words before which the running mass, rounded to nine places, is below top_p
+    take = np.clip(np.ceil((top_p - 5e-10 - before) / p), 0, n).astype(int)
+    probs = np.repeat(p, take)
+    toks = [r["tok"] for r in zero.orderBy(F.col("cnt").desc(), "tok").limit(int(take.sum())).collect()]
+    return spark.createDataFrame([(0, "", toks, (np.cumsum(probs) / probs.sum()).tolist(), float(probs.sum()))], schema)
 
 
 def nucleus_table(counts: DataFrame, temperature: float = 0.7, top_p: float = 0.9) -> DataFrame:
-    """(ord, ctx, toks, cums): the nucleus of each context's successors and the running mass within it."""
+    """(ord, ctx, toks, cums, mass): the nucleus of each context's successors, the running share within it, and its mass."""
     key = ["ord", "ctx"]
-    d = counts.withColumn("_w", F.pow(F.col("cnt").cast("double"), F.lit(1.0 / temperature)))
+    d = counts.where("ord > 0").withColumn("_w", F.pow(F.col("cnt").cast("double"), F.lit(1.0 / temperature)))
     every = Window.partitionBy(*key)
     at = every.orderBy(F.col("cnt").desc(), "tok")
     d = d.withColumn("_p", F.col("_w") / F.sum("_w").over(every)).withColumn("_r", F.row_number().over(at))
     d = d.withColumn("_before", F.coalesce(F.sum("_p").over(at.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0)))
     d = d.where(F.round("_before", 9) < top_p)
-    d = d.groupBy(*key).agg(F.sort_array(F.collect_list(F.struct("_r", "tok", (F.col("_before") + F.col("_p")).alias("c")))).alias("_x"), F.sum("_p").alias("_m"))
-    return d.select(*key, F.col("_x.tok").alias("toks"), F.transform("_x.c", lambda c: c / F.col("_m")).alias("cums"))
+    d = d.groupBy(*key).agg(F.sort_array(F.collect_list(F.struct("_r", "tok", (F.col("_before") + F.col("_p")).alias("c")))).alias("_x"), F.sum("_p").alias("mass"))
+    d = d.select(*key, F.col("_x.tok").alias("toks"), F.transform("_x.c", lambda c: c / F.col("mass")).alias("cums"), "mass")
+    return d.unionByName(_nucleus_of_all(counts.where("ord = 0"), temperature, top_p))
 
 
 def positions(df: DataFrame, ident: str, given: str, text: str, orders: int = ORDERS) -> DataFrame:
     """(ident, pos, ord, ctx, tok) for every token of `text` after the tokens of `given`, at every order."""
     d = df.select(ident, F.concat(given, text).alias("_all"), F.size(given).alias("_n"))
-    at = lambda tok, i: F.transform(F.sequence(F.lit(0), F.least(i, F.lit(orders - 1))), lambda o: F.struct(i.alias("i"), o.alias("ord"), F.array_join(F.slice("_all", i - o + 1, o), " ").alias("ctx"), tok.alias("tok")))
-    d = d.select(ident, "_n", F.explode(F.flatten(F.transform("_all", at))).alias("_g")).where("_g.i >= _n")
-    return d.select(ident, (F.col("_g.i") - F.col("_n")).alias("pos"), "_g.ord", "_g.ctx", "_g.tok")
+    d = _places(d, [ident, "_n"], "_all", orders).where("i >= _n")
+    return d.select(ident, (F.col("i") - F.col("_n")).alias("pos"), "ord", "ctx", "tok")
 
 
 def sequence_nll(df: DataFrame, counts: DataFrame, ident: str, given: str, text: str, mix: tuple[float, ...] = MIX) -> DataFrame:
-    """(ident, n_tokens, nll): -sum of ln of the interpolated probabilities of the tokens of `text`."""
+    """(ident, n_tokens, nll): -sum of ln of the interpolated probabilities of the tokens of `text`. A token never seen after a context adds nothing there, so one join by (ord, ctx, tok) tells all."""
     p = positions(df, ident, given, text, len(mix))
-    total = counts.groupBy("ord", "ctx").agg(F.sum("cnt").alias("_total"))
-    hit = p.join(counts, ["ord", "ctx", "tok"], "left").join(total, ["ord", "ctx"], "left")
+    hit = p.join(model(counts).select("ord", "ctx", "tok", "cnt", "total"), ["ord", "ctx", "tok"], "left")
     weight = F.element_at(F.array(*[F.lit(w) for w in mix]), F.col("ord") + 1)
-    mass = hit.groupBy(ident, "pos").agg(F.sum(weight * F.coalesce(F.col("cnt") / F.col("_total"), F.lit(0.0))).alias("_p"))
+    mass = hit.groupBy(ident, "pos").agg(F.sum(weight * F.coalesce(F.col("cnt") / F.col("total"), F.lit(0.0))).alias("_p"))
     return mass.groupBy(ident).agg(F.count(F.lit(1)).alias("n_tokens"), F.sum(-F.log(F.greatest("_p", F.lit(FLOOR)))).alias("nll"))

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.store import fits
+
 
 def asof(left: DataFrame, right: DataFrame, key: str, at: str, value: str, out: str) -> DataFrame:
     """For each row of left(key, at), the latest `value` of right(key, at) at or before it: a union and one window, no join."""
@@ -21,6 +23,22 @@ def band_join(left: DataFrame, right: DataFrame, a: str, b: str, width: int) ->
     return l.join(r, "_bin").where(F.abs(F.col(a) - F.col(b)) <= width).drop("_bin")
 
 
+def containing(left: DataFrame, right: DataFrame, text: str, part: str) -> DataFrame:
+    """Pairs whose `part` stands somewhere in `text`. A right side that fits is broadcast to one pass; a larger one meets the words of the texts by its longest inner word (which white space fences in, so the text has it whole), and only parts without one are broadcast."""
+    if fits(right):
+        return left.join(F.broadcast(right), F.col(text).contains(F.col(part)))
+    words = F.split(F.col(part), "[ \t\n\x0b\f\r]+")
+    inner = F.slice(words, F.lit(2), F.greatest(F.size(words) - 2, F.lit(0)))
+    longest = F.array_max(F.transform(inner, lambda w: F.struct(F.length(w).alias("n"), w.alias("w"))))["w"]
+    keyed = right.withColumn("_w", longest)
+    each = left.select("*", F.explode(F.array_distinct(F.split(F.col(text), "[ \t\n\x0b\f\r]+"))).alias("_w"))
+    met = each.join(keyed.where("_w is not null"), "_w").where(F.col(text).contains(F.col(part))).drop("_w")
+    rest = keyed.where("_w is null").drop("_w")
+    if not fits(rest):
+        raise ValueError("too many parts of fewer than three words")
+    return met.unionByName(left.join(F.broadcast(rest), F.col(text).contains(F.col(part))))
+
+
 def top_per(df: DataFrame, by: str, k: int, *order: Column) -> DataFrame:
     w = Window.partitionBy(by).orderBy(*order)
     return df.withColumn("_r", F.row_number().over(w)).where(F.col("_r") <= k).drop("_r")

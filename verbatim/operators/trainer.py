@@ -19,8 +19,8 @@ from ..plans.store import cut
 from . import policy as P
 
 
-def sequence_logp(positions, theta: np.ndarray, want_grad: bool) -> tuple[float, float, np.ndarray | None]:
-    """(ln p under theta, ln p of the reference, gradient) of one row of the design, token by token."""
+def sequence_logp(positions, theta: np.ndarray, want_grad: bool, reference: np.ndarray | None = None) -> tuple[float, float, np.ndarray | None]:
+    """(ln p under theta, ln p under the frozen reference, gradient) of one row of the design, token by token; without a reference, under theta = 0."""
     now = ref = 0.0
     grad = np.zeros(len(theta)) if want_grad else None
     for p in positions:
@@ -33,7 +33,8 @@ def sequence_logp(positions, theta: np.ndarray, want_grad: bool) -> tuple[float,
         e = np.exp(s)
         t = p["target"]
         now += s[t] - np.log(e.sum())
-        b = base - base.max()
+        b = base if reference is None else base + np.bincount(who, reference[what], len(base))
+        b = b - b.max()
         ref += b[t] - np.log(np.exp(b).sum())
         if want_grad:
             d = -e / e.sum()
@@ -48,16 +49,16 @@ def items(design: DataFrame, roles: DataFrame) -> DataFrame:
     return cut(d.groupBy("item_id").agg(F.collect_list(F.struct("role", "positions")).alias("parts")))
 
 
-def step(data: DataFrame, objective, theta: np.ndarray, lowrank=None) -> tuple[float, np.ndarray, int]:
+def step(data: DataFrame, objective, theta: np.ndarray, reference: np.ndarray | None = None) -> tuple[float, np.ndarray, int]:
     """Mean loss, mean gradient and the number of items at theta."""
-    blob = data.sparkSession.sparkContext.broadcast(pickle.dumps((objective, theta)))
+    blob = data.sparkSession.sparkContext.broadcast(pickle.dumps((objective, theta, reference)))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        objective, theta = pickle.loads(blob.value)
+        objective, theta, reference = pickle.loads(blob.value)
         loss, grad, n = 0.0, np.zeros(len(theta)), 0
         for b in batches:
             for parts in b["parts"]:
-                known = {x["role"]: sequence_logp(x["positions"], theta, True) for x in parts}
+                known = {x["role"]: sequence_logp(x["positions"], theta, True, reference) for x in parts}
                 got, coefs = objective.terms({k: v[:2] for k, v in known.items()})
                 loss, n = loss + got, n + 1
                 for role, c in coefs.items():
@@ -71,41 +72,44 @@ def step(data: DataFrame, objective, theta: np.ndarray, lowrank=None) -> tuple[f
     return sum(r["loss"] for r in got) / max(1, n), np.sum([r["grad"] for r in got], axis=0) / max(1, n), n
 
 
-def fit(data: DataFrame, objective, start: P.Policy, rate: float = 1.0, steps: int = 8, tol: float = 1e-4, clip: float = 4.0) -> tuple[P.Policy, list[float]]:
-    """Plain descent from `start` (the reference is always theta = 0); weights stay within +-clip. Returns policy and losses."""
+def fit(data: DataFrame, objective, start: P.Policy, rate: float = 1.0, steps: int = 8, tol: float = 1e-4, clip: float = 4.0, reference: np.ndarray | None = None) -> tuple[P.Policy, list[float]]:
+    """Plain descent from `start`, which stays the frozen reference unless another is given; weights stay within +-clip of the start. Returns policy and losses."""
     theta, losses = start.theta.copy(), []
+    reference = start.theta if reference is None else reference
     for _ in range(steps):
-        loss, grad, _n = step(data, objective, theta)
+        loss, grad, _n = step(data, objective, theta, reference)
         losses.append(loss)
         if len(losses) > 1 and abs(losses[-2] - loss) < tol:
             break
-        theta = np.clip(theta - rate * grad, -clip, clip)
+        theta = np.clip(theta - rate * grad, start.theta - clip, start.theta + clip)
     return P.Policy(theta, start.lexical, {"objective": repr(objective), "rate": rate, "steps": len(losses), "clip": clip}), losses
 
 
-def fit_lowrank(data: DataFrame, objective, rank: int = 4, rate: float = 1.0, steps: int = 8, seed: int = 1) -> tuple[P.Policy, list[float]]:
-    """Only the lexical block is tuned, as a product of two thin factors; the gradient reaches them by the chain rule."""
+def fit_lowrank(data: DataFrame, objective, rank: int = 4, rate: float = 1.0, steps: int = 8, seed: int = 1, start: P.Policy | None = None) -> tuple[P.Policy, list[float]]:
+    """Only the lexical block is tuned, by a product of two thin factors that is added to the start's; the gradient reaches them by the chain rule."""
+    start = P.widened(start or P.identity(True), True)
     rng = np.random.default_rng(seed)
-    n, b = P.n_features(True), P.BUCKETS
+    b = P.BUCKETS
     left, right = rng.normal(0, 0.1, (b, rank)), np.zeros((rank, b))
     losses = []
-    at = n - b * b
+    at = len(start.theta) - b * b
+    put = lambda: start.theta + np.r_[np.zeros(at), (left @ right).ravel()]
     for _ in range(steps):
-        theta = np.r_[np.zeros(at), (left @ right).ravel()]
-        loss, grad, _n = step(data, objective, theta)
+        loss, grad, _n = step(data, objective, put(), start.theta)
         losses.append(loss)
         g = grad[at:].reshape(b, b)
         left, right = left - rate * g @ right.T, right - rate * left.T @ g
-    return P.Policy(np.r_[np.zeros(at), (left @ right).ravel()], True, {"rank": rank, "rate": rate}), losses
+    return P.Policy(put(), True, {"rank": rank, "rate": rate}), losses
 
 
-def score(design: DataFrame, theta: np.ndarray) -> DataFrame:
-    """(seq_id, logp, logp_ref) of every row of the design."""
-    blob = design.sparkSession.sparkContext.broadcast(theta)
+def score(design: DataFrame, theta: np.ndarray, reference: np.ndarray | None = None) -> DataFrame:
+    """(seq_id, n_tokens, logp, logp_ref) of every row of the design."""
+    blob = design.sparkSession.sparkContext.broadcast((theta, reference))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        theta, reference = blob.value
         for b in batches:
-            got = [sequence_logp(p, blob.value, False)[:2] for p in b["positions"]]
-            yield pd.DataFrame({"seq_id": b["seq_id"], "logp": [g[0] for g in got], "logp_ref": [g[1] for g in got]})
+            got = [sequence_logp(p, theta, False, reference)[:2] for p in b["positions"]]
+            yield pd.DataFrame({"seq_id": b["seq_id"], "n_tokens": [len(p) for p in b["positions"]], "logp": [g[0] for g in got], "logp_ref": [g[1] for g in got]})
 
-    return design.mapInPandas(run, "seq_id string, logp double, logp_ref double")
+    return design.mapInPandas(run, "seq_id string, n_tokens long, logp double, logp_ref double")

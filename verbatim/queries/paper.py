@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..functions import rouge
 from ..functions.text import hash32, tokens
 from ..operators import decode, lm, memorize, objectives, pairs, paraphrase, report, sampling, segments, untargeted, utility
-from ..plans.store import shared
+from ..plans.store import cut, shared
 from ..sources.tables import page_text, page_title, table
 from . import sql as S
 
@@ -35,7 +35,8 @@ def seen(spark: SparkSession, d: str) -> DataFrame:
 
 
 def counts(spark: SparkSession, d: str) -> DataFrame:
-    return shared(("counts", d), spark, lambda: lm.fit(seen(spark, d).select("tk")))
+    """The language model: counts with the totals of their contexts."""
+    return shared(("counts", d), spark, lambda: lm.model(cut(lm.fit(seen(spark, d).select("tk")))))
 
 
 def best(spark: SparkSession, d: str) -> DataFrame:
@@ -53,7 +54,12 @@ def kept(d: DataFrame) -> int:
 
 def chosen(spark: SparkSession, d: str) -> DataFrame:
     """The segments that tuning uses: best recited ones of seen documents."""
-    return shared(("top", d), spark, lambda: memorize.top_segments(probes(spark, d), kept(probes(spark, d))))
+
+    def make():
+        known = cut(sampling.seen(probes(spark, d)))
+        return memorize.top_segments(known, kept(known))
+
+    return shared(("top", d), spark, make)
 
 
 def pair_rows(spark: SparkSession, d: str) -> DataFrame:
@@ -140,9 +146,9 @@ def ngram_counts(spark, d):
     return counts(spark, d).groupBy("ord", (hash32("b", "ctx") % 16).alias("bucket")).agg(F.count(F.lit(1)).alias("n_rows"), F.sum("cnt").alias("total"), F.max("cnt").alias("most"))
 
 
-@query("best_next", f"WITH {S.BEST} SELECT b.ord, b.ctx, b.tok, b.cnt, t.total, t.n_next FROM best b JOIN tot t ON b.ord = t.ord AND b.ctx = t.ctx WHERE b.ord < 2")
+@query("best_next", f"WITH {S.BEST} SELECT b.ord, b.ctx, b.tok, b.cnt, t.total, t.n_next FROM best b JOIN tot t ON b.ord = t.ord AND b.ctx = t.ctx")
 def best_next(spark, d):
-    return lm.best_next(counts(spark, d)).where("ord < 2")
+    return lm.best_next(counts(spark, d))
 
 
 _PROBE = f"WITH RECURSIVE {S.BEST}, {S.heads('segs', 64, 32)}, {S.decoded('dec', 'segs', 32)}, ab AS (SELECT s.seg_id AS id, generated AS a, reference AS b FROM segs s JOIN dec USING (seg_id)), {S.lcs('l', 'ab')}, probe AS MATERIALIZED (SELECT s.seg_id, s.doc_id, s.source, s.reference, s.prefix, d.generated, lcs, lcs / 32 AS rouge_l FROM segs s JOIN dec d USING (seg_id) JOIN l ON l.id = s.seg_id)"
@@ -153,20 +159,39 @@ def decode_greedy(spark, d):
     return probes(spark, d).select("seg_id", F.array_join("generated", " ").alias("generated"))
 
 
-@query("decode_greedy_frontier", f"WITH RECURSIVE {S.BEST}, {S.heads('segs', 64, 32)}, {S.decoded('dec', 'segs', 8)} SELECT seg_id, array_to_string(generated, ' ') AS generated FROM dec")
-def decode_greedy_frontier(spark, d):
-    """Eight steps by the strategy for tables that can't be broadcast."""
+def _decoded(spark, d, table, strategy: str):
     segs = segments.head_segment(docs(spark, d)).select(F.col("seg_id").alias("id"), F.col("prefix").alias("given"))
-    out = decode.greedy(segs, best(spark, d), 8, strategy="frontier")
+    out = decode.greedy(segs, table, 32, strategy=strategy)
     return out.select(F.col("id").alias("seg_id"), F.array_join("generated", " ").alias("generated"))
 
 
+_GENERATED = _PROBE + " SELECT seg_id, array_to_string(generated, ' ') AS generated FROM probe"
+
+
+@query("decode_greedy_frontier", _GENERATED)
+def decode_greedy_frontier(spark, d):
+    """By the strategy for tables that can't be broadcast."""
+    return _decoded(spark, d, best(spark, d), "frontier")
+
+
+@query("decode_greedy_doubling", _GENERATED)
+def decode_greedy_doubling(spark, d):
+    """By jumps over the automaton of all contexts, five joins for 32 tokens."""
+    return _decoded(spark, d, lm.best_next(counts(spark, d)), "doubling")
+
+
+@query("decode_greedy_recursive", _GENERATED)
+def decode_greedy_recursive(spark, d):
+    """By one recursive SQL statement."""
+    return _decoded(spark, d, best(spark, d), "recursive")
+
+
 @query("probe_greedy", _PROBE + " SELECT seg_id, doc_id, lcs, round(rouge_l, 6)::DOUBLE AS rouge_l FROM probe")
 def probe_greedy(spark, d):
     return probes(spark, d).select("seg_id", "doc_id", "lcs", F.round("rouge_l", 6).alias("rouge_l"))
 
 
-_TOPK = ", top AS MATERIALIZED (SELECT * FROM probe ORDER BY rouge_l DESC, seg_id LIMIT (SELECT greatest(40, round(0.016 * count(*)))::BIGINT FROM probe))"
+_TOPK = f", sprobe AS (SELECT * FROM probe WHERE {S.h32('split', 'doc_id')} % 2 = 0), top AS MATERIALIZED (SELECT * FROM sprobe ORDER BY rouge_l DESC, seg_id LIMIT (SELECT greatest(40, round(0.016 * count(*)))::BIGINT FROM sprobe))"
 
 
 @query("memorized_topk", _PROBE + _TOPK + " SELECT seg_id, lcs FROM top")
@@ -191,21 +216,20 @@ def random_segments(spark, d):
     return memorize.random_segments(segments.head_segment(docs(spark, d)), 40).select("seg_id")
 
 
-_NUC = f"""WITH {S.NG}, w AS (SELECT *, pow(cnt::DOUBLE, 1 / 0.7) AS w FROM ng WHERE ord = 1),
-p AS (SELECT *, w / sum(w) OVER (PARTITION BY ctx) AS p FROM w),
-q AS (SELECT *, coalesce(sum(p) OVER (PARTITION BY ctx ORDER BY cnt DESC, tok ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS bf FROM p)
-SELECT ctx, count(*) AS n_kept, round(sum(p), 6) AS mass, min(tok) AS least_tok FROM q WHERE round(bf, 9) < 0.9 GROUP BY ctx"""
+_NUC = f"""WITH {S.NG}, w AS (SELECT *, pow(cnt::DOUBLE, 1 / 0.7) AS w FROM ng),
+p AS (SELECT *, w / sum(w) OVER (PARTITION BY ord, ctx) AS p FROM w),
+q AS (SELECT *, coalesce(sum(p) OVER (PARTITION BY ord, ctx ORDER BY cnt DESC, tok ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS bf FROM p)
+SELECT ord, ctx, count(*) AS n_kept, round(sum(p), 6) AS mass, min(tok) AS least_tok FROM q WHERE round(bf, 9) < 0.9 GROUP BY ord, ctx"""
+
+
+def nuclei(spark, d):
+    return shared(("nucleus", d), spark, lambda: lm.nucleus_table(counts(spark, d)))
 
 
 @query("nucleus_set", _NUC)
 def nucleus_set(spark, d):
-    """The nucleus after each single word at T = 0.7 and top-p = 0.9."""
-    t = lm.nucleus_table(counts(spark, d).where("ord = 1"))
-    w = F.pow(F.col("cnt").cast("double"), F.lit(1 / 0.7))
-    mass = counts(spark, d).where("ord = 1").groupBy("ctx").agg(F.sum(w).alias("_all"), F.collect_list(F.struct("tok", w.alias("w"))).alias("_x"))
-    j = t.join(mass, "ctx")
-    kept_mass = F.aggregate(F.filter("_x", lambda x: F.array_contains(F.col("toks"), x["tok"])), F.lit(0.0), lambda a, x: a + x["w"]) / F.col("_all")
-    return j.select("ctx", F.size("toks").cast("long").alias("n_kept"), F.round(kept_mass, 6).alias("mass"), F.array_min("toks").alias("least_tok"))
+    """The nucleus after each context at T = 0.7 and top-p = 0.9."""
+    return nuclei(spark, d).select("ord", "ctx", F.size("toks").cast("long").alias("n_kept"), F.round("mass", 6).alias("mass"), F.array_min("toks").alias("least_tok"))
 
 
 @query("decode_nucleus")
@@ -213,7 +237,7 @@ def decode_nucleus(spark, d):
     """32 sampled tokens after the first user turn of each conversation."""
     first = table(spark, d, "conversations").where("role = 'user'").groupBy("conv_id").agg(F.min_by("text", "turn").alias("text"))
     given = first.select(F.col("conv_id").cast("string").alias("id"), tokens("text").alias("given"))
-    return decode.nucleus(given, shared(("nucleus", d), spark, lambda: lm.nucleus_table(counts(spark, d))), 32).select("id", F.array_join("generated", " ").alias("generated"))
+    return decode.nucleus(given, nuclei(spark, d), 32).select("id", F.array_join("generated", " ").alias("generated"))
 
 
 _NLLSRC = "src AS (SELECT seg_id AS id, prefix AS given, reference AS txt FROM segs)"
@@ -452,10 +476,17 @@ def longest_run(spark, d):
     return untargeted.longest_run(outputs(spark, d), seen(spark, d))
 
 
+@query("creativity_recorded", _RAT + """, e AS (SELECT task, output_id, avg(1 - ratio) AS ci, max(ratio) FILTER (n = 5) AS s, max(ratio) FILTER (n = 11) AS l FROM rat GROUP BY ALL)
+SELECT task, count(*) AS outputs, round(avg(ci), 6)::DOUBLE AS ci, round(100 * avg(s), 6)::DOUBLE AS short, round(100 * avg(l), 6)::DOUBLE AS long FROM e GROUP BY task""")
+def creativity_recorded(spark, d):
+    """Index, 5-gram and 11-gram overlap by task of the recorded and the untuned model's outputs."""
+    return untargeted.creativity_table(ratios(spark, d))
+
+
 @query("ci_decomposition", _RAT + """, b AS (SELECT n, avg(ratio) AS v FROM rat WHERE task = 'story' GROUP BY 1), a AS (SELECT n, avg(ratio) AS v FROM rat WHERE task = 'poem' GROUP BY 1)
 SELECT n, round(b.v, 6) AS before, round(a.v, 6) AS after, round(a.v - b.v, 6) AS change, round(CASE WHEN sum(a.v - b.v) OVER () <> 0 THEN (a.v - b.v) / sum(a.v - b.v) OVER () END, 6) AS share FROM a JOIN b USING (n)""")
 def ci_decomposition(spark, d):
-    """Stories against poems, as before against after."""
+    """Stories against poems: the arithmetic of the decomposition. `creativity_change` has models before and after tuning."""
     r = ratios(spark, d)
     return untargeted.decomposition(r.where("task = 'story'"), r.where("task = 'poem'"))
 
@@ -560,38 +591,74 @@ def utility_win_rate(spark, d):
     return duels(spark, d).agg(F.count(F.lit(1)).alias("n"), F.round(100 * F.avg("win"), 6).alias("win_rate"), F.round(F.avg("gap"), 6).alias("mean_gap"))
 
 
-@query("utility_win_rate_controlled")
+#: Newton steps over the bins, one row a step, the bins in lists.
+_NEWTON = f"""WITH RECURSIVE {_DUEL}, bi AS (SELECT round(greatest(-4.0::DOUBLE, least(4.0::DOUBLE, gap)) * 5) / 5 AS g, sum(win) AS w, count(*)::DOUBLE AS n FROM du GROUP BY 1),
+li AS MATERIALIZED (SELECT list(g ORDER BY g) AS g, list(w ORDER BY g) AS w, list(n ORDER BY g) AS n FROM bi),
+nw AS (SELECT 0 AS step, 0.0::DOUBLE AS a, 0.0::DOUBLE AS b UNION ALL
+  SELECT step + 1, a + (hbb * ra - hab * rb) / (haa * hbb - hab * hab), b + (haa * rb - hab * ra) / (haa * hbb - hab * hab) FROM (
+    SELECT step, a, b, list_sum(v) + 1e-6 AS haa, list_sum(list_transform(g, lambda x, i: v[i] * x)) AS hab, list_sum(list_transform(g, lambda x, i: v[i] * x * x)) + 1e-6 AS hbb,
+      list_sum(list_transform(g, lambda x, i: w[i] - n[i] * p[i])) AS ra, list_sum(list_transform(g, lambda x, i: (w[i] - n[i] * p[i]) * x)) AS rb FROM (
+      SELECT *, list_transform(p, lambda q, i: n[i] * q * (1 - q) + 1e-9) AS v FROM (
+        SELECT nw.*, li.*, list_transform(g, lambda x: 1 / (1 + exp(-(a + b * x)))) AS p FROM nw, li WHERE step < 50))))
+SELECT round(100 / (1 + exp(-a)), 6) AS win_rate FROM nw WHERE step = 50"""
+
+
+@query("utility_win_rate_controlled", _NEWTON)
 def utility_win_rate_controlled(spark, d):
-    rate = utility.controlled_win_rate(duels(spark, d))
-    return spark.createDataFrame([(round(100 * rate, 6),)], "win_rate double")
+    """The win rate that is left at no length gap."""
+    return utility.controlled_win_rate(duels(spark, d)).select(F.round(100 * F.col("win_rate"), 6).alias("win_rate"))
 
 
-def shifts(spark, d):
+def reweighted(spark, d):
+    """Held-out segments under the model and under the same counts with other weights."""
     segs = segments.head_segment(sampling.held(docs(spark, d), "text")).withColumnRenamed("seg_id", "id")
-    return shared(("shifts", d), spark, lambda: utility.nll_shift(lm.sequence_nll(segs, counts(spark, d), "id", "prefix", "reference"), lm.sequence_nll(segs, counts(spark, d), "id", "prefix", "reference", AFTER)))
+    return shared(("reweighted", d), spark, lambda: utility.nll_shift(lm.sequence_nll(segs, counts(spark, d), "id", "prefix", "reference"), lm.sequence_nll(segs, counts(spark, d), "id", "prefix", "reference", AFTER)))
 
 
 _SHIFT = f"WITH {S.NG}, ho AS (SELECT * FROM tok WHERE {S.h32('split', 'doc_id')} % 2 <> 0 AND text NOT IN (SELECT text FROM seen)), {S.heads('segs', 64, 32, 'ho')}, {_NLLSRC}, {S.nll('xb', 'src')}, {S.nll('xa', 'src', AFTER)}, sh AS MATERIALIZED (SELECT id, xb.n_tokens, xb.nll / xb.n_tokens AS before, xa.nll / xa.n_tokens AS after, after - before AS shift FROM xb JOIN xa USING (id))"
 
 
-@query("nll_shift", _SHIFT + " SELECT id, n_tokens, round(before, 6) AS before, round(after, 6) AS after, round(shift, 6) AS shift FROM sh")
-def nll_shift(spark, d):
-    return shifts(spark, d).select("id", "n_tokens", *[F.round(c, 6).alias(c) for c in ("before", "after", "shift")])
+@query("nll_reweighted", _SHIFT + " SELECT id, n_tokens, round(before, 6) AS before, round(after, 6) AS after, round(shift, 6) AS shift FROM sh")
+def nll_reweighted(spark, d):
+    return reweighted(spark, d).select("id", "n_tokens", *[F.round(c, 6).alias(c) for c in ("before", "after", "shift")])
 
 
-@query("nll_shift_bands", _SHIFT + ", b AS (SELECT ntile(10) OVER (ORDER BY round(before, 9), id) AS band, round(before, 9) AS before, shift FROM sh) SELECT band::INT AS band, count(*) AS n, round(avg(before), 6) AS before, round(avg(shift), 6) AS shift FROM b GROUP BY 1")
-def nll_shift_bands(spark, d):
-    return utility.shift_by_band(shifts(spark, d))
+# --- published tables
 
 
-@query("nll_shift_correlation", _SHIFT + " SELECT round(corr(before, shift), 6) AS corr, round(regr_slope(shift, before), 6) AS slope FROM sh")
-def nll_shift_correlation(spark, d):
-    return shifts(spark, d).agg(F.round(F.corr("before", "shift"), 6).alias("corr"), F.round(F.regr_slope("shift", "before"), 6).alias("slope"))
 
+def _values(name: str, rows, metrics) -> str:
+    said = ", ".join("(" + ", ".join("NULL::DOUBLE" if x is None else f"'{x}'" if isinstance(x, str) else f"{x}::DOUBLE" for x in r) + ")" for r in rows)
+    return f"{name} AS (SELECT * FROM (VALUES {said}) AS t(model, variant, {', '.join(metrics)}))"
+
+
+_PUB = (
+    _values("pb", report.BASE, report.BASE_METRICS) + ", " + _values("pi", report.INSTRUCT, report.INSTRUCT_METRICS) + ", " + _values("pw", report.WRITING, report.WRITING_METRICS)
+    + f""", lo AS (SELECT model, variant, metric, value FROM pb UNPIVOT (value FOR metric IN ({', '.join(report.BASE_METRICS)}))
+UNION ALL SELECT model, variant, metric, value FROM (SELECT * FROM pi WHERE model <> 'base-A') UNPIVOT (value FOR metric IN ({', '.join(report.INSTRUCT_METRICS)})))"""
+)
+
+
+@query("published_report", f"WITH {_PUB} SELECT * FROM lo")
+def published_report(spark, d):
+    """What was published of every model and variant."""
+    return report.published(spark)
+
+
+@query("published_writing", f"WITH {_PUB} SELECT model, variant, metric, value FROM pw UNPIVOT (value FOR metric IN ({', '.join(report.WRITING_METRICS)}))")
+def published_writing(spark, d):
+    return report.published_writing(spark)
+
+
+_CHECKS = f"""WITH {_PUB}, c AS (SELECT model, variant, 'composite' AS measure, (knowledge + math + reasoning) / 3 AS computed FROM pb UNION ALL SELECT model, variant, 'writing', (story_long + poem_long + speech_long) / 3 FROM pw),
+p AS (SELECT model, variant, 'composite' AS measure, composite AS printed FROM pi UNION ALL SELECT model, variant, 'writing', writing FROM pi WHERE model <> 'base-A' UNION ALL SELECT model, variant, 'writing', writing FROM pb WHERE model = 'base-A')
+SELECT model, variant, measure, round(computed, 6) AS computed, printed, abs(round(computed, 6) - printed) < 0.05 AS agrees FROM c JOIN p USING (model, variant, measure)"""
 
-# --- published tables
 
-_PUB = "pub AS (SELECT * FROM (VALUES " + ", ".join(f"('{m}', '{v}', {a}::DOUBLE, {b}::DOUBLE, {c}::DOUBLE, {q}::DOUBLE)" for m, v, a, b, c, q in report.PUBLISHED) + ") AS t(model, variant, web, book, writing, quote)), lo AS (SELECT model, variant, metric, value FROM pub UNPIVOT (value FOR metric IN (web, book, writing, quote)))"
+@query("published_checks", _CHECKS)
+def published_checks(spark, d):
+    """Whether published means follow from the published parts; some don't."""
+    return report.checks(spark)
 
 
 @query("relative_reduction", f"WITH {_PUB} SELECT a.model, a.variant, a.metric, a.value, round(CASE WHEN b.value <> 0 THEN 100 * (b.value - a.value) / b.value END, 6) AS reduction FROM lo a JOIN lo b ON a.model = b.model AND a.metric = b.metric AND b.variant = 'untuned' WHERE a.variant <> 'untuned'")
@@ -604,15 +671,22 @@ def report_pivot(spark, d):
     return report.published(spark).groupBy("model", "metric").pivot("variant", ["untuned", "tuned"]).max("value")
 
 
-@query("tradeoff_pareto", f"WITH {_PUB}, p AS (SELECT model || '/' || variant AS name, quote AS utility, writing AS copying FROM pub) SELECT * FROM p WHERE NOT EXISTS (SELECT 1 FROM p q WHERE q.utility >= p.utility AND q.copying <= p.copying AND (q.utility > p.utility OR q.copying < p.copying))")
+@query("tradeoff_pareto", f"WITH {_PUB}, p AS (SELECT model || '/' || variant AS name, max(value) FILTER (metric = 'quote') AS utility, max(value) FILTER (metric = 'writing') AS copying FROM lo GROUP BY ALL) SELECT * FROM p WHERE NOT EXISTS (SELECT 1 FROM p q WHERE q.utility >= p.utility AND q.copying <= p.copying AND (q.utility > p.utility OR q.copying < p.copying))")
 def tradeoff_pareto(spark, d):
     """Quotation against copying over the published variants."""
     w = report.published(spark).groupBy(F.concat_ws("/", "model", "variant").alias("name")).pivot("metric", ["quote", "writing"]).max("value")
     return report.pareto(w.select("name", F.col("quote").alias("utility"), F.col("writing").alias("copying")))
 
 
-@query("examples", _PROBE + " SELECT seg_id, array_to_string(generated, ' ') AS generated, array_to_string(reference, ' ') AS reference, lcs FROM probe ORDER BY lcs DESC, seg_id LIMIT 5")
+@query("examples", f"""WITH RECURSIVE {S.BEST}, {S.OUT}, {S.hits('h', 'outs', 'seen', 5)}, i AS (SELECT output_id, pos, pos - row_number() OVER (PARTITION BY output_id ORDER BY pos) AS isl FROM h WHERE hit),
+g AS (SELECT output_id, min(pos) AS start, count(*) + 4 AS tokens FROM i GROUP BY output_id, isl),
+b AS (SELECT output_id, max(tokens) AS longest, list(start) AS opens, list(start + tokens - 1) AS closes FROM g GROUP BY 1)
+SELECT b.output_id, array_to_string(list_transform(tk, lambda x, k: CASE WHEN list_contains(opens, k - 1) THEN '[' ELSE '' END || x || CASE WHEN list_contains(closes, k - 1) THEN ']' ELSE '' END), ' ') AS marked, longest::BIGINT AS longest
+FROM b JOIN outs USING (output_id) ORDER BY longest DESC, output_id LIMIT 5""")
 def examples(spark, d):
-    """Side by side: what was generated, what stood there."""
-    p = probes(spark, d).orderBy(F.col("lcs").desc(), "seg_id").limit(5)
-    return p.select("seg_id", F.array_join("generated", " ").alias("generated"), F.array_join("reference", " ").alias("reference"), "lcs")
+    """The five outputs with the longest copied stretches, every copied stretch in brackets."""
+    outs = cut(outputs(spark, d))
+    r = cut(untargeted.runs(outs, seen(spark, d)))
+    best = r.groupBy("output_id").agg(F.max("tokens").alias("longest")).orderBy(F.col("longest").desc(), "output_id").limit(5)
+    told = r.join(F.broadcast(best), "output_id").groupBy("output_id", "longest").agg(F.collect_list(F.struct("start", "tokens")).alias("_s"))
+    return outs.select("output_id", "tk").join(told, "output_id").select("output_id", report.marked("tk", "_s").alias("marked"), "longest")
