@@ -257,47 +257,63 @@ def _scorer(often, theta, base: int, lexical: bool, draw):
     return nucleus_of
 
 
-def tuned(df: DataFrame, known: Successors, theta, steps: int, directive: str = "", draw: tuple[float, float, str] | None = None) -> DataFrame:
-    """(id, generated) by a policy with these weights, run with a directive: greedy, or drawn by (temperature, top-p, seed)."""
+#: Between a policy's name and an id, where both stand in one column.
+MARK = "\x01"
+
+
+def walked(df: DataFrame, known: Successors, settings: dict, steps: int, draw: tuple[float, float, str] | None = None) -> DataFrame:
+    """(policy, id, generated) of df(policy, id, given) by many policies in one pass; settings: each one's weights and the directive it runs with. Greedy, or drawn by (temperature, top-p, seed): a draw depends on the id and not on the policy."""
     from . import policy as P
 
-    theta = np.asarray(theta)
-    lexical = len(theta) > P.n_features(False)
-    base = P.DIRECTIVES.index(directive) * P.SHARED
+    made = {k: (np.asarray(theta), P.DIRECTIVES.index(directive) * P.SHARED) for k, (theta, directive) in settings.items()}
     orders, often = known.orders, known.often
+
+    def scorers():
+        return {k: _scorer(often, theta, base, len(theta) > P.n_features(False), draw) for k, (theta, base) in made.items()}
+
     if known.strategy == "broadcast":
         sent = known.sent
 
         def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            table, pick = sent.value, _scorer(often, theta, base, lexical, draw)
+            table, picks = sent.value, scorers()
             memo: dict = {}
             for b in batches:
-                made = []
-                for ident, given in zip(b["id"], b["given"]):
-                    tail, out = list(given)[-(orders - 1) :], []
+                out = []
+                for who, ident, given in zip(b["policy"], b["id"], b["given"]):
+                    tail, said = list(given)[-(orders - 1) :], []
                     for step in range(steps):
-                        k = tuple(tail)
+                        k = (who, *tail)
                         if k not in memo:
-                            memo[k] = pick([x for n in range(1, len(tail) + 1) if (x := table.get(" ".join(tail[-n:])))], tail)
+                            memo[k] = picks[who]([x for n in range(1, len(tail) + 1) if (x := table.get(" ".join(tail[-n:])))], tail)
                         tok = memo[k] if draw is None else _draw(*memo[k], draw[2], f"{ident}:{step}")
-                        out.append(tok)
+                        said.append(tok)
                         tail = [*tail, tok][-(orders - 1) :]
-                    made.append(out)
-                yield pd.DataFrame({"id": b["id"], "generated": made})
+                    out.append(said)
+                yield pd.DataFrame({"policy": b["policy"], "id": b["id"], "generated": out})
 
-        return df.mapInPandas(run, f"id {OUT}")
+        return df.select("policy", "id", "given").mapInPandas(run, f"policy string, id {OUT}")
 
     def pick(rows: DataFrame, step: int) -> DataFrame:
         @F.pandas_udf("string")
         def choose(ident: pd.Series, tail: pd.Series, found: pd.Series) -> pd.Series:
-            say = _scorer(often, theta, base, lexical, draw)
-            best = [say([(x["ord"], x["n_next"], x["toks"], x["ps"], x["p0s"]) for x in f if x["ord"]], list(t)) for t, f in zip(tail, found)]
-            return pd.Series(best if draw is None else [_draw(*b, draw[2], f"{i}:{step}") for i, b in zip(ident, best)], dtype=object)
+            picks, out = scorers(), []
+            for i, t, f in zip(ident, tail, found):
+                who, i = i.split(MARK, 1)
+                best = picks[who]([(x["ord"], x["n_next"], x["toks"], x["ps"], x["p0s"]) for x in f if x["ord"]], list(t))
+                out.append(best if draw is None else _draw(*best, draw[2], f"{i}:{step}"))
+            return pd.Series(out, dtype=object)
 
         met = rows.groupBy("id").agg(F.collect_list("say").alias("_f"), F.first("tail").alias("tail"), F.first("generated").alias("generated"))
         return met.withColumn("_t", choose("id", "tail", "_f"))
 
-    return _frontier(df, known.table, steps, orders, pick, 4)
+    out = _frontier(df.select(F.concat("policy", F.lit(MARK), "id").alias("id"), "given"), known.table, steps, orders, pick, 4)
+    parts = F.split("id", MARK, 2)
+    return out.select(parts[0].alias("policy"), parts[1].alias("id"), "generated")
+
+
+def tuned(df: DataFrame, known: Successors, theta, steps: int, directive: str = "", draw: tuple[float, float, str] | None = None) -> DataFrame:
+    """(id, generated) by one policy."""
+    return walked(df.withColumn("policy", F.lit("one")), known, {"one": (theta, directive)}, steps, draw).drop("policy")
 
 
 def successors(key: tuple, counts: DataFrame, orders: int = 4) -> Successors:

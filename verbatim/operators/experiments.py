@@ -124,55 +124,84 @@ def _choices(m: Material, directive: str, prompt: str | None) -> DataFrame:
     return shared((*m.key, "choices", directive, prompt), m.spark, make)
 
 
-def written(m: Material, tuned: policy.Policy, directive: str = "", prompt: str | None = None, seed: str = "draw") -> DataFrame:
-    """(output_id, task, tk, answer, given): free writing after each prompt, drawn at temperature 0.7 and top-p 0.9."""
-    given = F.concat(F.array(F.lit(prompt)), "given") if prompt else F.col("given")
-    made = decode.tuned(m.prompts.select("id", given.alias("given")), m.known, tuned.theta, WRITTEN, directive, (*DRAW, seed))
-    return cut(m.prompts.join(made, "id").select(F.col("id").alias("output_id"), "task", F.col("generated").alias("tk"), "answer", "given"))
+@dataclass(frozen=True)
+class Run:
+    """A policy as it is run: its weights, the directive, and a directive that is only put before the prompt."""
 
+    tuned: policy.Policy
+    directive: str = ""
+    prompt: str | None = None
 
-def measure(m: Material, tuned: policy.Policy, directive: str = "", prompt: str | None = None, seed: str = "draw") -> DataFrame:
-    """(metric, value, n). Copying: web, book, writing (percent of 11-grams found, mean of tasks). Use: knowledge, math, reasoning and their mean (composite), quote (a text's first words after its title), passage (how a short passage goes on), constraints, win_rate (against the untuned model on the same prompt)."""
 
-    def asked(segs: DataFrame, name: str, reference: str | None = "reference") -> DataFrame:
-        s = policy.prompt_only(segs, prompt) if prompt else segs
-        return s.select(F.concat_ws("/", F.lit(name), "seg_id").alias("id"), F.lit(name).alias("metric"), F.col("prefix").alias("given"), (F.col(reference) if reference else F.lit(None).cast("array<string>")).alias("reference"), (F.col("gold") if "gold" in s.columns else F.lit(None).cast("decimal(18,2)")).alias("gold"))
+def _asked(m: Material, items: DataFrame, runs: dict[str, Run]) -> DataFrame:
+    """`items` once for each run, with the run's words before the prompt."""
+    who = m.spark.createDataFrame([(k, r.prompt) for k, r in runs.items()], "policy string, _before string")
+    given = F.when(F.col("_before").isNotNull(), F.concat(F.array("_before"), "given")).otherwise(F.col("given"))
+    return items.crossJoin(F.broadcast(who)).select("policy", "id", given.alias("given"))
+
+
+def _walk(m: Material, items: DataFrame, runs: dict[str, Run], steps: int, draw=None) -> DataFrame:
+    settings = {k: (r.tuned.theta, r.directive) for k, r in runs.items()}
+    return decode.walked(_asked(m, items, runs), m.known, settings, steps, draw)
+
+
+def written(m: Material, runs: dict[str, Run], seed: str = "draw") -> DataFrame:
+    """(policy, id, output_id, task, tk, answer, given): free writing after each prompt, drawn at temperature 0.7 and top-p 0.9."""
+    made = _walk(m, m.prompts, runs, WRITTEN, (*DRAW, seed))
+    return cut(m.prompts.join(made, "id").select("policy", "id", F.concat("policy", F.lit(decode.MARK), "id").alias("output_id"), "task", F.col("generated").alias("tk"), "answer", "given"))
+
+
+def _named(df: DataFrame) -> DataFrame:
+    return df.withColumn("policy", F.substring_index("output_id", decode.MARK, 1))
+
+
+def measure(m: Material, runs: dict[str, Run], seed: str = "draw") -> DataFrame:
+    """(policy, metric, value, n) of all runs in one pass over items, prompts and corpus.
+
+    Copying: web, book, writing (percent of 11-grams found, mean of tasks). Use: knowledge, math,
+    reasoning and their mean (composite), quote (a text's first words after its title), passage
+    (how a short passage goes on), constraints, win_rate (against the untuned model on the same
+    prompt, by a judge that prefers words of the recorded answer).
+    """
+
+    def named(segs: DataFrame, name: str, reference: str | None = "reference") -> DataFrame:
+        return segs.select(F.concat_ws("/", F.lit(name), "seg_id").alias("id"), F.lit(name).alias("metric"), F.col("prefix").alias("given"), (F.col(reference) if reference else F.lit(None).cast("array<string>")).alias("reference"), (F.col("gold") if "gold" in segs.columns else F.lit(None).cast("decimal(18,2)")).alias("gold"))
 
     # all items walk together: as many rounds as the longest reference
-    items = asked(m.web, "web").unionByName(asked(m.book, "book")).unionByName(asked(m.quotes, "quote")).unionByName(asked(m.passages, "passage"))
-    items = cut(items.unionByName(asked(m.numbers, "math", None)).unionByName(asked(m.shorts, "reasoning")))
+    items = named(m.web, "web").unionByName(named(m.book, "book")).unionByName(named(m.quotes, "quote")).unionByName(named(m.passages, "passage"))
+    items = shared((*m.key, "items"), m.spark, lambda: items.unionByName(named(m.numbers, "math", None)).unionByName(named(m.shorts, "reasoning")))
     steps = items.agg(F.max(F.size("reference")).alias("n")).first()["n"] or 0
-    made = decode.tuned(items.select("id", "given"), m.known, tuned.theta, max(steps, ANSWER), directive)
-    d = cut(items.join(made, "id"))
+    d = cut(items.select("id", "metric", "reference", "gold").join(_walk(m, items, runs, max(steps, ANSWER)), "id"))
     told = d.where("reference is not null").withColumn("generated", F.slice("generated", F.lit(1), F.size("reference")))
-    share = lambda df, ok, *by: df.groupBy(*by).agg((100 * F.avg(ok.cast("double"))).alias("value"), F.count(F.lit(1)).alias("n"))
-    out = memorize.extraction_ratio(memorize.score(told.where("metric <> 'reasoning'")), 0.5, "metric").select("metric", F.col("extraction").alias("value"), "n")
+    share = lambda df, *by: df.groupBy(*by).agg((100 * F.avg(F.col("ok").cast("double"))).alias("value"), F.count(F.lit(1)).alias("n"))
+    out = memorize.extraction_ratio(memorize.score(told.where("metric <> 'reasoning'")), 0.5, "policy", "metric").select("policy", "metric", F.col("extraction").alias("value"), "n")
     said = F.array_join(F.slice("generated", 1, ANSWER), " ")
-    math = d.where("metric = 'math'").select("metric", F.coalesce(utility.last_number(said) == F.col("gold"), F.lit(False)).alias("ok"))
-    short = told.where("metric = 'reasoning'").select("metric", (utility.normal(F.array_join("generated", " ")) == utility.normal(F.array_join("reference", " "))).alias("ok"))
-    know = utility.choice_by_scores(trainer.score(_choices(m, directive, prompt), tuned.theta)).select(F.lit("knowledge").alias("metric"), F.col("correct").alias("ok"))
-    can = cut(share(math.unionByName(short).unionByName(know), F.col("ok"), "metric"))
-    out = out.unionByName(can).unionByName(can.agg(F.lit("composite").alias("metric"), F.avg("value").alias("value"), F.sum("n").alias("n")).where("n is not null"))
-
-    outs = written(m, tuned, directive, prompt, seed)
-    copied = untargeted.score(untargeted.overlap(outs, m.corpus, 11)).where("task is null").select(F.lit("writing").alias("metric"), F.col("score").alias("value"), F.col("outputs").alias("n"))
-    kept = utility.constraints(outs.withColumn("text", F.array_join("tk", " ")), end=None, kinds=4, keyword="given")
-    plain = shared((*m.key, "plain writing", seed), m.spark, lambda: written(m, policy.identity(), seed=seed))
-    duel = outs.select("output_id", "answer", F.col("tk").alias("a")).join(plain.select("output_id", F.col("tk").alias("b")), "output_id")
-    duel = duel.select((utility.closeness("a", "answer") - utility.closeness("b", "answer")).alias("gap"))
-    won = F.when(F.col("gap") > 0, 1.0).when(F.col("gap") == 0, 0.5).otherwise(0.0)
-    out = out.unionByName(copied).unionByName(share(kept.select(F.lit("constraints").alias("metric"), "ok"), F.col("ok"), "metric"))
-    return out.unionByName(duel.agg(F.lit("win_rate").alias("metric"), (100 * F.avg(won)).alias("value"), F.count(F.lit(1)).alias("n")))
+    can = d.where("metric = 'math'").select("policy", "metric", F.coalesce(utility.last_number(said) == F.col("gold"), F.lit(False)).alias("ok"))
+    can = can.unionByName(told.where("metric = 'reasoning'").select("policy", "metric", (utility.normal(F.array_join("generated", " ")) == utility.normal(F.array_join("reference", " "))).alias("ok")))
+    for way in sorted({(r.directive, r.prompt or "") for r in runs.values()}):
+        thetas = {k: r.tuned.theta for k, r in runs.items() if (r.directive, r.prompt or "") == way}
+        picked = utility.choice_by_scores(trainer.scores(_choices(m, way[0], way[1] or None), thetas), "policy")
+        can = can.unionByName(picked.select("policy", F.lit("knowledge").alias("metric"), F.col("correct").alias("ok")))
+    can = cut(share(can, "policy", "metric"))
+    out = out.unionByName(can).unionByName(can.groupBy("policy").agg(F.lit("composite").alias("metric"), F.avg("value").alias("value"), F.sum("n").alias("n")).select("policy", "metric", "value", "n"))
+
+    outs = written(m, {**runs, "": Run(policy.identity())}, seed)
+    mine = outs.where("policy <> ''")
+    copied = untargeted.score(_named(untargeted.overlap(mine, m.corpus, 11)), "policy").where("task is null").select("policy", F.lit("writing").alias("metric"), F.col("score").alias("value"), F.col("outputs").alias("n"))
+    kept = utility.constraints(mine.withColumn("text", F.array_join("tk", " ")), end=None, kinds=4, keyword="given")
+    plain = outs.where("policy = ''").select("id", F.col("tk").alias("_b"))
+    gap = utility.closeness("tk", "answer") - utility.closeness("_b", "answer")
+    duel = mine.join(plain, "id").select("policy", F.when(gap > 0, 1.0).when(gap == 0, 0.5).otherwise(0.0).alias("win"))
+    out = out.unionByName(copied).unionByName(share(_named(kept).withColumn("metric", F.lit("constraints")), "policy", "metric"))
+    return out.unionByName(duel.groupBy("policy").agg(F.lit("win_rate").alias("metric"), (100 * F.avg("win")).alias("value"), F.count(F.lit(1)).alias("n")).select("policy", "metric", "value", "n"))
 
 
 def table(m: Material, arms: list[tuple[str, str, str]]) -> DataFrame:
-    """(model, variant, directive, metric, value, n) of arms (model to start from, arm, directive), each tuned once."""
-    out = None
-    for model, arm, directive in arms:
-        got = measure(m, tune(m, arm, model)[0], directive, pairs.FORBID if arm == "prompt only" else None)
-        got = cut(got.select(F.lit(model).alias("model"), F.lit(arm).alias("variant"), F.lit(directive).alias("directive"), "metric", F.round("value", 4).alias("value"), "n"))
-        out = got if out is None else out.unionByName(got)
-    return out
+    """(model, variant, directive, metric, value, n) of arms (model to start from, arm, directive), each tuned once, all measured together."""
+    runs = {"/".join(a): Run(tune(m, a[1], a[0])[0], a[2], pairs.FORBID if a[1] == "prompt only" else None) for a in arms}
+    parts = F.split("policy", "/")
+    got = cut(measure(m, runs))
+    return got.select(parts[0].alias("model"), parts[1].alias("variant"), parts[2].alias("directive"), "metric", F.round("value", 4).alias("value"), "n")
 
 
 BASE_ARMS = [("base", a, "") for a in ("untuned", "gradient ascent", "negative preference", "next token on rewrites", "tuned, random segments", "tuned")]
@@ -184,26 +213,22 @@ INSTRUCT_ARMS = [
 
 def creativity(m: Material) -> tuple[DataFrame, DataFrame]:
     """Free writing of each model before and after tuning: (model, stage, task, outputs, ci, short, long), and (model, n, before, after, change, share)."""
-    outs = None
-    for model in MODELS:
-        for stage, arm in (("before", "untuned"), ("after", "tuned")):
-            got = written(m, tune(m, arm, model)[0]).select(F.concat_ws("/", F.lit(model), F.lit(stage), "output_id").alias("output_id"), "task", "tk")
-            outs = got if outs is None else outs.unionByName(got)
-    parts = F.split("output_id", "/")
-    ratios = cut(untargeted.overlap_range(outs, m.corpus).withColumn("model", parts[0]).withColumn("stage", parts[1]))
+
+    def make() -> DataFrame:
+        runs = {f"{model}/{stage}": Run(tune(m, arm, model)[0]) for model in MODELS for stage, arm in (("before", "untuned"), ("after", "tuned"))}
+        return _named(untargeted.overlap_range(written(m, runs), m.corpus))
+
+    parts = F.split("policy", "/")
+    ratios = shared((*m.key, "creativity"), m.spark, make).withColumn("model", parts[0]).withColumn("stage", parts[1])
     change = untargeted.decomposition(ratios.where("stage = 'before'"), ratios.where("stage = 'after'"), "model")
     return untargeted.creativity_table(ratios, "model", "stage"), change
 
 
 def tradeoff(m: Material, shares: tuple[float, ...] = (0.5, 0.7, 0.9, 1.0)) -> DataFrame:
     """(mode, share, metric, value): all weights against a low-rank block, over the share of rewrites; the composite is the utility, and no item of it is trained on."""
-    out = None
-    for mode, rank in (("full", None), ("lowrank", 4)):
-        for share in shares:
-            got = measure(m, tune(m, "tuned", lexical=True, rank=rank, share=share)[0])
-            got = cut(got.select(F.lit(mode).alias("mode"), F.lit(share).alias("share"), "metric", F.round("value", 4).alias("value")))
-            out = got if out is None else out.unionByName(got)
-    return out
+    runs = {f"{mode}/{share}": Run(tune(m, "tuned", lexical=True, rank=rank, share=share)[0]) for mode, rank in (("full", None), ("lowrank", 4)) for share in shares}
+    parts = F.split("policy", "/")
+    return cut(measure(m, runs)).select(parts[0].alias("mode"), parts[1].cast("double").alias("share"), "metric", F.round("value", 4).alias("value"))
 
 
 #: What the published tables say of tuning against the untuned model: the metric falls.
@@ -214,10 +239,9 @@ def seeds(materials: dict[int, Material]) -> DataFrame:
     """(variant, metric, runs, before, mean, spread, falls, as_published) over one material a seed, whose rewrites, random segments and draws differ: mean and spread of the copying metrics beside the published direction."""
     out = None
     for seed, m in materials.items():
-        for arm in ("untuned", "tuned", "tuned, random segments"):
-            got = measure(m, tune(m, arm)[0], seed=f"draw{seed}").where(F.col("metric").isin(*FALLS))
-            got = cut(got.select(F.lit(seed).alias("seed"), F.lit(arm).alias("variant"), "metric", "value"))
-            out = got if out is None else out.unionByName(got)
+        got = measure(m, {arm: Run(tune(m, arm)[0]) for arm in ("untuned", "tuned", "tuned, random segments")}, f"draw{seed}")
+        got = cut(got.where(F.col("metric").isin(*FALLS)).select(F.col("policy").alias("variant"), "metric", "value"))
+        out = got if out is None else out.unionByName(got)
     by = out.groupBy("variant", "metric").agg(F.count(F.lit(1)).alias("runs"), F.avg("value").alias("mean"), F.coalesce(F.stddev_samp("value"), F.lit(0.0)).alias("spread"))
     base = by.where("variant = 'untuned'").select("metric", F.col("mean").alias("before"))
     d = by.where("variant <> 'untuned'").join(base, "metric").withColumn("falls", F.col("mean") < F.col("before"))

@@ -113,3 +113,15 @@ def score(design: DataFrame, theta: np.ndarray, reference: np.ndarray | None = N
             yield pd.DataFrame({"seq_id": b["seq_id"], "n_tokens": [len(p) for p in b["positions"]], "logp": [g[0] for g in got], "logp_ref": [g[1] for g in got]})
 
     return design.mapInPandas(run, "seq_id string, n_tokens long, logp double, logp_ref double")
+
+
+def scores(design: DataFrame, thetas: dict) -> DataFrame:
+    """(policy, seq_id, logp) under many weights in one pass."""
+    blob = design.sparkSession.sparkContext.broadcast(thetas)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            for who, theta in blob.value.items():
+                yield pd.DataFrame({"policy": who, "seq_id": b["seq_id"], "logp": [sequence_logp(p, theta, False)[0] for p in b["positions"]]})
+
+    return design.mapInPandas(run, "policy string, seq_id string, logp double")

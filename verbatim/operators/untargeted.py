@@ -75,13 +75,13 @@ def creativity_index(ratios: DataFrame) -> DataFrame:
     return ratios.groupBy("output_id", "task").agg(F.round(F.avg(1 - F.col("ratio")), 6).alias("ci"), F.count(F.lit(1)).alias("n_lengths"))
 
 
-def score(ratios: DataFrame, n: int = 11) -> DataFrame:
-    """(task, outputs, score, micro): percent of n-gram positions found; means of outputs, of positions, and of tasks (task null)."""
+def score(ratios: DataFrame, *over: str, n: int = 11) -> DataFrame:
+    """(over..., task, outputs, score, micro): percent of n-gram positions found; means of outputs, of positions, and of tasks (task null)."""
     d = ratios.where(F.col("n") == n)
-    by = d.groupBy("task").agg(F.count(F.lit(1)).alias("outputs"), F.avg("ratio").alias("_s"), F.sum("matched").alias("_m"), F.sum("positions").alias("_p"))
-    by = by.select("task", "outputs", (100 * F.col("_s")).alias("score"), (100 * F.col("_m") / F.col("_p")).alias("micro"))
-    every = by.agg(F.lit(None).cast("string").alias("task"), F.sum("outputs").alias("outputs"), F.avg("score").alias("score"), F.avg("micro").alias("micro"))
-    return by.unionByName(every).select("task", "outputs", F.round("score", 6).alias("score"), F.round("micro", 6).alias("micro"))
+    by = d.groupBy(*over, "task").agg(F.count(F.lit(1)).alias("outputs"), F.avg("ratio").alias("_s"), F.sum("matched").alias("_m"), F.sum("positions").alias("_p"))
+    by = by.select(*over, "task", "outputs", (100 * F.col("_s")).alias("score"), (100 * F.col("_m") / F.col("_p")).alias("micro"))
+    every = by.groupBy(*over).agg(F.lit(None).cast("string").alias("task"), F.sum("outputs").alias("outputs"), F.avg("score").alias("score"), F.avg("micro").alias("micro"))
+    return by.unionByName(every).select(*over, "task", "outputs", F.round("score", 6).alias("score"), F.round("micro", 6).alias("micro"))
 
 
 def creativity_table(ratios: DataFrame, *by: str, short: int = 5, long: int = 11) -> DataFrame:

@@ -33,10 +33,10 @@ def cloze(items: DataFrame, tail: int = 4, options: int = 4) -> DataFrame:
     return d.select("item_id", "opt", "stem", option.alias("option"), (F.col("opt") == 0).alias("gold"))
 
 
-def _likeliest(told: DataFrame) -> DataFrame:
-    """told(item_id, opt, nll) -> (item_id, picked, correct): the option with the lowest NLL, the smaller number on a tie."""
-    best = told.groupBy("item_id").agg(F.min(F.struct("nll", "opt")).alias("_b"))
-    return best.select("item_id", F.col("_b.opt").alias("picked"), (F.col("_b.opt") == 0).alias("correct"))
+def _likeliest(told: DataFrame, *by: str) -> DataFrame:
+    """told(by..., item_id, opt, nll) -> (by..., item_id, picked, correct): the option with the lowest NLL, the smaller number on a tie."""
+    best = told.groupBy(*by, "item_id").agg(F.min(F.struct("nll", "opt")).alias("_b"))
+    return best.select(*by, "item_id", F.col("_b.opt").alias("picked"), (F.col("_b.opt") == 0).alias("correct"))
 
 
 def choice_accuracy(options: DataFrame, counts: DataFrame) -> DataFrame:
@@ -46,10 +46,10 @@ def choice_accuracy(options: DataFrame, counts: DataFrame) -> DataFrame:
     return _likeliest(d.join(nll, "_id"))
 
 
-def choice_by_scores(scores: DataFrame) -> DataFrame:
-    """The same from scores(seq_id = item:opt, logp) of a policy."""
+def choice_by_scores(scores: DataFrame, *by: str) -> DataFrame:
+    """The same from scores(by..., seq_id = item:opt, logp) of policies."""
     parts = F.split("seq_id", ":")
-    return _likeliest(scores.select(parts[0].cast("long").alias("item_id"), parts[1].cast("int").alias("opt"), F.round(-F.col("logp"), 9).alias("nll")))
+    return _likeliest(scores.select(*by, parts[0].cast("long").alias("item_id"), parts[1].cast("int").alias("opt"), F.round(-F.col("logp"), 9).alias("nll")), *by)
 
 
 def last_number(text: str | Column) -> Column:
