@@ -305,7 +305,7 @@ def test_sizes(spark):
 
     d = spark.range(1000).select("id", F.repeat(F.lit("x"), 100).alias("t"), F.array(F.lit("ab"), F.lit("c")).alias("a"))
     assert store.fits(d, 200_000) and not store.fits(d, 150_000) and not store.fits(d, 10_000)
-    n = store.numbered(spark.range(100).select((F.col("id") % 7).alias("k"), "id"), [F.col("k"), F.col("id")], "i", F.col("id"), "s").orderBy("i").collect()
+    n = store.numbered(spark.range(100).select((F.col("id") % 7).alias("k"), "id"), [F.col("k"), F.col("id")], "i", {"s": F.col("id")}).orderBy("i").collect()
     want = sorted((k % 7, k) for k in range(100))
     assert [(r.k, r.id) for r in n] == want and [r.i for r in n] == list(range(100))
     assert [r.s for r in n] == [sum(x for _, x in want[:j]) for j in range(100)]

@@ -99,32 +99,33 @@ def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
-def numbered(df: DataFrame, keys: list[Column], name: str, value: Column | None = None, before: str | None = None) -> DataFrame:
-    """Number the rows 0, 1, ... in the order of `keys`, without one task that sees them all; `before` gets the sum of `value` over the rows that come earlier.
+def numbered(df: DataFrame, keys: list[Column], name: str, sums: dict[str, Column] | None = None) -> DataFrame:
+    """Number the rows 0, 1, ... in the order of `keys`, without one task that sees them all; each name of `sums` gets the sum of its value over the rows that come earlier.
 
     Range partitions are sorted in place and cut off by a checkpoint (so that their borders
     cannot move), then each partition's offset is the sum of the counts before it; the driver
     sees one row for each partition. Rows that tie on all keys share the numbers of their tie
     in any order.
     """
-    spark = df.sparkSession
-    placed = df if value is None else df.withColumn("__index_v", value)
+    spark, sums = df.sparkSession, sums or {}
+    values = {f"__index_v{k}": v for k, v in enumerate(sums.values())}
     spread = F.monotonically_increasing_id()
+    placed = df.withColumns(values) if values else df
     placed = placed.withColumn("__index_s", spread).repartitionByRange(partitions(spark), *keys, F.col("__index_s"))
     placed = placed.sortWithinPartitions(*keys, F.col("__index_s")).drop("__index_s")
     placed = placed.withColumn("__index_p", F.spark_partition_id()).withColumn("__index_i", F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)))
     placed = cut(placed)
-    each = placed.groupBy("__index_p").agg(F.count(F.lit(1)).alias("n"), (F.lit(0.0) if value is None else F.sum("__index_v").cast("double")).alias("v"))
-    total, amount, offsets = 0, 0.0, []
-    for p, n, v in sorted((r["__index_p"], r["n"], r["v"] or 0.0) for r in each.collect()):
-        offsets.append((p, total, amount))
-        total, amount = total + n, amount + v
-    starts = F.broadcast(spark.createDataFrame(offsets or [(0, 0, 0.0)], "__index_p int, __index_o long, __index_a double"))
-    out = placed.join(starts, "__index_p").withColumn(name, F.col("__index_o") + F.col("__index_i"))
-    if value is not None:
-        earlier = Window.partitionBy("__index_p").orderBy("__index_i").rowsBetween(Window.unboundedPreceding, -1)
-        out = out.withColumn(before, F.col("__index_a") + F.coalesce(F.sum("__index_v").over(earlier).cast("double"), F.lit(0.0))).drop("__index_v")
-    return out.drop("__index_p", "__index_i", "__index_o", "__index_a")
+    each = placed.groupBy("__index_p").agg(F.count(F.lit(1)).alias("n"), *[F.sum(c).cast("double").alias(c) for c in values])
+    total, amounts, offsets = 0, [0.0] * len(values), []
+    for r in sorted(each.collect(), key=lambda r: r["__index_p"]):
+        offsets.append((r["__index_p"], total, *amounts))
+        total, amounts = total + r["n"], [a + (r[c] or 0.0) for a, c in zip(amounts, values)]
+    starts = spark.createDataFrame(offsets or [(0, 0, *amounts)], "__index_p int, __index_o long" + "".join(f", {c}o double" for c in values))
+    out = placed.join(F.broadcast(starts), "__index_p").withColumn(name, F.col("__index_o") + F.col("__index_i"))
+    earlier = Window.partitionBy("__index_p").orderBy("__index_i").rowsBetween(Window.unboundedPreceding, -1)
+    for before, c in zip(sums, values):
+        out = out.withColumn(before, F.col(f"{c}o") + F.coalesce(F.sum(c).over(earlier).cast("double"), F.lit(0.0)))
+    return out.drop("__index_p", "__index_i", "__index_o", *values, *[f"{c}o" for c in values])
 
 
 def tiles(index: Column, n: int, bands: int) -> Column:
