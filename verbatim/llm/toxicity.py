@@ -66,6 +66,8 @@ _is_word = np.array([chr(o).isalnum() or o == 95 for o in range(0x250)])
 for _c in SIGNS:
     if ord(_c) < 0x250:
         _is_sign[ord(_c)] = True
+_is_space = np.array([chr(o).isspace() for o in range(0x250)])
+_FAR_SPACES = np.array([o for o in range(0x250, 0x10000) if chr(o).isspace()], dtype="<u4")
 _is_gap = np.zeros(0x250, dtype=bool)
 _is_gap[[ord(c) for c in " .-_*"]] = True
 
@@ -82,24 +84,22 @@ def suspects(low: str) -> set[str]:
     mixed = (sign[:n] & letter[1 : n + 1]) | (letter[:n] & sign[1 : n + 1] & ~(sign[2 : n + 2] & sign[3 : n + 3]))
     again = letter[:n] & (u[:n] == u[1 : n + 1]) & (u[:n] == u[2 : n + 2])
     out = set()
-    for at in np.flatnonzero(mixed | again).tolist():
-        left = at
-        while left > 0 and not low[left - 1].isspace() and at - left < 64:
-            left -= 1
-        right = at + 1
-        while right < n and not low[right].isspace() and right - at < 64:
-            right += 1
+    space = np.flatnonzero(_is_space[k[:n]] | ((u[:n] >= 0x250) & np.isin(u[:n], _FAR_SPACES)))
+    # whole tokens, each once however many of its characters are suspect
+    for t in np.unique(np.searchsorted(space, np.flatnonzero(mixed | again))).tolist():
+        left, right = (space[t - 1] + 1 if t else 0), (space[t] if t < len(space) else n)
         out.add(low[left:right].rstrip("!|+(.,;:?"))
     alone = (letter | sign)[:n] & ~np.r_[False, word[: n - 1]] & ~word[1 : n + 1]
     step = np.r_[alone, np.zeros(4, dtype=bool)]
-    start = np.flatnonzero(alone & gap[1 : n + 1] & step[2 : n + 2] & gap[3 : n + 3] & step[4 : n + 4])
+    # from one single letter to the next over one gap character: a stretch goes as far as that goes on
+    on = alone & gap[1 : n + 1] & step[2 : n + 2]
+    off = [np.flatnonzero(~on[p::2]) for p in (0, 1)]
     done = -1
-    for at in start.tolist():
+    for at in np.flatnonzero(on & gap[3 : n + 3] & step[4 : n + 4]).tolist():
         if at <= done:
             continue
-        end = at
-        while end + 2 < n and gap[end + 1] and alone[end + 2] and end - at < 64:
-            end += 2
+        stops = off[at % 2]
+        end = 2 * int(stops[np.searchsorted(stops, at // 2)]) + at % 2
         out.add(low[at : end + 1])
         done = end
     return out
@@ -166,35 +166,51 @@ def _lattice(token: str) -> list[list[tuple[str, float]]]:
     return out
 
 
+def _spell(cost, x: int, y: int, s: str) -> tuple[float, int, int]:
+    """(cost, last two letters) of saying `s` after the letters x, y. A long repeat is settled after its second letter."""
+    if len(s) > 3 and s == s[0] * len(s):
+        total, x, y = _spell(cost, x, y, s[:2])
+        each, x, y = _spell(cost, x, y, s[0])
+        return total + each * (len(s) - 2), x, y
+    total = 0.0
+    for ch in s:
+        k = int(_code[ord(ch)]) if ord(ch) < 0x250 else (OTHER if ch.isalpha() else EDGE)
+        if k == EDGE and y == EDGE:
+            continue
+        total += cost[x][y][k]
+        x, y = (EDGE, EDGE) if k == EDGE else (y, k)
+    return total, x, y
+
+
 def restore(token: str, lm: LanguageModel) -> str:
-    """The likeliest reading of a token: Viterbi over its lattice, with the last two letters as states."""
-    states: dict[tuple[int, int], tuple[float, str]] = {(EDGE, EDGE): (0.0, "")}
+    """The likeliest reading of a whole token: Viterbi over its lattice, with the last two letters as states. Readings are kept as links to what came before, so long tokens take time in proportion; of equal costs the first found stays."""
+    states: dict[tuple[int, int], tuple[float, tuple | None]] = {(EDGE, EDGE): (0.0, None)}
     for ways in [*_lattice(token), [(" ", 0.0)]]:
-        new: dict[tuple[int, int], tuple[float, str]] = {}
+        new: dict[tuple[int, int], tuple[float, tuple | None]] = {}
         for (a, b), (cost, said) in states.items():
             for s, extra in ways:
-                x, y, total = a, b, cost + extra
-                for ch in s:
-                    k = int(_code[ord(ch)]) if ord(ch) < 0x250 else (OTHER if ch.isalpha() else EDGE)
-                    if k == EDGE and y == EDGE:
-                        continue
-                    total += lm.cost[x][y][k]
-                    x, y = (EDGE, EDGE) if k == EDGE else (y, k)
-                if (x, y) not in new or (total, said + s) < new[(x, y)]:
-                    new[(x, y)] = (total, said + s)
+                more, x, y = _spell(lm.cost, a, b, s)
+                total = cost + extra + more
+                if (x, y) not in new or total < new[(x, y)][0]:
+                    new[(x, y)] = (total, (said, s))
         states = new
-    return min(states.values())[1].strip()
+    link, parts = min(states.items(), key=lambda kv: (kv[1][0], kv[0]))[1][1], []
+    while link is not None:
+        link, s = link
+        parts.append(s)
+    return "".join(reversed(parts)).strip()
 
 
 def restorer(lm: LanguageModel):
     """text -> set of words of the restored text."""
-    cached = lru_cache(maxsize=20_000)(lambda t: tuple(_WORD.findall(restore(t, lm))))
+    read = lambda t: tuple(_WORD.findall(restore(t, lm)))
+    cached = lru_cache(maxsize=20_000)(read)
 
     def words(text: str) -> set[str]:
         low = text.lower()
         found = set(_WORD.findall(low))
         for t in suspects(low):
-            found.update(cached(t))
+            found.update(cached(t) if len(t) <= 256 else read(t))  # long tokens seldom come again
         return found
 
     return words
@@ -307,61 +323,15 @@ def score(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED, out: str
     lm, model = fit(docs, labels, most)
     sent = docs.sparkSession.sparkContext.broadcast((lm, model))
 
-    def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    @F.arrow_udf("double")
+    def scored(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         lm, model = sent.value
         one = model.scorer(restorer(lm))
         for b in batches:
-            s = pa.array([one(t.as_py() or "") for t in b.column("text")], pa.float64())
-            yield pa.RecordBatch.from_arrays([*b.columns, s], [*b.schema.names, out])
+            yield pa.array([one(t.as_py()) for t in b], pa.float64())
         del one
         C.give_back()
 
-    # rows pass through as they came, with one more column
-    return docs.mapInArrow(scored, T.StructType([*docs.schema.fields, T.StructField(out, T.DoubleType())]))
-
-
-@C.carrying("doc_id", "text")
-def keep_clean(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """The rows of `docs` that score below the threshold."""
-    return score(docs, labels, out="_toxicity").where(F.col("_toxicity") < THRESHOLD).drop("_toxicity")
-
-
-def held_out(doc_id="doc_id"):
-    return F.crc32(F.coalesce(F.col(doc_id).cast("string"), F.lit("")).cast("binary")) % 3 == 1
-
-
-def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> tuple[LanguageModel, Model]:
-    """The language model of docs(text), and the model of the labels (doc_id, toxic) that may be learnt."""
-    lm = LanguageModel(trigram_counts(docs))
-    known = C.cut(labels.where(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic")).join(docs.select("doc_id"), "doc_id", "left_semi"))
-    n = {r["toxic"]: r["n"] for r in known.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
-    total = sum(n.values())
-    picked = [known.where(F.col("toxic") == t).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most) for t in (0, 1)]
-    picked = F.broadcast(picked[0].unionByName(picked[1]))
-
-    def restored(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        words = restorer(lm)
-        for b in batches:
-            yield pd.DataFrame({"toxic": b["toxic"], "words": [" ".join(sorted(words(t))) for t in b["text"]]})
-
-    rows = docs.select("doc_id", C.text_or_empty("text").alias("text")).join(picked, "doc_id").select("toxic", "text").mapInPandas(restored, "toxic int, words string").collect()
-    texts = sorted((r["words"], r["toxic"]) for r in rows)
-    return lm, Model(texts, n.get(1, 0) / total if total else 0.0)
-
-
-@C.carrying("doc_id", "text")
-def score(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED, out: str = "score") -> DataFrame:
-    """`docs` with its score, double, as the column `out`."""
-    lm, model = fit(docs, labels, most)
-    sent = docs.sparkSession.sparkContext.broadcast((lm, model))
-
-    @F.pandas_udf("double")
-    def scored(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        lm, model = sent.value
-        one = model.scorer(restorer(lm))
-        for b in batches:
-            yield b.map(one)
-
     return docs.withColumn(out, scored(C.text_or_empty("text")))
 
 
