@@ -9,7 +9,9 @@ separator. Reading walks the files by Content-Length and joins revisits to their
 Defined results: a null html is the empty payload; a null page id comes last among equals and
 its record carries none; white space and control characters in a url are percent-encoded and
 a null url has no target header; rows that repeat a page id with the same payload are one
-response and revisits of it; an empty table gives archives without records.
+response (or revisit) and revisits of the same page, each with a record id of its own; an
+empty table gives archives without records. A file is one gzip stream, as Spark's text writer
+makes it, not a member for each record.
 """
 
 from __future__ import annotations
@@ -47,31 +49,59 @@ def base32_sha1(payload: Column) -> Column:
     return F.concat(*letters)
 
 
-def decide(pages: DataFrame, min_bytes: int = MIN_BYTES) -> DataFrame:
-    """(page_id, _d, _n, _first, _dup): digest, bytes, the response's page id, and whether this row revisits it."""
+def heads(pages: DataFrame) -> DataFrame:
+    """(page_id, url, _d, _n): digest and bytes of each payload, kept by a checkpoint because every decision reads them."""
     payload = C.text_or_empty("html").cast("binary")
-    heads = pages.select("page_id", base32_sha1(payload).alias("_d"), F.octet_length(payload).cast("long").alias("_n"))
-    first = heads.groupBy(F.col("_d").alias("_dd")).agg(F.min("page_id").alias("_first"))
-    return heads.join(first, F.col("_d") == F.col("_dd")).drop("_dd").withColumn("_dup", (F.col("_n") >= min_bytes) & ~F.col("page_id").eqNullSafe(F.col("_first")))
+    return C.cut(pages.select("page_id", "url", base32_sha1(payload).alias("_d"), F.octet_length(payload).cast("long").alias("_n")))
 
 
-def record_id(page_id: Column, digest: Column) -> Column:
-    h = F.md5(F.concat_ws("|", page_id.cast("string"), digest))
+def decide(heads: DataFrame, min_bytes: int = MIN_BYTES) -> DataFrame:
+    """heads with _first, the response's page id, and _dup, whether a row revisits it."""
+    first = C.cut(heads.groupBy(F.col("_d").alias("_dd")).agg(F.min("page_id").alias("_first"), F.count(F.lit(1)).alias("_m")).where("_m > 1").drop("_m"))
+    d = heads.join(C.maybe_broadcast(first), F.col("_d") == F.col("_dd"), "left")
+    return d.withColumn("_dup", F.col("_dd").isNotNull() & (F.col("_n") >= min_bytes) & ~F.col("page_id").eqNullSafe(F.col("_first"))).drop("_dd")
+
+
+def record_id(page_id: Column, digest: Column, number: Column) -> Column:
+    """From page id, digest and the row's number among rows that share both."""
+    h = F.md5(F.concat_ws("|", page_id.cast("string"), digest, F.when(number > 0, number.cast("string"))))
     return F.concat(F.lit("urn:uuid:"), F.concat_ws("-", F.substring(h, 1, 8), F.substring(h, 9, 4), F.substring(h, 13, 4), F.substring(h, 17, 4), F.substring(h, 21, 12)))
 
 
+def _same(a: DataFrame, b: DataFrame, ident: str, digest: str) -> Column:
+    return a["page_id"].eqNullSafe(b[ident]) & (a["_d"] == b[digest])
+
+
 def records(pages: DataFrame, min_bytes: int = MIN_BYTES, date: str = DATE) -> DataFrame:
     """One string column `value` with a whole WARC record for each row of pages(page_id, url, html).
 
     Only the rows that revisit travel to the pages: their list is joined by page id, broadcast
-    where it is short, so responses keep their place.
+    where it is short, so responses keep their place. Rows that share page id and payload, if
+    there are any, are numbered from their headers alone, and one payload serves them all.
     """
-    dup = C.cut(decide(pages, min_bytes).where("_dup").select(F.col("page_id").alias("_pid"), F.col("_d").alias("_dd"), "_first").distinct())
+    head_rows = heads(pages)
+    told = decide(head_rows, min_bytes)
+    dup = C.cut(told.where("_dup").select(F.col("page_id").alias("_pid"), F.col("_d").alias("_dd"), "_first").distinct())
     payload = C.text_or_empty("html")
     d = pages.select("page_id", "url", payload.alias("_html"), base32_sha1(payload.cast("binary")).alias("_d"), F.octet_length(payload).cast("long").alias("_n"))
-    d = d.join(C.maybe_broadcast(dup), d.page_id.eqNullSafe(dup._pid) & (d._d == dup._dd), "left")
-    # of rows that repeat the first page id with the same payload, all are responses
-    d = d.withColumn("_rev", F.col("_dd").isNotNull())
+    again = C.cut(head_rows.groupBy(F.col("page_id").alias("_aid"), F.col("_d").alias("_ad")).agg(F.count(F.lit(1)).alias("_k")).where("_k > 1").drop("_k"))
+    own = d
+    several = again.limit(1).count() > 0
+    if several:
+        few = C.maybe_broadcast(again)
+        own = d.join(few, _same(d, few, "_aid", "_ad"), "left_anti")
+        num = C.global_index(told.join(few, _same(told, few, "_aid", "_ad"), "left_semi"), [F.col("_d"), F.col("page_id"), F.col("url")], "_i")
+        low = C.cut(num.groupBy(F.col("page_id").alias("_lid"), F.col("_d").alias("_ld")).agg(F.min("_i").alias("_low")))
+        num = num.join(low, _same(num, low, "_lid", "_ld")).withColumn("_number", F.col("_i") - F.col("_low"))
+        num = num.withColumn("_rev", F.col("_dup") | ((F.col("_n") >= min_bytes) & (F.col("_number") > 0)))
+        one = d.join(few, _same(d, few, "_aid", "_ad"), "left_semi").groupBy(F.col("page_id").alias("_oid"), F.col("_d").alias("_od")).agg(F.first("_html").alias("_html"))
+        full = num.where("not _rev")
+        full = full.join(one, _same(full, one, "_oid", "_od"))
+        parts = ["page_id", "url", "_html", "_d", "_n", "_rev", "_first", "_number"]
+        num = full.select(*parts).unionByName(num.where("_rev").withColumn("_html", F.lit(None).cast("string")).select(*parts))
+    own = own.join(C.maybe_broadcast(dup), own.page_id.eqNullSafe(dup._pid) & (own._d == dup._dd), "left")
+    own = own.withColumn("_rev", F.col("_dd").isNotNull()).withColumn("_number", F.lit(0).cast("long"))
+    d = own.select(*parts).unionByName(num) if several else own
     head = lambda name, value: F.concat(F.lit(f"{name}: "), value, F.lit(CRLF))
     http = F.concat(F.lit("HTTP/1.1 200 OK" + CRLF + "Content-Type: text/html; charset=utf-8" + CRLF + "Content-Length: "), F.col("_n"), F.lit(CRLF + CRLF))
     block = F.when(F.col("_rev"), http).otherwise(F.concat(http, F.col("_html")))
@@ -82,9 +112,9 @@ def records(pages: DataFrame, min_bytes: int = MIN_BYTES, date: str = DATE) -> D
 
     d = d.withColumn("_block", block).withColumn("_u", target("url"))
     return d.select(F.concat(
-        F.lit(VERSION + CRLF), head("WARC-Type", F.when(F.col("_rev"), "revisit").otherwise("response")), head("WARC-Record-ID", F.concat(F.lit("<"), record_id(F.col("page_id"), F.col("_d")), F.lit(">"))), head("WARC-Date", F.lit(date)),
+        F.lit(VERSION + CRLF), head("WARC-Type", F.when(F.col("_rev"), "revisit").otherwise("response")), head("WARC-Record-ID", F.concat(F.lit("<"), record_id(F.col("page_id"), F.col("_d"), F.col("_number")), F.lit(">"))), head("WARC-Date", F.lit(date)),
         F.when(F.col("_u").isNotNull(), head("WARC-Target-URI", F.col("_u"))).otherwise(""), head("WARC-Payload-Digest", F.concat(F.lit("sha1:"), F.col("_d"))),
-        F.when(F.col("_rev"), F.concat(head("WARC-Profile", F.lit(PROFILE)), head("WARC-Refers-To", F.concat(F.lit("<"), record_id(F.col("_first"), F.col("_d")), F.lit(">"))))).otherwise(""),
+        F.when(F.col("_rev"), F.concat(head("WARC-Profile", F.lit(PROFILE)), head("WARC-Refers-To", F.concat(F.lit("<"), record_id(F.col("_first"), F.col("_d"), F.lit(0)), F.lit(">"))))).otherwise(""),
         F.when(F.col("page_id").isNotNull(), head("X-Page-Id", F.col("page_id").cast("string"))).otherwise(""),
         head("Content-Type", F.lit("application/http;msgtype=response")), head("Content-Length", F.octet_length("_block").cast("string")), F.lit(CRLF), F.col("_block"),
     ).alias("value"))
