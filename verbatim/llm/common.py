@@ -4,34 +4,19 @@ from __future__ import annotations
 
 import ctypes
 import gc
-import tempfile
-import uuid
 from functools import wraps
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans import store
+
 #: Pattern of one word: a run of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 
-#: Most rows of a broadcast side; beyond it the same join shuffles.
-BROADCAST_ROWS = 1_000_000
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a new one where that is unset."""
-    sc = spark.sparkContext
-    at = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
-    if not at:
-        at = "file://" + tempfile.mkdtemp(prefix="verbatim-")
-    if not sc.getCheckpointDir():
-        sc.setCheckpointDir(at)
-    return at
-
-
-def new_path(spark: SparkSession, what: str) -> str:
-    return f"{shared_dir(spark).rstrip('/')}/{what}-{uuid.uuid4().hex}"
+#: Shared with the rest of the library: the folder of driver and executors, paths in it, reliable checkpoints, sizes before a broadcast, global row numbers.
+shared_dir, new_path, cut, partitions, global_index = store.shared_dir, store.new_path, store.cut, store.partitions, store.numbered
 
 
 def delete_path(spark: SparkSession, path: str) -> None:
@@ -39,12 +24,6 @@ def delete_path(spark: SparkSession, path: str) -> None:
     jpath.getFileSystem(spark._jsc.hadoopConfiguration()).delete(jpath, True)
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint: the lineage ends in files that outlive executors."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
-
-
 def give_back() -> None:
     """Return a Python worker's free memory to the system at the end of a task that held many texts."""
     gc.collect()
@@ -63,35 +42,9 @@ def text_or_empty(col: str | Column) -> Column:
     return F.coalesce(F.col(col) if isinstance(col, str) else col, F.lit(""))
 
 
-def maybe_broadcast(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
-    """Broadcast a narrow side that is cheap to count, if it has at most `most` rows."""
-    return F.broadcast(df) if df.limit(most + 1).count() <= most else df
-
-
-def partitions(spark: SparkSession) -> int:
-    return int(spark.conf.get("spark.sql.shuffle.partitions"))
-
-
-def global_index(df: DataFrame, keys: list[Column], name: str) -> DataFrame:
-    """Number the rows 0, 1, ... in the order of `keys`, without one task that sees them all.
-
-    Range partitions are sorted in place and cut off by a checkpoint (so that their borders
-    cannot move), then each partition's offset is the sum of the counts before it; the driver
-    sees one count for each partition. Rows that tie on all keys share the numbers of their
-    tie in any order.
-    """
-    spark = df.sparkSession
-    spread = F.monotonically_increasing_id()
-    placed = df.withColumn("__index_s", spread).repartitionByRange(partitions(spark), *keys, F.col("__index_s"))
-    placed = placed.sortWithinPartitions(*keys, F.col("__index_s")).drop("__index_s")
-    placed = placed.withColumn("__index_p", F.spark_partition_id()).withColumn("__index_i", F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)))
-    placed = cut(placed)
-    total, offsets = 0, []
-    for p, n in sorted((r["__index_p"], r["n"]) for r in placed.groupBy("__index_p").agg(F.count(F.lit(1)).alias("n")).collect()):
-        offsets.append((p, total))
-        total += n
-    starts = spark.createDataFrame(offsets or [(0, 0)], "__index_p int, __index_o long")
-    return placed.join(F.broadcast(starts), "__index_p").withColumn(name, F.col("__index_o") + F.col("__index_i")).drop("__index_p", "__index_i", "__index_o")
+def maybe_broadcast(df: DataFrame) -> DataFrame:
+    """Broadcast a narrow side that is cheap to read, if its bytes are counted to fit; else the same join shuffles."""
+    return store.small(df)
 
 
 def carrying(*needed: str):
@@ -128,13 +81,15 @@ def connected(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
 
     Min-label propagation with pointer jumping; only nodes that have an edge take part. The
     rounds grow with the logarithm of a component's length; each is cut off by a checkpoint.
-    A hub's messages are combined before the shuffle, and its rows in the join can be split.
+    A hub's messages are combined before the shuffle, and its rows meet a side of one row a
+    node in joins of checkpoints, which may be split.
     """
-    d = edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct()
+    d = cut(edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct())
     # a node keeps its smallest neighbour, and that one takes over the others: as connected, and far fewer edges where stars overlap
     for _ in range(3):
-        d = d.withColumn("_m", F.min("v").over(Window.partitionBy("u")))
-        d = d.select("u", F.col("_m").alias("v")).union(d.where("v <> _m").select(F.col("v").alias("u"), F.col("_m").alias("v"))).distinct()
+        least = cut(d.groupBy("u").agg(F.min("v").alias("_m")))
+        over = d.join(least, "u").where("v <> _m").select(F.col("v").alias("u"), F.col("_m").alias("v"))
+        d = cut(least.select("u", F.col("_m").alias("v")).union(over).distinct())
     e = d
     e = cut(e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v"))).distinct())
     lab = e.groupBy("u").agg(F.min("v").alias("l")).select(F.col("u").alias("node"), F.least("u", "l").alias("component"))

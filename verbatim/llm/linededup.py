@@ -34,9 +34,6 @@ from . import common as C
 
 MIN_WORDS = 40
 
-#: Most documents that lose lines in a broadcast list; beyond it the same join shuffles.
-BROADCAST_DOCS = 200_000
-
 
 def lines_of(text: Column) -> Column:
     """The lines that are not blank: array of (at: number among all lines, line)."""
@@ -127,8 +124,9 @@ def removed_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     dealt = ranked.repartition(C.partitions(docs.sparkSession), "doc_id", "_h").sortWithinPartitions("doc_id", "_h", "i")
     asked = C.cut(dealt.mapInPandas(windows, f"doc_id {kind}, _h long, i int, m int, x long, y long"))
     place = F.struct("doc_id", "_h", "i")
-    first = asked.groupBy("m", "x", "y").agg(F.min(place).alias("_first"), F.count(F.lit(1)).alias("_n")).where("_n > 1").drop("_n")
-    later = asked.join(first, ["m", "x", "y"]).where(~place.eqNullSafe(F.col("_first")))
+    # one row an interval is a side of its own: it travels if it fits, else the join may split an interval with very many places
+    first = C.cut(asked.groupBy("m", "x", "y").agg(F.min(place).alias("_first"), F.count(F.lit(1)).alias("_n")).where("_n > 1").drop("_n"))
+    later = asked.join(C.maybe_broadcast(first), ["m", "x", "y"]).where(~place.eqNullSafe(F.col("_first")))
     gone = later.select("doc_id", "_h", F.explode(F.sequence(F.col("i"), F.col("i") + F.col("m") - 1)).alias("i")).distinct()
     return gone.groupBy("doc_id", "_h").agg(F.sort_array(F.collect_list("i")).alias("gone"))
 
@@ -137,7 +135,7 @@ def removed_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 def deduplicate(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """`docs` without the lines of later copies, with n_lines and n_removed."""
     gone = C.cut(removed_lines(docs, min_words).select(F.col("doc_id").alias("_id"), F.col("_h").alias("_hh"), "gone"))
-    j = docs.withColumn("_h", F.xxhash64("text")).join(C.maybe_broadcast(gone, BROADCAST_DOCS), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_h") == F.col("_hh")), "left")
+    j = docs.withColumn("_h", F.xxhash64("text")).join(C.maybe_broadcast(gone), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_h") == F.col("_hh")), "left")
 
     @F.pandas_udf("string")
     def without(text: pd.Series, gone: pd.Series) -> pd.Series:

@@ -327,8 +327,8 @@ def near_copies(docs: DataFrame, kinds: int = KINDS, least: float = LIKENESS, wo
     label = C.connected(found.select(F.col("oa").alias("a"), F.col("ob").alias("b")).union(shared))
     mine = texts.select(F.col("rep").alias("doc_id"), "h1", "h2", F.get("f", F.lit(0)).alias("_f0"))
     mine = C.cut(mine.join(label, F.col("_f0") == F.col("node"), "left").select(*TEXT_ID, F.coalesce("component", "_f0").alias("_c")))
-    first = mine.groupBy("_c").agg(F.min(itself).alias("_first"), F.count(F.lit(1)).alias("_n")).where("_n > 1").drop("_n")
-    asked = C.cut(mine.join(first, "_c").select(*TEXT_ID, "_first"))
+    first = C.cut(mine.groupBy("_c").agg(F.min(itself).alias("_first"), F.count(F.lit(1)).alias("_n")).where("_n > 1").drop("_n"))
+    asked = C.cut(mine.join(C.maybe_broadcast(first), "_c").select(*TEXT_ID, "_first"))
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
