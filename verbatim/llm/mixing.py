@@ -37,18 +37,17 @@ def targets(sizes: DataFrame) -> DataFrame:
     a water level: sources in order of cap / weight are capped while their cap is below the
     level that the others would have.
     """
-    by_name = Window.orderBy(F.col("source").cast("binary").asc_nulls_last())
     weight = F.element_at(F.array(*[F.lit(float(w)) for w in WEIGHTS]), (F.col("_r") % len(WEIGHTS) + 1).cast("int"))
-    t = sizes.withColumn("_r", F.row_number().over(by_name) - 1).withColumn("_w", weight).withColumn("_cap", F.lit(float(MOST)) * F.col("source_size"))
-    fill = Window.orderBy(F.col("_cap") / F.col("_w"), "_r")
-    every = Window.partitionBy()
-    before = F.coalesce(F.sum("_cap").over(fill.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))
-    rest = F.sum("_w").over(fill.rowsBetween(Window.currentRow, Window.unboundedFollowing))
-    t = t.withColumn("_all", F.lit(SHARE) * F.sum("source_size").over(every)).withColumn("_level", (F.col("_all") - before) / rest)
-    t = t.withColumn("_over", F.col("_level") * F.col("_w") <= F.col("_cap"))
-    level = F.min(F.when(F.col("_over"), F.struct(F.col("_cap") / F.col("_w"), F.col("_r"), F.col("_level")))).over(every)
-    t = t.withColumn("_lv", level.getField("_level"))
-    return t.withColumn("target", F.round(F.least(F.col("_cap"), F.coalesce(F.col("_lv") * F.col("_w"), F.col("_cap"))), 6)).select("source", "source_size", "target")
+    t = C.global_index(sizes, [F.col("source").cast("binary").asc_nulls_last()], "_r")
+    t = t.withColumn("_w", weight).withColumn("_cap", F.lit(float(MOST)) * F.col("source_size"))
+    t = C.global_index(t, [F.col("_cap") / F.col("_w"), F.col("_r")], "_i", {"_before": F.col("_cap"), "_light": F.col("_w")})
+    every = t.agg(F.sum("source_size").alias("n"), F.sum("_w").alias("w")).first()
+    total, heavy = float(every["n"] or 0), float(every["w"] or 0.0)
+    t = t.withColumn("_level", (F.lit(SHARE * total) - F.col("_before")) / (F.lit(heavy) - F.col("_light")))
+    over = t.where(F.col("_level") * F.col("_w") <= F.col("_cap"))
+    level = over.agg(F.min(F.struct(F.col("_cap") / F.col("_w"), F.col("_r"), F.col("_level")))["_level"].alias("l")).first()["l"]
+    filled = F.col("_cap") if level is None else F.lit(level) * F.col("_w")
+    return t.select("source", "source_size", F.round(F.least(F.col("_cap"), filled), 6).alias("target"))
 
 
 def n_words(text: Column) -> Column:

@@ -8,7 +8,8 @@ and anyone who knows (row count, seed) computes shard and slot of a row number,
 
 Defined results: null texts count no bytes and have the checksum of the empty text; equal
 rows are interchangeable; null keys come first; an empty table gives an empty result; other
-columns are carried along untouched (names that begin with `__index` are the function's own).
+columns are carried along untouched, but columns of the input that are called shard or slot
+are replaced (names that begin with `__index` are the function's own).
 """
 
 from __future__ import annotations
