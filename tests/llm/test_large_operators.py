@@ -85,6 +85,94 @@ def test_spotsigs(spark):
     assert lone.near_next == 1
 
 
+def plain_op9(docs):
+    """(n_chars, edited_sha256, near_edited, near_next) of rows (doc_id, text) by plain code over the sets of `with_signatures` rewritten in Python."""
+    import re
+
+    anchors = set(spotsigs.ANCHORS)
+
+    def sigs(text):
+        every = ["^", *re.sub(r"[^\w]|_", " ", text.lower()).split(), "$", "$", "$"]
+        bare = [x for x in every if x not in anchors and x != "^"]
+        out, i, before = set(), 0, None
+        for x in every:
+            if x in anchors or x == "^":
+                before = x
+                continue
+            if before is not None:  # the nearest common word, and three content words from here
+                out.add((before, *bare[i : i + 3]))
+            before, i = None, i + 1
+        return frozenset(out)
+
+    like = lambda a, b: len(a & b) / len(a | b)
+    rows = sorted(docs, reverse=True)
+    out = {}
+    for k, (i, text) in enumerate(rows):
+        nxt = rows[(k + 1) % len(rows)][1]
+        half = len(text) // 2
+        edited = text[: len(text) - half] + nxt[:half]
+        out[i] = (len(text), hashlib.sha256(edited.encode()).hexdigest(), round(like(sigs(text), sigs(edited)), 9), round(like(sigs(text), sigs(nxt)), 9))
+    return out, {i: sigs(t) for i, t in docs}
+
+
+def test_spotsigs_whole_table(spark, sf):
+    """The query against plain code, and its components against all pairs."""
+    docs = [(r.doc_id, r.text or "") for r in spark.read.parquet(f"{sf}/documents.parquet").collect()]
+    want, sets = plain_op9(docs)
+    rows = spotsigs.op9_spotsigs(spark, sf).collect()
+    got = {r.doc_id: (r.n_chars, r.edited_sha256, round(r.near_edited, 9), round(r.near_next, 9)) for r in rows}
+    assert len(rows) == len(docs) and got == want
+    prints = {r.doc_id: r.fingerprint for r in rows}
+    assert all((prints[a] == prints[b]) == (sets[a] == sets[b]) for a in sets for b in sets)
+    assert {r.doc_id: r.component_id for r in rows} == plain_groups(sets, 0.8)
+
+
+def plain_groups(sets, least):
+    label = {k: k for k in sets}
+    near = {a: [b for b in sets if len(sets[a] & sets[b]) >= least * len(sets[a] | sets[b]) - 1e-12] for a in sets}
+    while True:
+        new = {k: min(label[j] for j in v) for k, v in near.items()}
+        if new == label:
+            return label
+        label = new
+
+
+def test_spotsigs_groups_of_any_size(spark):
+    """A large group of near copies, a chain, a passage that many texts share and texts with little else: long lists go through rounds and through all pairs, with equal results."""
+    rng = np.random.default_rng(7)
+    base = [f"the w{k}x in y{k}" for k in range(40)]
+    rows = []
+    for c in range(60):  # near copies
+        rows.append(" ".join(p if rng.random() > 0.06 else f"the e{c}q{k} in z{c}" for k, p in enumerate(base)))
+    for c in range(25):  # a chain
+        rows.append(" ".join(f"the c{k} of d{k}" if k >= c else f"the f{k} of g{k}" for k in range(30)))
+    shared = " ".join(f"for s{k} and t{k}" for k in range(6))
+    for c in range(40):  # a shared passage
+        rows.append(shared + " " + " ".join(f"the own{c}n{k} is o{k}" for k in range(c % 5)))
+    rows += ["", "word", "the", "the", rows[0]]
+    df = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")
+    sets = {k: s for k, s in plain_op9(list(enumerate(rows)))[1].items()}
+    ids = {r.doc_id: r._f for r in spotsigs.with_signatures(df, "text", "_s").select("doc_id", spotsigs.fingerprint(F.col("_s")).alias("_f")).collect()}
+    want = plain_groups(sets, 0.8)
+    for long, pairs, hot in ((2, 0, 4), (32, 64, 64)):
+        got = {r._f: (r.class_id, r.component_id) for r in spotsigs.near_groups(df, 0.8, long, pairs, hot).collect()}
+        assert {k: got[f][1] for k, f in ids.items()} == want
+        assert all(got[f][0] == min(j for j, g in ids.items() if g == f) for f in ids.values())
+
+
+def test_spotsigs_many_rows_of_an_id(spark):
+    """Null ids, ids that repeat and equal rows, dealt in split blocks: as one sorted list would have them."""
+    rng = np.random.default_rng(3)
+    text = lambda: " ".join(rng.choice(["the", "cat", "of", "dog", "runs", "by", "house", "tree"], 12))
+    rows = [(None, text()) for _ in range(40)] + [(7, text()) for _ in range(30)] + [(k, text()) for k in range(600, 640)] + [(None, "the same cat of the house")] * 25 + [(7, "the same dog of the tree")] * 20
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    key = lambda r: tuple(repr(x) for x in (r.doc_id, r.n_chars, r.edited_sha256, r.fingerprint, r.near_edited, r.near_next))
+    whole = sorted(map(key, spotsigs.compare_edited(df).collect()))
+    assert len(whole) == len(rows)
+    for heavy, many in ((8, 5), (16, 1000)):
+        assert sorted(map(key, spotsigs.compare_edited(df, heavy, many).collect())) == whole
+
+
 def test_spotsigs_links(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
     members, links = spotsigs.near_duplicates(docs, 0.5)
@@ -107,6 +195,11 @@ def test_restoring():
     assert words("hello good book") == {"hello", "good", "book"}
     assert words("") == set() and words("12 !! -- 3.5") == set()
     words("a1" * 50_000)
+    # whole tokens, however long, and whole spaced stretches
+    assert "idiot" in words("x" + "z" * 300 + " 1d10t")
+    far = "-".join(["good"] * 40) + "-1d10t"
+    assert "idiot" in words(far)
+    assert max(map(len, toxicity.suspects(" ".join("abcdefgh" * 20)))) == 319
 
 
 def test_toxicity_held_out(spark):
