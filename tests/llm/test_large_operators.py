@@ -124,7 +124,9 @@ def test_spotsigs_whole_table(spark, sf):
     assert len(rows) == len(docs) and got == want
     prints = {r.doc_id: r.fingerprint for r in rows}
     assert all((prints[a] == prints[b]) == (sets[a] == sets[b]) for a in sets for b in sets)
-    assert {r.doc_id: r.component_id for r in rows} == plain_groups(sets, 0.8)
+    groups = spotsigs.spotsigs_groups(spark, sf).collect()
+    assert {r.doc_id: r.component_id for r in groups} == plain_groups(sets, 0.8) and len(groups) == len(docs)
+    assert {r.doc_id: r.class_id for r in groups} == {a: min(b for b in sets if sets[b] == sets[a]) for a in sets}
 
 
 def plain_groups(sets, least):
@@ -154,10 +156,9 @@ def test_spotsigs_groups_of_any_size(spark):
     sets = {k: s for k, s in plain_op9(list(enumerate(rows)))[1].items()}
     ids = {r.doc_id: r._f for r in spotsigs.with_signatures(df, "text", "_s").select("doc_id", spotsigs.fingerprint(F.col("_s")).alias("_f")).collect()}
     want = plain_groups(sets, 0.8)
-    for long, pairs, hot in ((2, 0, 4), (32, 64, 64)):
-        got = {r._f: (r.class_id, r.component_id) for r in spotsigs.near_groups(df, 0.8, long, pairs, hot).collect()}
-        assert {k: got[f][1] for k, f in ids.items()} == want
-        assert all(got[f][0] == min(j for j, g in ids.items() if g == f) for f in ids.values())
+    got = {r._f: (r.class_id, r.component_id) for r in spotsigs.near_groups(df, 0.8, 2, 1, 4, 1).collect()}
+    assert {k: got[f][1] for k, f in ids.items()} == want
+    assert all(got[f][0] == min(j for j, g in ids.items() if g == f) for f in ids.values())
 
 
 def test_spotsigs_many_rows_of_an_id(spark):

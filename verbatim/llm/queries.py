@@ -15,6 +15,7 @@ QUERIES = {
     "op8_bpe": bpe.op8_bpe,
     "op9_spotsigs": spotsigs.op9_spotsigs,
     "op10_toxicity": toxicity.op10_toxicity,
+    "spotsigs_groups": spotsigs.spotsigs_groups,
 }
 
 ORACLES = {

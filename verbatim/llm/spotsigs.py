@@ -37,8 +37,8 @@ ANCHORS = (
 CHAIN, LIKENESS = 3, 0.8
 #: Low bits of an id that don't count for its block, where documents meet the next one; rows beyond which a block is split by id and text hash; equal rows beyond which one stands for all.
 BLOCK_BITS, HEAVY, MANY = 8, 4096, 64
-#: A signature dealt by more sets than HOT goes to the end of the order; a list of more than LONG sets is compared with its smallest set first, while pairs left are more than PAIRS a member.
-HOT, LONG, PAIRS, ROUNDS = 64, 32, 64, 4
+#: A signature dealt by more sets than HOT goes to the end of the order; lists of more than LONG sets go through at most ROUNDS rounds while the pairs left are more than PAIRS a member.
+HOT, LONG, PAIRS, ROUNDS = 64, 32, 4, 4
 
 START, TIE, END = "\u0004", "\u0001", "\u0003"
 
@@ -190,40 +190,39 @@ def near_duplicates(docs: DataFrame, least: float = LIKENESS) -> tuple[DataFrame
     return members, links.select(F.least("_a", "_e").alias("a"), F.greatest("_a", "_e").alias("b"), "likeness")
 
 
-def near_groups(docs: DataFrame, least: float = LIKENESS, long: int = LONG, pairs: int = PAIRS, hot: int = HOT) -> DataFrame:
+def near_groups(docs: DataFrame, least: float = LIKENESS, long: int = LONG, pairs: int = PAIRS, hot: int = HOT, rounds: int = ROUNDS) -> DataFrame:
     """(_f, class_id, component_id): for each signature set the smallest doc_id that has it, and the smallest that links of likeness >= least reach.
 
-    Short lists give all their pairs. A long list is compared with its smallest set; what that
-    links needs no pairs among itself. Rounds go on with the sets that are left, as long as the
-    pairs that could still join two components are many; then those pairs are compared. No pair
-    that could change a component is left out.
+    Short lists give all their pairs. In long lists each set is first compared with one set of
+    the largest part of one of its lists, a pair a set and round: what is linked so needs no
+    pairs among itself. Rounds go on as long as the pairs that could still join two components
+    are many; then those pairs are compared. No pair that could change a component is left out.
     """
     classes = signature_classes(docs)
     lists = _lists(classes, least, hot)
-    size = C.cut(lists.groupBy("_x", "_b").agg(F.count(F.lit(1)).alias("_m"), F.min(F.struct("_c", "_n")).alias("_first")).where("_m > 1"))
+    size = C.cut(lists.groupBy("_x", "_b").agg(F.count(F.lit(1)).alias("_m")).where("_m > 1"))
     few = C.maybe_broadcast(size.where(F.col("_m") <= long).select("_x", "_b"))
     links = _verified(_pairs_of(lists.join(few, ["_x", "_b"], "left_semi"), least), classes, least).select("a", "b")
-    left = C.cut(lists.join(C.maybe_broadcast(size.where(F.col("_m") > long).select("_x", "_b", "_first")), ["_x", "_b"]))
-    n, rounds = left.count(), 0
-    while n:
-        star = left.where((F.col("_c") != F.col("_first._c")) & (F.least("_n", "_first._n") >= F.greatest("_n", "_first._n") * least))
-        links = C.cut(links.union(_verified(star.select(F.col("_first._c").alias("a"), F.col("_c").alias("b")), classes, least).select("a", "b")))
+    left = C.cut(lists.join(C.maybe_broadcast(size.where(F.col("_m") > long).select("_x", "_b")), ["_x", "_b"], "left_semi"))
+    n = left.count()
+    for done in range(rounds + 1):
+        if not n:
+            break
         label = C.connected(links)
-        left = left.where(F.col("_c") != F.col("_first._c")).drop("_first").join(label.withColumnRenamed("node", "_c"), "_c", "left").withColumn("_l", F.coalesce("component", "_c")).drop("component")
-        left = C.cut(left)
-        groups = left.groupBy("_x", "_b", "_l").agg(F.count(F.lit(1)).alias("_g"), F.min(F.struct("_c", "_n")).alias("_m1"))
-        # the next set to compare with is one of the smallest part of its list
-        open_ = groups.groupBy("_x", "_b").agg(F.sum("_g").alias("_m"), F.sum(F.col("_g") * F.col("_g")).alias("_q"), F.count(F.lit(1)).alias("_parts"), F.min_by("_m1", F.struct("_g", "_l")).alias("_first")).where("_parts > 1")
-        open_ = C.cut(open_)
+        told = C.cut(left.join(label.withColumnRenamed("node", "_c"), "_c", "left").select("_x", "_b", "_c", "_n", F.coalesce("component", "_c").alias("_l")))
+        groups = told.groupBy("_x", "_b", "_l").agg(F.count(F.lit(1)).alias("_g"), F.min(F.struct("_c", "_n")).alias("_one"))
+        head = F.max_by(F.struct(F.col("_one._c"), F.col("_one._n"), F.col("_l")), F.struct(F.col("_g"), -F.col("_l")))
+        open_ = C.cut(groups.groupBy("_x", "_b").agg(F.sum("_g").alias("_m"), F.sum(F.col("_g") * F.col("_g")).alias("_q"), F.count(F.lit(1)).alias("_parts"), head.alias("_first")).where("_parts > 1"))
         rest = open_.agg(F.sum((F.col("_m") * F.col("_m") - F.col("_q")) / 2)).first()[0] or 0
-        left = C.cut(left.join(C.maybe_broadcast(open_.select("_x", "_b", "_first")), ["_x", "_b"]))
-        rounds += 1
         if not rest:
             break
-        if rest <= pairs * n or rounds >= ROUNDS:
-            links = links.union(_verified(_pairs_of(left, least, "p._l <> q._l"), classes, least).select("a", "b"))
+        told = told.join(C.maybe_broadcast(open_.select("_x", "_b", "_first")), ["_x", "_b"])
+        if rest <= pairs * n or done == rounds:
+            links = links.union(_verified(_pairs_of(told, least, "p._l <> q._l"), classes, least).select("a", "b"))
             break
-        left = left.drop("_l")
+        near = (F.col("_l") != F.col("_first._l")) & (F.least("_n", "_first._n") >= F.greatest("_n", "_first._n") * least)
+        star = told.where(near).groupBy(F.col("_c").alias("b")).agg(F.min("_first._c").alias("a"))
+        links = C.cut(links.union(_verified(star.select("a", "b"), classes, least).select("a", "b")))
     label = C.connected(links)
     named = classes.select("_f", "class_id", "_c").join(label, F.col("_c") == F.col("node"), "left").withColumn("_l", F.coalesce("component", "_c"))
     least_id = C.cut(label.select(F.col("node").alias("_c"), F.col("component").alias("_l")).join(classes.select("_c", "class_id"), "_c").groupBy("_l").agg(F.min("class_id").alias("_least")))
@@ -231,7 +230,11 @@ def near_groups(docs: DataFrame, least: float = LIKENESS, long: int = LONG, pair
 
 
 def op9_spotsigs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Fingerprints and likeness to the edited and the next text; class_id: the smallest doc_id with the same signatures, component_id: the smallest that near duplicates reach."""
-    docs = C.table(spark, sf_dir, "documents")
-    groups = near_groups(docs)
-    return compare_edited(docs).join(C.maybe_broadcast(groups.withColumnRenamed("_f", "fingerprint")), "fingerprint", "left")
+    return compare_edited(C.table(spark, sf_dir, "documents"))
+
+
+def spotsigs_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document with class_id, the smallest doc_id with the same signatures, and component_id, the smallest that near duplicates reach."""
+    docs = C.table(spark, sf_dir, "documents").select("doc_id", "text")
+    own = with_signatures(docs.select("doc_id", C.text_or_empty("text").alias("_text")), "_text", "_s").select("doc_id", fingerprint(F.col("_s")).alias("_f"))
+    return own.join(near_groups(docs), "_f").select("doc_id", "class_id", "component_id")
