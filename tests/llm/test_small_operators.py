@@ -57,6 +57,10 @@ def test_shards_of_odd_rows(odd):
     out = sharding.shard(odd.drop("shard"), [F.col("doc_id"), F.col("text")], 3)
     assert out.count() == len(ODD) and out.select("shard", "slot").distinct().count() == len(ODD)
     assert sharding.shard(odd.limit(0), [F.col("doc_id")], 3).count() == 0
+    # columns of the input that are called shard and slot are replaced, all others stay
+    both = sharding.shard(odd.withColumn("slot", F.lit("s")), [F.col("doc_id"), F.col("text")], 3)
+    assert sorted(both.columns) == sorted([*odd.columns, "slot"])
+    assert {(r.shard, r.slot) for r in both.collect()} == {(p % 3, p // 3) for p in range(len(ODD))}
 
 
 def test_written_shards(odd, tmp_path):
@@ -92,6 +96,34 @@ def test_urls(spark):
     assert {r.verdict for r in urls.judge(df.where("url like 'http://a.org%'")).collect()} == {"allow"}
 
 
+def plain_rule(url):
+    """(host, path, rule, verdict) by plain string code."""
+    scheme, found, rest = (url or "").partition("://")
+    if not found:
+        return "", "", None, None
+    host = rest[: min((rest.find(c) for c in "/?#" if c in rest), default=len(rest))]
+    path = rest[len(host) :]
+    path = path[: min((path.find(c) for c in "?#" if c in path), default=len(path))]
+    host = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in host)
+    best = None
+    for name, verdict in (("org/", "allow"), ("example.org/es/", "block"), ("example.org/en/1", "block"), ("com/fr/", "allow"), ("com/de/", "block")):
+        at, _, begin = name.partition("/")
+        if (host == at or host.endswith("." + at)) and path.startswith("/" + begin) and (best is None or len(name) > len(best[0])):
+            best = (name, verdict)
+    return (host, path, *(best or (None, None)))
+
+
+def test_urls_whole_table(spark, sf):
+    """Host, path and rule of every page by plain code; a rule's verdict stands, the model's is the rest."""
+    url = {r.page_id: r.url for r in spark.read.parquet(f"{sf}/pages.parquet").collect()}
+    rows = urls.op3_urls(spark, sf).collect()
+    assert len(rows) == len(url)
+    for r in rows:
+        host, path, rule, verdict = plain_rule(url[r.page_id])
+        assert (r.host, r.path, r.rule) == (host, path, rule)
+        assert r.verdict == verdict if verdict else r.verdict in ("allow", "block")
+
+
 def test_url_model_learns():
     rng = np.random.default_rng(0)
     rows = [(f"h{rng.integers(99)}.com", f"/{'ads' if k % 2 else 'news'}/{rng.integers(999)}", k % 2) for k in range(400)]
@@ -158,10 +190,25 @@ def test_warc(spark, tmp_path):
     assert warc.read_archives(spark, str(tmp_path / "e")).count() == 0
 
 
-def test_bpe(spark, odd):
+def tokenizer():
     with open(bpe.VOCABULARY, "rb") as f:
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
-    enc = tiktoken.Encoding("t", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    return tiktoken.Encoding("t", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+
+
+def test_bpe_whole_table(spark, sf):
+    """The query on every document against the tokenizer library, text by text."""
+    enc, want = tokenizer(), {}
+    for r in spark.read.parquet(f"{sf}/documents.parquet").collect():
+        ids = enc.encode_ordinary(r.text or "")
+        want[r.doc_id] = (len(ids), hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256((r.text or "").encode()).hexdigest())
+    rows = bpe.op8_bpe(spark, sf).collect()
+    assert len(rows) == len(want)
+    assert {r.doc_id: (r.n_tokens, r.ids_sha256, r.decoded_sha256) for r in rows} == want
+
+
+def test_bpe(spark, odd):
+    enc = tokenizer()
     texts = [r[1] or "" for r in ODD]
     want = sorted((len(i := enc.encode_ordinary(t)), hashlib.sha256(",".join(map(str, i)).encode()).hexdigest(), hashlib.sha256(t.encode()).hexdigest()) for t in texts)
     for chunk, overlap in ((1 << 15, 1 << 10), (16, 8), (64, 64)):

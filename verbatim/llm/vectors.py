@@ -1,8 +1,9 @@
 """Embedding near-duplicates by PCA-ordered tiled comparison.
 
-Vectors of one label are sorted by their first principal component and cut into tiles. Tiles
-whose ranges on that axis lie farther apart than the distance that the threshold allows are
-never paired. Within a pair of tiles, dot products are summed over leading principal
+Vectors of one label are sorted by their first principal component and cut into slabs, and each
+slab by the second into tiles, as many to a slab as there are slabs. A tile's ranges on the
+leading axes are its box; tiles whose boxes lie farther apart than the distance that the
+threshold allows are never paired. Within a pair of tiles, dot products are summed over leading principal
 dimensions first; what the other dimensions can add is bounded by the product of their norms
 (Cauchy-Schwarz), and a pair is given up once the bound falls below the threshold. Survivors
 are decided by the cosine of the original components in double precision.
@@ -24,7 +25,8 @@ from pyspark.sql import functions as F
 
 from . import common as C
 
-COSINE, TILE = 0.93, 1024
+#: Rows of a tile; leading axes of its box.
+COSINE, TILE, AXES = 0.93, 1024, 8
 
 
 def _unit(e) -> np.ndarray:
@@ -115,25 +117,39 @@ def components(emb: DataFrame, least: float = COSINE, tile: int = TILE) -> DataF
     reps = C.cut(reps)
     axes = principal_axes(reps)
 
-    @F.pandas_udf("double")
+    @F.pandas_udf("array<double>")
     def lead(col: pd.Series) -> pd.Series:
-        out = np.zeros(len(col))
+        out = np.zeros((len(col), AXES))
         length = col.map(len)
         for d in set(length):
             at = (length == d).to_numpy()
-            out[at] = _unit(col[at]) @ axes[d][:, 0]
-        return pd.Series(out)
-
-    placed = C.global_index(reps.withColumn("_pc", lead("_e")), [F.col(c) for c in ("label", "_d", "_pc", "_h1", "_h2")], "_v")
-    starts = C.maybe_broadcast(placed.groupBy("label", "_d").agg(F.min("_v").alias("_v0")))
-    placed = placed.join(starts, ["label", "_d"]).withColumn("_t", F.floor((F.col("_v") - F.col("_v0")) / tile))
-    tiles = C.cut(placed.groupBy("label", "_d", "_t").agg(F.min("_pc").alias("_lo"), F.max("_pc").alias("_hi")))
+            out[at, : min(d, AXES)] = _unit(col[at]) @ axes[d][:, :AXES]
+        return pd.Series(list(out))
+
+    # places are found for keys and leading components alone; vectors move once, to their pairs of tiles
+    group = ["label", "_d"]
+    slim = C.cut(reps.select(*group, "_h1", "_h2", "_rep", "_n", lead("_e").alias("_p")))
+    by = lambda *within: [*map(F.col, group), *within, F.col("_h1"), F.col("_h2")]
+    slim = C.cut(C.global_index(slim, by(F.get("_p", F.lit(0))), "_i"))
+    starts = C.cut(slim.groupBy(*group).agg(F.min("_i").alias("_i0"), F.count(F.lit(1)).alias("_m")))
+    thick = F.ceil(F.sqrt(F.ceil(F.col("_m") / tile))) * tile  # rows of a slab: as many tiles as there are slabs
+    slim = slim.join(C.maybe_broadcast(starts), group).withColumn("_s", F.floor((F.col("_i") - F.col("_i0")) / thick)).drop("_i", "_m")
+    # both orders begin with the group, so its first place is the same, and slabs are whole numbers of tiles
+    slim = C.global_index(slim, by(F.col("_s"), F.get("_p", F.lit(1))), "_v")
+    placed = C.cut(slim.withColumn("_t", F.floor((F.col("_v") - F.col("_i0")) / tile)).drop("_i0"))
+    box = lambda f, name: F.array(*[f(F.get("_p", F.lit(k))) for k in range(AXES)]).alias(name)
+    tiles = C.cut(placed.groupBy(*group, "_s", "_t").agg(box(F.min, "_lo"), box(F.max, "_hi")))
     reach = float(np.sqrt(2 - 2 * least)) + 1e-6
-    other = tiles.select("label", "_d", F.col("_t").alias("_t2"), F.col("_lo").alias("_lo2"))
-    pairs = tiles.join(other, ["label", "_d"]).where((F.col("_t2") >= F.col("_t")) & (F.col("_lo2") - F.col("_hi") <= reach))
+    slabs = C.cut(tiles.groupBy(*group, "_s").agg(F.min(F.get("_lo", F.lit(0))).alias("_a"), F.max(F.get("_hi", F.lit(0))).alias("_b")))
+    near_slabs = slabs.join(slabs.select(*group, F.col("_s").alias("_s2"), F.col("_a").alias("_a2")), group).where((F.col("_s2") >= F.col("_s")) & (F.col("_a2") - F.col("_b") <= reach)).select(*group, "_s", "_s2")
+    other = tiles.select(*group, F.col("_s").alias("_s2"), F.col("_t").alias("_t2"), F.col("_lo").alias("_lo2"), F.col("_hi").alias("_hi2"))
+    gap = lambda k: F.greatest(F.lit(0.0), F.get("_lo2", F.lit(k)) - F.get("_hi", F.lit(k)), F.get("_lo", F.lit(k)) - F.get("_hi2", F.lit(k)))
+    apart = sum((gap(k) * gap(k) for k in range(1, AXES)), gap(0) * gap(0))
+    pairs = tiles.join(near_slabs, [*group, "_s"]).join(other, [*group, "_s2"]).where((F.col("_t2") >= F.col("_t")) & (apart <= reach * reach))
     sides = F.when(F.col("_t") == F.col("_t2"), F.array(F.struct(F.lit(0).alias("s"), F.col("_t").alias("t")))).otherwise(F.array(F.struct(F.lit(0).alias("s"), F.col("_t").alias("t")), F.struct(F.lit(1).alias("s"), F.col("_t2").alias("t"))))
     sides = pairs.select("label", "_d", F.concat_ws("/", "label", "_d", "_t", "_t2").alias("_pair"), F.explode(sides).alias("_x")).select("label", "_d", "_pair", F.col("_x.s").alias("_side"), F.col("_x.t").alias("_t"))
-    dealt = placed.select("label", "_d", "_t", "_v", "_n", "_e").join(C.maybe_broadcast(C.cut(sides)), ["label", "_d", "_t"])
+    vectors = reps.select("label", "_d", "_h1", "_h2", "_e").join(placed.select("label", "_d", "_h1", "_h2", "_t", "_v", "_n"), ["label", "_d", "_h1", "_h2"])
+    dealt = vectors.join(C.maybe_broadcast(C.cut(sides)), ["label", "_d", "_t"])
     told = dealt.select("_pair", "_side", "_v", "_n", "_e", "_d").groupBy("_pair").applyInPandas(lambda g: compare(g, axes[int(g["_d"].iloc[0])], least), "_v long, _links long, _to long")
     told = C.cut(told)
     label = C.connected(told.select(F.col("_v").alias("a"), F.col("_to").alias("b")))
