@@ -4,6 +4,7 @@ import numpy as np
 import xxhash
 from pyspark.sql import functions as F
 
+import recall
 from verbatim.llm import simhash
 
 
@@ -127,3 +128,13 @@ def test_texts_that_share_an_id(spark):
     out = simhash.deduplicate(df)
     assert out.columns == df.columns
     assert sorted((r.doc_id, r.text, r.h1) for r in out.collect()) == sorted((*rows[k], "own") for k in (0, 2, 3, 4))
+
+
+def test_recall_of_the_stage(spark, sf):
+    """Of all pairs that are 0.8 alike, between the given texts and edited ones, at most a tenth is kept whole; nothing goes that is like no other."""
+    rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()]
+    edited = [(1_000_000 + d, " ".join(spread_edits(t.split(), range(30, len(t.split()), 60), f"e{d}x"))) for d, t in rows if len((t or "").split()) >= 100]
+    found = recall.measured(spark, spark.createDataFrame(rows + edited, "doc_id long, text string"))
+    assert found["0.8"]["pairs"] >= 60
+    assert found["0.8"]["stage"] >= 0.9
+    assert found["gone without a like text"] == 0
