@@ -120,3 +120,20 @@ def test_stages_are_made_anew_when_tables_change(spark, tmp_path):
     assert read() == 3 and read() == 3
     spark.range(5).write.mode("overwrite").parquet(str(tmp_path / "t.parquet"))
     assert read() == 5
+
+
+def test_streams_read_tables_in_folders(spark, sf, tmp_path):
+    """Each streamed query over tables of several files, the latest conversations first: equal to the tables of one file each."""
+    for name in ("conversations", "events", "benchmark"):
+        t = spark.read.parquet(f"{sf}/{name}.parquet")
+        for j in range(3) if name == "conversations" else range(1):
+            part = t.where(F.pmod("conv_id", F.lit(3)) == 2 - j) if name == "conversations" else t
+            part.coalesce(1).write.parquet(str(tmp_path / "raw" / name / str(j)))
+            for f in (tmp_path / "raw" / name / str(j)).glob("*.parquet"):
+                to = tmp_path / f"{name}.parquet" / f"part-{j}.parquet"
+                to.parent.mkdir(exist_ok=True)
+                f.rename(to)
+                os.utime(to, (1_700_000_000 + j, 1_700_000_000 + j))
+    for name in ("stream_copy_monitor", "stream_copied_outputs", "tumbling_stream", "dedup_stream"):
+        want = sorted(map(tuple, QUERIES[name](spark, sf).collect()))
+        assert (want or name == "stream_copied_outputs") and sorted(map(tuple, QUERIES[name](spark, str(tmp_path)).collect())) == want, name

@@ -22,11 +22,20 @@ from ..plans.store import new_path, small
 
 
 def read_stream(spark: SparkSession, path: str, schema, time: str | None = None, files: int = 1, glob: str | None = None) -> DataFrame:
+    """A stream of the Parquet files in a folder whose names fit `glob`."""
     r = spark.readStream.schema(schema).option("maxFilesPerTrigger", files)
     df = (r.option("pathGlobFilter", glob) if glob else r).parquet(path)
     return df.withColumn(time, F.col(time).cast("timestamp")) if time else df
 
 
+def read_table(spark: SparkSession, path: str, name: str, schema, time: str | None = None, files: int = 1) -> DataFrame:
+    """A stream of a table's files, be it one file or a folder of them: the source lists folders only, and its glob is for the names of files."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/{name}.parquet")
+    if at.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(at).isDirectory():
+        return read_stream(spark, f"{path}/{name}.parquet", schema, time, files)
+    return read_stream(spark, path, schema, time, files, f"{name}.parquet")
+
+
 def tumbling(df: DataFrame, time: str, width: str, late: str | None, *by: str) -> DataFrame:
     d = df.withWatermark(time, late) if late else df
     return d.groupBy(F.window(time, width), *by).agg(F.count(F.lit(1)).alias("n"), F.sum("value").alias("total"))
