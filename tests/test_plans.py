@@ -134,6 +134,6 @@ def test_streams_read_tables_in_folders(spark, sf, tmp_path):
                 to.parent.mkdir(exist_ok=True)
                 f.rename(to)
                 os.utime(to, (1_700_000_000 + j, 1_700_000_000 + j))
-    for name in ("stream_copy_monitor", "stream_copied_outputs", "tumbling_stream", "dedup_stream"):
+    for name in ("stream_copy_monitor", "stream_prompt_join", "stream_copied_outputs", "tumbling_stream", "dedup_stream"):
         want = sorted(map(tuple, QUERIES[name](spark, sf).collect()))
         assert (want or name == "stream_copied_outputs") and sorted(map(tuple, QUERIES[name](spark, str(tmp_path)).collect())) == want, name

@@ -63,10 +63,10 @@ def copied_outputs(outputs: DataFrame, corpus: DataFrame, n: int = 11) -> DataFr
     return d.join(have, "gram", "left_semi")
 
 
-def overlap_online(prompts: DataFrame, outputs: DataFrame, within: str = "5 minutes", late: str = "10 minutes") -> DataFrame:
-    """Stream-stream join: each output with the prompt of its conversation at most `within` before it."""
-    p = prompts.withColumnsRenamed({"ts": "p_ts", "conv_id": "p_conv"}).withWatermark("p_ts", late)
-    o = outputs.withWatermark("ts", late)
+def overlap_online(prompts: DataFrame, outputs: DataFrame, within: str = "5 minutes", late: str | None = "10 minutes") -> DataFrame:
+    """Stream-stream join: each output with the prompt of its conversation at most `within` before it. Without `late` no row is too late, whatever the order of the files, and state keeps all rows: for streams that are drained."""
+    p = prompts.withColumnsRenamed({"ts": "p_ts", "conv_id": "p_conv"})
+    p, o = (p.withWatermark("p_ts", late), outputs.withWatermark("ts", late)) if late else (p, outputs)
     return o.join(p, F.expr(f"conv_id = p_conv AND ts >= p_ts AND ts <= p_ts + INTERVAL {within}"))
 
 
