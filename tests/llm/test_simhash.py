@@ -138,3 +138,19 @@ def test_recall_of_the_stage(spark, sf):
     assert found["0.8"]["pairs"] >= 60
     assert found["0.8"]["stage"] >= 0.9
     assert found["gone without a like text"] == 0
+
+
+def test_kinds_shuffle_one_after_another(spark, monkeypatch):
+    """The variants of one kind of fingerprint at a time are in shuffle files; links are those of each kind alone."""
+    seen = []
+    cut = simhash.C.cut
+    monkeypatch.setattr(simhash.C, "cut", lambda df: seen.append(df.count()) or cut(df))
+    rows = [(1, 0), (3, 0), (1 << 40, 0), (1 << 62, 1), ((1 << 62) + 7, 1), (-1, 1), (2, 1)]
+    got = {frozenset((r.a, r.b)) for r in simhash.links(spark.createDataFrame(rows, "fp long, k int")).collect()}
+    # 1, 3 and 1 << 40 are near each other; of the second kind -1 is near none, and 2 is near the other two but not near a 1
+    assert len(seen) == 2
+    parts = []
+    for e in got:
+        near = [p for p in parts if p & e]
+        parts = [p for p in parts if not p & e] + [e.union(*near)]
+    assert sorted(map(sorted, parts)) == [[1, 3, 1 << 40], [2, 1 << 62, (1 << 62) + 7]]

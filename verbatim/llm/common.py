@@ -16,7 +16,7 @@ from ..plans import store
 WORD = r"[^\x20\x09-\x0D]+"
 
 #: Shared with the rest of the library: the folder of driver and executors, paths in it, reliable checkpoints, sizes before a broadcast, global row numbers.
-shared_dir, new_path, cut, partitions, global_index = store.shared_dir, store.new_path, store.cut, store.partitions, store.numbered
+shared_dir, new_path, cut, sweep, partitions, global_index = store.shared_dir, store.new_path, store.cut, store.sweep, store.partitions, store.numbered
 
 
 def delete_path(spark: SparkSession, path: str) -> None:

@@ -190,11 +190,23 @@ def links(fps: DataFrame, radius: int = RADIUS, most: int = MAX_RUN) -> DataFram
     n = C.partitions(fps.sparkSession)
     low = (1 << 32) - 1
     masks = F.array(*[F.struct(F.lit(p).alias("p"), F.lit(m).cast("long").alias("m")) for p in (0, 1) for m in (0, *[1 << b for b in range(32)])])
-    kind = F.col("k") * 2 if "k" in fps.columns else F.lit(0)
-    each = fps.select("fp", (kind.cast("long") * (1 << 32)).alias("_k"), F.explode(masks).alias("_v"))
     half = F.when(F.col("_v.p") == 0, F.col("fp").bitwiseAND(F.lit(low))).otherwise(F.shiftrightunsigned("fp", 32).bitwiseOR(F.lit(1 << 32)))
-    keyed = each.select((half.bitwiseXOR(F.col("_v.m")) + F.col("_k")).alias("key"), "fp").repartition(n, "key").sortWithinPartitions("key", "fp")
-    found = C.cut(keyed.mapInPandas(lambda it: _contracted(_runs(it, radius, most)), "a long, b long").distinct())
+
+    def met(one: DataFrame) -> DataFrame:
+        each = one.select("fp", F.explode(masks).alias("_v"))
+        keyed = each.select(half.bitwiseXOR(F.col("_v.m")).alias("key"), "fp").repartition(n, "key").sortWithinPartitions("key", "fp")
+        return C.cut(keyed.mapInPandas(lambda it: _contracted(_runs(it, radius, most)), "a long, b long").distinct())
+
+    if "k" in fps.columns:
+        found = None
+        for k in sorted(r["k"] for r in fps.select("k").distinct().collect()):
+            one = met(fps.where(F.col("k") == k).select("fp"))
+            C.sweep(fps.sparkSession)  # the variants of a kind are 66 times its rows and go before the next kind's come
+            found = one if found is None else found.union(one)
+        if found is None:
+            return fps.select(F.col("fp").alias("a"), F.col("fp").alias("b"))
+    else:
+        found = met(fps)
 
     def ball(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
