@@ -137,3 +137,17 @@ def test_streams_read_tables_in_folders(spark, sf, tmp_path):
     for name in ("stream_copy_monitor", "stream_prompt_join", "stream_copied_outputs", "tumbling_stream", "dedup_stream"):
         want = sorted(map(tuple, QUERIES[name](spark, sf).collect()))
         assert (want or name == "stream_copied_outputs") and sorted(map(tuple, QUERIES[name](spark, str(tmp_path)).collect())) == want, name
+
+
+def test_stages_lie_in_compressed_files(spark, tmp_path):
+    """A shared stage takes a fraction of the bytes of a checkpoint, and `drop` deletes its files."""
+    from verbatim.plans import store
+
+    spark.range(2).write.parquet(str(tmp_path / "t.parquet"))
+    big = spark.range(20_000).select(F.array(*[F.concat(F.lit("word"), (F.col("id") % (7 + k)).cast("string")) for k in range(8)]).alias("tk"), "id")
+    out = store.shared(("bytes", str(tmp_path)), spark, lambda: big)
+    at = {f.removeprefix("file://").rsplit("/", 1)[0] for f in out.inputFiles()}
+    assert len(at) == 1 and sum(e.stat().st_size for e in os.scandir(next(iter(at)))) < 400_000
+    assert sorted(map(tuple, out.collect())) == sorted(map(tuple, big.collect()))
+    store.drop(out)
+    assert not os.path.exists(next(iter(at)))
