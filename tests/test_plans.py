@@ -151,3 +151,13 @@ def test_stages_lie_in_compressed_files(spark, tmp_path):
     assert sorted(map(tuple, out.collect())) == sorted(map(tuple, big.collect()))
     store.drop(out)
     assert not os.path.exists(next(iter(at)))
+
+
+def test_doubling_makes_no_checkpoints(spark, monkeypatch):
+    from verbatim.operators import decode
+
+    monkeypatch.setattr(decode, "cut", None)
+    best = spark.createDataFrame([("", "a"), ("a", "b"), ("b", "c"), ("c", "a"), ("a b", "c")], "ctx string, tok string")
+    given = spark.createDataFrame([("x", ["z", "a"]), ("y", [])], "id string, given array<string>")
+    got = {r.id: r.generated for r in decode.greedy(given, best, 5, 3, "doubling").collect()}
+    assert got == {"x": ["b", "c", "a", "b", "c"], "y": ["a", "b", "c", "a", "b"]}
