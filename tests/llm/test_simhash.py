@@ -1,6 +1,7 @@
 """SimHash near-dedup against brute force."""
 
 import numpy as np
+import pandas as pd
 import xxhash
 from pyspark.sql import functions as F
 
@@ -154,3 +155,34 @@ def test_kinds_shuffle_one_after_another(spark, monkeypatch):
         near = [p for p in parts if p & e]
         parts = [p for p in parts if not p & e] + [e.union(*near)]
     assert sorted(map(sorted, parts)) == [[1, 3, 1 << 40], [2, 1 << 62, (1 << 62) + 7]]
+
+
+def test_labels_leave_few_links():
+    """A run links labels, not their members; members of one label need none, and what a run is too long for is still marked by fingerprint."""
+    frame = lambda rows: iter([pd.DataFrame(rows, columns=["key", "fp", "own"])])
+    group = [(1, 16 + k, 16) for k in range(4)]
+    links_of = lambda rows, most=9: sorted({tuple(map(int, x)) for part in simhash._runs(frame(rows), 4, most) for x in part})
+    assert links_of(group) == []
+    assert links_of([*group, (1, 20, 20), (1, 21, 20)]) == [(20, 16)]
+    assert links_of([(2, 5, 5), (2, 7, 5), (3, 5, 5), (3, 13, 13)]) == [(13, 5)]
+    assert links_of(group, 2) == [(16 + k, 16 + k) for k in range(4)]
+
+
+def test_labelled_kinds_join_what_all_pairs_join(spark):
+    rng = np.random.default_rng(11)
+    fps = {7, 0x0F0F << 20, (0x0F0F << 20) ^ 3, (0x0F0F << 20) ^ (3 << 40)}
+    for _ in range(200):
+        fps.add(0x8123456789ABCDEF ^ sum(1 << int(b) for b in rng.choice(range(0, 64, 3), rng.integers(0, 6), replace=False)))
+    fps = sorted(fps)
+    signed = [f - (1 << 64) if f >> 63 else f for f in fps]
+    label = {f: f for f in signed}
+
+    def top(x):
+        while label[x] != x:
+            x = label[x]
+        return x
+
+    for r in simhash.links(spark.createDataFrame([(f, 0) for f in signed], "fp long, k int")).collect():
+        label[top(r.a)] = top(r.b)
+    groups = lambda names: {frozenset(f for f, m in zip(signed, names) if m == n) for n in names}
+    assert groups([top(f) for f in signed]) == groups(plain_components(range(len(fps)), fps))

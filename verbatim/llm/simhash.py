@@ -12,7 +12,9 @@ the whole word, where everything that shares a variant lies within 4 bits, so th
 is a star around its first member and costs its length. Nothing is dropped either way.
 
 Only distinct fingerprints are emitted; copies follow their fingerprint. The links of a run
-are those that span its parts, which is all that components need.
+are those that span its parts, which is all that components need. Where several kinds of
+fingerprints are linked, those with an equal half meet first, and a run then only links what
+they have not joined: a large group of near copies would else be spanned anew by each task.
 
 Defined results: null and empty texts have fingerprint zero and link like any other; equal
 rows share all results; rows without an id link, but never name a component unless no other
@@ -30,6 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..plans import store
 from . import common as C
 
 WORDS, SEED, RADIUS, MAX_RUN = 4, 42, 4, 4096
@@ -77,7 +80,7 @@ def fingerprints(docs: DataFrame, words: int = WORDS) -> DataFrame:
 
 
 def _parts_of(fps: np.ndarray, radius: int) -> list[tuple[int, int]]:
-    """(member, first member) of the parts that links within `radius` make of a run: each member meets those that no part has yet."""
+    """Places (member, first member) of the parts that links within `radius` make of a run: each member meets those that no part has yet."""
     left, out = np.arange(len(fps)), []
     while len(left):
         root, left = left[0], left[1:]
@@ -86,7 +89,7 @@ def _parts_of(fps: np.ndarray, radius: int) -> list[tuple[int, int]]:
             near = np.bitwise_count(fps[left] ^ fps[open_.pop()]) <= radius
             hit, left = left[near], left[~near]
             open_ += hit.tolist()
-            out += [(int(f), int(fps[root])) for f in fps[hit]]
+            out += [(h, root) for h in hit]
     return out
 
 
@@ -131,43 +134,46 @@ def _contracted(frames: Iterator[np.ndarray]) -> Iterator[pd.DataFrame]:
 
 
 def _runs(batches: Iterator[pd.DataFrame], radius: int, most: int) -> Iterator[np.ndarray]:
-    """Links (a, b) of the runs of equal keys; (a, a) marks a member of a run longer than `most`."""
-    keys, fps, hot = np.empty(0, dtype=np.int64), np.empty(0, dtype=np.uint64), None
+    """Links (a, b) of the runs of equal keys; (a, a) marks a member of a run longer than `most`. Where rows have a label `own`, links are between labels, and equal ones need none."""
+    keys, fps, owns, hot = np.empty(0, dtype=np.int64), np.empty(0, dtype=np.uint64), np.empty(0, dtype=np.uint64), None
 
-    def settle(keys: np.ndarray, fps: np.ndarray) -> np.ndarray:
+    def settle(keys: np.ndarray, fps: np.ndarray, owns: np.ndarray) -> np.ndarray:
         starts = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1]])
         lengths = np.diff(np.r_[starts, len(keys)])
         two = starts[lengths == 2]
         two = two[np.bitwise_count(fps[two] ^ fps[two + 1]) <= radius]
-        out = [np.stack([fps[two + 1], fps[two]], axis=1)]
+        two = two[owns[two] != owns[two + 1]]
+        out = [np.stack([owns[two + 1], owns[two]], axis=1)]
         for s, n in zip(starts[lengths > 2], lengths[lengths > 2]):
-            run = fps[s : s + n]
+            run, own = fps[s : s + n], owns[s : s + n]
             if n > most:
                 out.append(np.stack([run, run], axis=1))
-            elif found := _parts_of(run, radius):
-                out.append(np.array(found, dtype=np.uint64))
+            elif (own != own[0]).any() and (found := _parts_of(run, radius)):
+                met = own[np.array(found)]
+                out.append(met[met[:, 0] != met[:, 1]])
         return np.unique(np.concatenate(out), axis=0)
 
     for b in batches:
         k, f = b["key"].to_numpy(), b["fp"].to_numpy().astype(np.uint64)
+        o = b["own"].to_numpy().astype(np.uint64) if "own" in b.columns else f
         if hot is not None and len(k):
             same = np.searchsorted(k, hot, side="right") if k[0] == hot else 0
             if same:
                 yield np.stack([f[:same], f[:same]], axis=1)
-            k, f = k[same:], f[same:]
+            k, f, o = k[same:], f[same:], o[same:]
             hot = hot if not len(k) else None
-        keys, fps = np.r_[keys, k], np.r_[fps, f]
+        keys, fps, owns = np.r_[keys, k], np.r_[fps, f], np.r_[owns, o]
         if not len(keys):
             continue
         last = np.searchsorted(keys, keys[-1], side="left")
         if last:
-            yield settle(keys[:last], fps[:last])
-        keys, fps = keys[last:], fps[last:]
+            yield settle(keys[:last], fps[:last], owns[:last])
+        keys, fps, owns = keys[last:], fps[last:], owns[last:]
         if len(keys) > most:  # the open run is long already
             yield np.stack([fps, fps], axis=1)
-            hot, keys, fps = keys[0], keys[:0], fps[:0]
+            hot, keys, fps, owns = keys[0], keys[:0], fps[:0], owns[:0]
     if len(keys):
-        yield settle(keys, fps)
+        yield settle(keys, fps, owns)
 
 
 def _stars(batches: Iterator[pd.DataFrame]) -> Iterator[np.ndarray]:
@@ -189,24 +195,33 @@ def links(fps: DataFrame, radius: int = RADIUS, most: int = MAX_RUN) -> DataFram
     assert radius == 4, "one half may then differ in 2 bits, and the whole ball has radius 2"
     n = C.partitions(fps.sparkSession)
     low = (1 << 32) - 1
-    masks = F.array(*[F.struct(F.lit(p).alias("p"), F.lit(m).cast("long").alias("m")) for p in (0, 1) for m in (0, *[1 << b for b in range(32)])])
+    masks = lambda each: F.array(*[F.struct(F.lit(p).alias("p"), F.lit(m).cast("long").alias("m")) for p in (0, 1) for m in each])
     half = F.when(F.col("_v.p") == 0, F.col("fp").bitwiseAND(F.lit(low))).otherwise(F.shiftrightunsigned("fp", 32).bitwiseOR(F.lit(1 << 32)))
 
-    def met(one: DataFrame) -> DataFrame:
-        each = one.select("fp", F.explode(masks).alias("_v"))
-        keyed = each.select(half.bitwiseXOR(F.col("_v.m")).alias("key"), "fp").repartition(n, "key").sortWithinPartitions("key", "fp")
-        return C.cut(keyed.mapInPandas(lambda it: _contracted(_runs(it, radius, most)), "a long, b long").distinct())
+    def met(one: DataFrame, bits: list[int]) -> DataFrame:
+        each = one.select("*", F.explode(masks(bits)).alias("_v"))
+        keyed = each.select(half.bitwiseXOR(F.col("_v.m")).alias("key"), *one.columns).repartition(n, "key").sortWithinPartitions("key", "fp")
+        return keyed.mapInPandas(lambda it: _contracted(_runs(it, radius, most)), "a long, b long")
 
+    ball_of_one = [0, *[1 << b for b in range(32)]]
     if "k" in fps.columns:
         found = None
         for k in sorted(r["k"] for r in fps.select("k").distinct().collect()):
-            one = met(fps.where(F.col("k") == k).select("fp"))
+            one = fps.where(F.col("k") == k).select("fp")
+            # what an equal half joins has one label; it links to a smaller one, which may have a label too
+            first = store.keep(met(one, [0]).where("a <> b").groupBy("a").agg(F.min("b").alias("b")))
+            own, up = first, first.select(F.col("a").alias("_a"), F.col("b").alias("_up"))
+            for _ in range(2):
+                own = own.join(up, F.col("b") == F.col("_a"), "left").select("a", F.coalesce("_up", "b").alias("b"))
+            labelled = one.join(own, F.col("fp") == F.col("a"), "left").select("fp", F.coalesce("b", "fp").alias("own"))
+            got = C.cut(met(labelled, ball_of_one).union(first).distinct())
+            store.drop(first)
             C.sweep(fps.sparkSession)  # the variants of a kind are 66 times its rows and go before the next kind's come
-            found = one if found is None else found.union(one)
+            found = got if found is None else found.union(got)
         if found is None:
             return fps.select(F.col("fp").alias("a"), F.col("fp").alias("b"))
     else:
-        found = met(fps)
+        found = C.cut(met(fps, ball_of_one).distinct())
 
     def ball(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
