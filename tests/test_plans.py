@@ -4,7 +4,9 @@ import os
 
 from pyspark.sql import functions as F
 
-from verbatim.queries import QUERIES
+from verbatim.operators import lm
+from verbatim.plans import store
+from verbatim.queries import QUERIES, paper
 from verbatim.sources import tables
 from verbatim.streaming import monitor
 
@@ -161,3 +163,22 @@ def test_doubling_makes_no_checkpoints(spark, monkeypatch):
     given = spark.createDataFrame([("x", ["z", "a"]), ("y", [])], "id string, given array<string>")
     got = {r.id: r.generated for r in decode.greedy(given, best, 5, 3, "doubling").collect()}
     assert got == {"x": ["b", "c", "a", "b", "c"], "y": ["a", "b", "c", "a", "b"]}
+
+
+def test_contexts_are_counted_in_parts(spark, sf, monkeypatch):
+    """Parts hold every context once, give the tables that one pass gives, and their own counts are gone when the next part is counted."""
+    whole = lm.fit(paper.seen(spark, sf).select("tk"))
+    row = lambda df, *c: sorted(tuple(r[k] for k in c) for r in df.collect())
+    want = row(lm.model(whole), "ord", "ctx", "tok", "cnt", "total", "n_next")
+    pruned = row(lm.without_echoes(lm.best_next(whole)), "ord", "ctx", "tok")
+    made = []
+    fit = lm.fit
+    monkeypatch.setattr(lm, "fit", lambda docs, part: made.append(part) or fit(docs, part=part))
+    monkeypatch.setattr(paper, "PART_BYTES", paper.input_bytes(spark, f"{sf}/documents.parquet") // 3 + 1)
+    store.forget()
+    try:
+        assert row(paper.counts(spark, sf), "ord", "ctx", "tok", "cnt", "total", "n_next") == want
+        assert row(paper.best(spark, sf), "ord", "ctx", "tok") == pruned
+        assert made == [(0, 3), (1, 3), (2, 3)] * 2
+    finally:
+        store.forget()
