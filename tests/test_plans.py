@@ -196,3 +196,38 @@ def test_nearest_vectors_are_few_candidates(spark):
     assert (0, 0) not in got and (1, 100) not in got
     few = rel.near_candidates(rows, asked, 3, at_once=4096).collect()
     assert len(few) < 20
+
+
+def test_orders_are_summed_from_the_longest_contexts(spark):
+    """Each token is dealt once, not once an order: no row is multiplied before the shuffle; counts are those of plain code, null words and short texts included."""
+    texts = [["a", "b", "a", "b", "a"], ["b"], [], ["a", "b", "c", "a", "b", "c", "d"], ["a", None, "b", "a", "b"]]
+    docs = spark.createDataFrame([(t,) for t in texts], "tk array<string>")
+    want: dict = {}
+    for t in texts:
+        for i, x in enumerate(t):
+            for o in range(min(i, 3) + 1):
+                if None not in t[i - o : i]:
+                    key = (o, " ".join(t[i - o : i]), x)
+                    want[key] = want.get(key, 0) + 1
+    got = lm.fit(docs)
+    assert {(r.ord, r.ctx, r.tok): r.cnt for r in got.collect()} == want
+    assert "stack(" not in plan(got)
+    got = lm.fit(docs, 1)
+    assert {(r.ord, r.ctx, r.tok): r.cnt for r in got.collect()} == {k: v for k, v in want.items() if not k[0]}
+
+
+def test_a_large_frontier_moves_its_last_tokens_only(spark, monkeypatch):
+    """A step of a frontier that does not travel keeps no tokens of earlier steps; the result is that of walking alone, for an id that is null and empty prefixes too, and its files are those of the result."""
+    from verbatim.operators import decode
+
+    docs = spark.createDataFrame([(["a", "b", "a", "c", "b", "a", "d"],), (["c", "b", "b", "a", "a", "b"],)], "tk array<string>")
+    best = store.cut(lm.best_next(lm.fit(docs)))
+    given = spark.createDataFrame([("x", ["z", "a"]), ("y", []), (None, ["c", "b"]), ("w", ["b", "a", "c", "b"])], "id string, given array<string>")
+    want = {r.id: r.generated for r in decode.greedy(given, best, 11, strategy="broadcast").collect()}
+    kept = []
+    monkeypatch.setattr(decode, "_travels", lambda df: False)
+    monkeypatch.setattr(decode, "keep", lambda df: kept.append((df.columns, out := store.keep(df))) or out)
+    assert {r.id: r.generated for r in decode.greedy(given, best, 11, strategy="frontier").collect()} == want
+    assert [c for c, _ in kept] == [["id", "tail", "_t"]] * 11 + [["id", "generated"]]
+    for _, out in kept[:-1]:
+        assert not os.path.exists(out.inputFiles()[0].removeprefix("file://")) if out.inputFiles() else True
