@@ -2,6 +2,7 @@
 
 import os
 
+import pytest
 from pyspark.sql import functions as F
 
 from verbatim.operators import lm
@@ -231,3 +232,14 @@ def test_a_large_frontier_moves_its_last_tokens_only(spark, monkeypatch):
     assert [c for c, _ in kept] == [["id", "tail", "_t"]] * 11 + [["id", "generated"]]
     for _, out in kept[:-1]:
         assert not os.path.exists(out.inputFiles()[0].removeprefix("file://")) if out.inputFiles() else True
+
+
+TABLES_READ = {"published_report": {"orders", "lineitem"}, "published_writing": {"lineitem"}, "published_checks": {"lineitem"}, "relative_reduction": {"orders", "lineitem"}, "report_pivot": {"orders", "lineitem"}, "tradeoff_pareto": {"orders", "lineitem"}}
+
+
+@pytest.mark.parametrize("name", sorted(TABLES_READ))
+def test_reports_are_made_of_given_tables(spark, sf, name):
+    """Tables of results come from Spark's scans, not from rows in the code, and say something."""
+    df = QUERIES[name](spark, sf)
+    assert {os.path.basename(f).split(".")[0] for f in df.inputFiles()} == TABLES_READ[name]
+    assert df.count() > 2
