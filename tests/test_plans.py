@@ -243,3 +243,14 @@ def test_reports_are_made_of_given_tables(spark, sf, name):
     df = QUERIES[name](spark, sf)
     assert {os.path.basename(f).split(".")[0] for f in df.inputFiles()} == TABLES_READ[name]
     assert df.count() > 2
+
+
+def test_few_texts_do_not_deal_the_counts(spark, sf, monkeypatch):
+    """Where the tokens to score are few, only their counts meet them; scores are those of the join with all counts."""
+    c = paper.counts(spark, sf)
+    seqs = spark.createDataFrame([("s", ["the"], ["a", "the", "zzz"]), ("t", [], ["of"])], "seq_id string, given array<string>, text array<string>")
+    few = lm.sequence_nll(seqs, c, "seq_id", "given", "text")
+    assert "LeftSemi" in plan(few)
+    got = sorted(map(tuple, few.collect()))
+    monkeypatch.setattr(lm, "fits", lambda df: False)
+    assert got == sorted(map(tuple, lm.sequence_nll(seqs, c, "seq_id", "given", "text").collect()))
