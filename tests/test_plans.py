@@ -5,7 +5,7 @@ import os
 import pytest
 from pyspark.sql import functions as F
 
-from verbatim.operators import lm
+from verbatim.operators import lm, paraphrase, segments
 from verbatim.plans import store
 from verbatim.queries import QUERIES, paper
 from verbatim.sources import tables
@@ -254,3 +254,22 @@ def test_few_texts_do_not_deal_the_counts(spark, sf, monkeypatch):
     got = sorted(map(tuple, few.collect()))
     monkeypatch.setattr(lm, "fits", lambda df: False)
     assert got == sorted(map(tuple, lm.sequence_nll(seqs, c, "seq_id", "given", "text").collect()))
+
+
+def _no_counts(monkeypatch):
+    """From here on whatever asks for the table of all counts fails."""
+    store.forget()
+
+    def counts(spark, d):
+        raise AssertionError("the table of all counts is made")
+
+    monkeypatch.setattr(paper, "counts", counts)
+
+
+def test_pairs_count_only_the_words_they_change(spark, sf, monkeypatch):
+    """Rewrites look up the successors of few words; they are those of the table of all counts, which is not made."""
+    segs, c = spark.createDataFrame([("s", "the of and to zzz of a".split()), ("t", ["of"])], "seg_id string, reference array<string>"), paper.counts(spark, sf)
+    want = sorted(map(tuple, paraphrase.substitute(segs, c).collect()))
+    assert sorted(map(tuple, paraphrase.substitute(segs, lm.after(paper.seen(spark, sf).select("tk"), paraphrase.asked(segs))).collect())) == want
+    _no_counts(monkeypatch)
+    assert QUERIES["prefs_mix"](spark, sf).count() > 0
