@@ -273,3 +273,13 @@ def test_pairs_count_only_the_words_they_change(spark, sf, monkeypatch):
     assert sorted(map(tuple, paraphrase.substitute(segs, lm.after(paper.seen(spark, sf).select("tk"), paraphrase.asked(segs))).collect())) == want
     _no_counts(monkeypatch)
     assert QUERIES["prefs_mix"](spark, sf).count() > 0
+
+
+def test_likelihoods_are_summed_over_parts(spark, sf, monkeypatch):
+    """Segments meet one part of the counts after another; the sums are those of the join with all counts."""
+    segs = segments.head_segment(paper.docs(spark, sf))
+    want = {r.seg_id: (r.n_tokens, r.nll) for r in lm.sequence_nll(segs, paper.counts(spark, sf), "seg_id", "prefix", "reference").collect()}
+    _no_counts(monkeypatch)
+    monkeypatch.setattr(paper, "PART_BYTES", paper.input_bytes(spark, f"{sf}/documents.parquet") // 3 + 1)
+    got = {r.seg_id: (r.n_tokens, r.nll) for r in QUERIES["sequence_nll"](spark, sf).collect()}
+    assert got.keys() == want.keys() and all(n == want[k][0] and abs(x - want[k][1]) < 1e-5 for k, (n, x) in got.items())
