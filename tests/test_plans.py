@@ -283,3 +283,16 @@ def test_likelihoods_are_summed_over_parts(spark, sf, monkeypatch):
     monkeypatch.setattr(paper, "PART_BYTES", paper.input_bytes(spark, f"{sf}/documents.parquet") // 3 + 1)
     got = {r.seg_id: (r.n_tokens, r.nll) for r in QUERIES["sequence_nll"](spark, sf).collect()}
     assert got.keys() == want.keys() and all(n == want[k][0] and abs(x - want[k][1]) < 1e-5 for k, (n, x) in got.items())
+
+
+def test_both_weightings_are_told_at_once(spark, sf, monkeypatch):
+    """Likelihoods before and after share one pass over the parts, down to rows whose contexts are unknown or missing."""
+    rows = [("a", ["the"], ["of", "zzz", "the", "and"]), ("b", [], ["of"]), ("c", ["zzz"], ["yyy", "the"])]
+    segs, c = spark.createDataFrame(rows, "id string, given array<string>, text array<string>"), paper.counts(spark, sf)
+    want = [{r.id: (r.n_tokens, r.nll) for r in lm.sequence_nll(segs, c, "id", "given", "text", mix).collect()} for mix in (lm.MIX, paper.AFTER)]
+    _no_counts(monkeypatch)
+    monkeypatch.setattr(paper, "PART_BYTES", paper.input_bytes(spark, f"{sf}/documents.parquet") // 3 + 1)
+    for r in paper.likelihoods(spark, sf, segs, "id", "given", "text", [lm.MIX, paper.AFTER]).collect():
+        for w, x in zip(want, (r.nll0, r.nll1)):
+            assert w[r.id][0] == r.n_tokens and abs(w[r.id][1] - x) < 1e-9
+    assert QUERIES["nll_reweighted"](spark, sf).count() > 0
