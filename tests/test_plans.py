@@ -5,7 +5,7 @@ import os
 import pytest
 from pyspark.sql import functions as F
 
-from verbatim.operators import lm, paraphrase, segments
+from verbatim.operators import decode, lm, paraphrase, segments
 from verbatim.plans import store
 from verbatim.queries import QUERIES, paper
 from verbatim.sources import tables
@@ -296,3 +296,19 @@ def test_both_weightings_are_told_at_once(spark, sf, monkeypatch):
         for w, x in zip(want, (r.nll0, r.nll1)):
             assert w[r.id][0] == r.n_tokens and abs(w[r.id][1] - x) < 1e-9
     assert QUERIES["nll_reweighted"](spark, sf).count() > 0
+
+
+def test_sampled_decoding_deals_tokens_not_nuclei(spark, sf, monkeypatch):
+    """Each context draws where it meets the frontier; contexts that a shorter one repeats are left out, and draws stay the same. Made in parts, without the table of all counts."""
+    nuclei = lm.nucleus_table(lm.fit(paper.seen(spark, sf).where("doc_id % 4 = 0").select("tk"))).cache()
+    few = lm.without_repeats(nuclei)
+    assert few.count() < nuclei.count()
+    given = [["the"], [], ["zzz"], ["of", "the"], ["zzz", "and"], None]
+    df = spark.createDataFrame([(str(k), g) for k, g in enumerate(given)], "id string, given array<string>")
+    want = {r.id: r.generated for r in decode.nucleus(df.where("given is not null"), nuclei, 6, strategy="broadcast").collect()}
+    for most in (store.BROADCAST_BYTES, 0):
+        monkeypatch.setattr(decode, "BROADCAST_BYTES", most)
+        got = {r.id: r.generated for r in decode.nucleus(df, few, 6, strategy="frontier").collect()}
+        assert {k: got[k] for k in want} == want and got["5"] and len(got) == 6
+    _no_counts(monkeypatch)
+    assert QUERIES["decode_nucleus"](spark, sf).count() > 0
