@@ -312,3 +312,37 @@ def test_sampled_decoding_deals_tokens_not_nuclei(spark, sf, monkeypatch):
         assert {k: got[k] for k in want} == want and got["5"] and len(got) == 6
     _no_counts(monkeypatch)
     assert QUERIES["decode_nucleus"](spark, sf).count() > 0
+
+
+def test_packed_tables_give_what_rows_give(spark, sf, monkeypatch):
+    """Words in numbers, split by array code: the same contexts, tokens and draws as by rows, for odd white space, letters and prefixes; made without counting rows, and as rows where words or frontier are too large."""
+    from verbatim.functions.text import first_tokens, tokens
+    from verbatim.operators import decode, packed
+
+    texts = ["a b\tA  c b\x0b\x0ca d ", "C b b\u00a0x a a\x1cq b", "", None, " ", "\u0130 \u039f\u03a3 stra\u00dfe \u0130 a", "\nlone", "a b a c", "the of the"]
+    odd = spark.createDataFrame([(t,) for t in texts], "text string")
+    given = spark.createDataFrame([("x", ["z", "a"]), ("y", []), (None, ["c", "b"]), ("w", ["b", "a", "c", "b"]), ("v", ["of", "the"]), ("u", ["zzz", "the"])], "id string, given array<string>")
+    row = lambda df, *c: sorted(tuple(r[k] for k in c) for r in df.collect())
+    made = lambda df: {r.id: r.generated for r in df.collect()}
+    counts = lm.fit(odd.select(tokens("text").alias("tk"))).cache()
+    best, nuclei = lm.without_echoes(lm.best_next(counts)).cache(), lm.nucleus_table(counts)
+    greedy, drawn = packed.make(odd, packed.Best()), packed.make(odd, packed.Nucleus(0.7, 0.9))
+    assert row(greedy.rows(), "ord", "ctx", "tok") == row(best, "ord", "ctx", "tok")
+    want, draws = made(decode.greedy(given, best, 4, strategy="broadcast")), made(decode.nucleus(given, nuclei, 4, strategy="broadcast"))
+    assert made(decode.greedy(given, greedy, 4, strategy="frontier")) == want
+    got, same = made(decode.nucleus(given, drawn, 4, strategy="frontier")), [k for k in want if k]  # rows and Python spell the key of a null id differently
+    assert [got[k] for k in same] == [draws[k] for k in same] and len(got[None]) == 4
+    with monkeypatch.context() as m:
+        m.setattr(packed, "STATE_BYTES", 0)
+        assert greedy.walk(given, 4) is None
+        assert made(decode.nucleus(given, drawn.nuclei(), 4, strategy="broadcast")) == draws
+        m.setattr(packed, "WORD_BYTES", 0)
+        assert packed.make(odd, packed.Best()) is None
+    for r in odd.where("text is not null").select(tokens("text").alias("t"), first_tokens("text", 2).alias("f")).collect():
+        assert r.f == r.t[: len(r.f)] and len(r.f) >= min(2, len(r.t))
+    monkeypatch.setattr(lm, "fit", None)
+    store.forget()
+    try:
+        assert isinstance(paper.greedy_table(spark, sf), packed.Packed) and isinstance(paper.nucleus_table(spark, sf), packed.Packed)
+    finally:
+        store.forget()
