@@ -331,3 +331,25 @@ def test_containing(spark, monkeypatch):
 def test_cost_counts_rows_and_shuffles(spark):
     r = report.cost("x", spark.range(1000).repartition(3).groupBy((F.col("id") % 10).alias("k")).count()).first()
     assert r.rows == 10 and r.tasks > 0 and r.shuffle_written > 0 and r.seconds > 0
+
+
+def test_lcs_by_bits(spark):
+    """Arrays whose places fit a long take word operations, longer ones the table's row; repeats, nulls and empty arrays included."""
+    import random
+
+    rng, rows = random.Random(3), [([], ["a"]), (["a"], []), ([None, "a"], [None, "a"]), (None, ["a"]), (["a"] * 62, ["a"] * 70)]
+    rows += [([rng.choice("abcde") for _ in range(rng.choice((1, 5, 32, 61, 62, 63, 64, 80)))], [rng.choice("abcdef") for _ in range(rng.choice((1, 7, 32, 65)))]) for _ in range(40)]
+    df = spark.createDataFrame(rows, "a array<string>, b array<string>")
+
+    def table(a, b):
+        row = [0] * (len(b) + 1)
+        for x in a:
+            new = [0]
+            for j, y in enumerate(b, 1):
+                new.append(row[j - 1] + 1 if x == y and x is not None else max(row[j], new[-1]))
+            row = new
+        return row[-1]
+
+    got = [r.n for r in df.select(rouge.lcs_len("a", "b").alias("n")).collect()]
+    assert got == [None if a is None else table(a, b) for a, b in rows]
+    assert "bit_count" in df.select(rouge.lcs_len("a", "b"))._jdf.queryExecution().toString()
